@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from winjoin.llm.decontam import contamination, items_digest
+from winjoin.llm.line_crf import quality_scores, train
 from winjoin.llm.piece_viterbi import piece_encode
 from winjoin.llm.token_resync import token_counts
 
@@ -33,10 +34,22 @@ def op6_piece_encoding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return piece_encode(table(spark, sf_dir, "documents"), public_tokenizers.path(PIECE_MODEL))
 
 
+#: The accepted score of the quality classifier.
+QUALITY_AT = 0.7
+
+
+def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    scored = quality_scores(docs, train(docs, table(spark, sf_dir, "labels")), keep=["doc_id"])
+    held_out = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 4 == 2, F.lit(False))
+    return scored.select("doc_id", held_out.alias("held_out"), F.col("quality_score").alias("score"), F.when(F.col("quality_score") >= QUALITY_AT, 1).otherwise(0).alias("predicted"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_token_counts": op2_token_counts,
     "op4_decontamination": op4_decontamination,
     "op6_piece_encoding": op6_piece_encoding,
+    "op8_quality": op8_quality,
 }
 
 ORACLE_SQL: dict[str, str] = {}
