@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from winjoin.llm.chosen_path import similarity_classes
 from winjoin.llm.decontam import contamination, items_digest
+from winjoin.llm.katz import katz_scores
 from winjoin.llm.line_crf import quality_scores, train
 from winjoin.llm.piece_viterbi import piece_encode
 from winjoin.llm.token_resync import token_counts
@@ -39,6 +40,10 @@ def op6_piece_encoding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return piece_encode(table(spark, sf_dir, "documents"), public_tokenizers.path(PIECE_MODEL))
 
 
+def op7_katz(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return katz_scores(table(spark, sf_dir, "documents"))
+
+
 #: The accepted score of the quality classifier.
 QUALITY_AT = 0.7
 
@@ -55,6 +60,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_jaccard_join": op3_jaccard_join,
     "op4_decontamination": op4_decontamination,
     "op6_piece_encoding": op6_piece_encoding,
+    "op7_katz": op7_katz,
     "op8_quality": op8_quality,
 }
 
