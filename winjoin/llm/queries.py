@@ -14,6 +14,7 @@ from winjoin.llm.katz import katz_scores
 from winjoin.llm.line_crf import quality_scores, train
 from winjoin.llm.piece_viterbi import piece_encode
 from winjoin.llm.token_resync import token_counts
+from winjoin.llm.winnow import edited_likeness
 
 #: The vocabulary file of the token queries; a parameter of the operators.
 PIECE_MODEL = "piece_bpe_32k.model"
@@ -55,6 +56,10 @@ def op8_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", held_out.alias("held_out"), F.col("quality_score").alias("score"), F.when(F.col("quality_score") >= QUALITY_AT, 1).otherwise(0).alias("predicted"))
 
 
+def op9_winnowing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return edited_likeness(table(spark, sf_dir, "documents"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_token_counts": op2_token_counts,
     "op3_jaccard_join": op3_jaccard_join,
@@ -62,6 +67,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op6_piece_encoding": op6_piece_encoding,
     "op7_katz": op7_katz,
     "op8_quality": op8_quality,
+    "op9_winnowing": op9_winnowing,
 }
 
 ORACLE_SQL: dict[str, str] = {}
