@@ -12,6 +12,7 @@ from winjoin.llm.chosen_path import similarity_classes
 from winjoin.llm.decontam import contamination, items_digest
 from winjoin.llm.katz import katz_scores
 from winjoin.llm.line_crf import quality_scores, train
+from winjoin.llm.pii_bootstrap import KINDS, find_spans, spans_text
 from winjoin.llm.piece_viterbi import piece_encode
 from winjoin.llm.token_resync import token_counts
 from winjoin.llm.winnow import edited_likeness
@@ -60,6 +61,13 @@ def op9_winnowing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return edited_likeness(table(spark, sf_dir, "documents"))
 
 
+def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = find_spans(table(spark, sf_dir, "documents"))
+    base = F.filter("spans", lambda s: s["base"])
+    counts = [F.size(F.filter("spans", lambda s, k=k: s["base"] & (s["kind"] == k))).cast("long").alias(f"n_{k}") for k in KINDS]
+    return found.select("doc_id", *counts, F.sha2(spans_text(base), 256).alias("base_sha256"), spans_text(F.col("spans")).alias("spans"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_token_counts": op2_token_counts,
     "op3_jaccard_join": op3_jaccard_join,
@@ -68,6 +76,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op7_katz": op7_katz,
     "op8_quality": op8_quality,
     "op9_winnowing": op9_winnowing,
+    "op10_pii": op10_pii,
 }
 
 ORACLE_SQL: dict[str, str] = {}
