@@ -4,7 +4,7 @@
 kind) and their checks accept: e-mail, IPv4 address, payment card, phone.
 *Instances* are these strings and every other identifier-like run (8 or more
 characters with a digit) outside them; long hexadecimal runs and key-like ones seed a
-fifth kind, secret. *Patterns* are the one to three tokens left of an
+fifth kind, secret; strings of a base form that its check refuses are known to be nothing. *Patterns* are the one to three tokens left of an
 instance. Instances and patterns form a graph: each round scores a pattern by
 the share of its distinct instances whose kind is known and the same, accepts those
 with enough support and a share near one, gives their kind to unlabelled
@@ -38,6 +38,10 @@ KINDS = ("email", "ip", "card", "phone")
 LIKE = r"(?<![A-Za-z0-9._+@%-])(?=[A-Za-z._+@%-]{0,40}[0-9])[A-Za-z0-9][A-Za-z0-9._+@%-]{6,}[A-Za-z0-9]"
 SECRET = r"^(?=[0-9a-f]*[a-f])(?=[0-9a-f]*[0-9])[0-9a-f]{32,}$|^(?=[A-Za-z0-9]*[A-Z])(?=[A-Za-z0-9]*[a-z])(?=[A-Za-z0-9]*[0-9])[A-Za-z0-9]{32,}$|^AKIA[0-9A-Z]{16}$"
 
+#: Strings of a base form that its check refuses: known to be nothing, they speak against their patterns.
+REFUTED = r"^[0-9]{16,19}$|^[0-9]+(?:\.[0-9]+){3}$"
+NONE = "none"
+
 _OCTET = r"0*(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[0-9]{1,2})"
 _TAIL = 64
 
@@ -121,7 +125,7 @@ def contexts(found: DataFrame) -> DataFrame:
 def bootstrap(found: DataFrame, rounds: int = 3, support: int = 8, share: float = 0.9) -> DataFrame:
     """Labels (m, label, round) that the rounds give to instances without one."""
     graph = materialize(contexts(found), "pii-graph")
-    seeds = found.where("kind IS NOT NULL").select("m", F.when(F.col("base"), F.col("kind")).when(F.col("m").rlike(SECRET), F.lit("secret")).alias("label"))
+    seeds = found.where("kind IS NOT NULL").select("m", F.when(F.col("base"), F.col("kind")).when(F.col("m").rlike(SECRET), F.lit("secret")).when(F.col("m").rlike(REFUTED), F.lit(NONE)).alias("label"))
     # an instance string has one label; where forms disagree the least name stands
     known = materialize(seeds.groupBy("m").agg(F.min("label").alias("label"), F.lit(0).alias("round")), "pii-labels")
     for r in range(1, rounds + 1):
@@ -129,7 +133,7 @@ def bootstrap(found: DataFrame, rounds: int = 3, support: int = 8, share: float
         votes = edges.groupBy("pattern", "label").agg(F.count(F.lit(1)).alias("n"))
         total = votes.groupBy("pattern").agg(F.sum("n").alias("all"), F.sum(F.when(F.col("label").isNotNull(), F.col("n"))).alias("labelled"))
         # unlabelled instances neither confirm nor deny: the share is over labelled ones, the support over seeds of the kind
-        good = votes.where("label IS NOT NULL").join(total, "pattern").where((F.col("n") >= support) & (F.col("n") >= F.lit(share) * F.col("labelled"))).select("pattern", F.col("label").alias("got"), (F.log2(F.col("n") + 1.0) * F.col("n") / F.col("all")).alias("worth"))
+        good = votes.where(F.col("label") != NONE).join(total, "pattern").where((F.col("n") >= support) & (F.col("n") >= F.lit(share) * F.col("labelled"))).select("pattern", F.col("label").alias("got"), (F.log2(F.col("n") + 1.0) * F.col("n") / F.col("all")).alias("worth"))
         new = edges.where("label IS NULL").select("m", "pattern").join(good, "pattern").groupBy("m", "got").agg(F.sum("worth").alias("worth"))
         new = new.groupBy("m").agg(F.max_by("got", F.struct("worth", "got")).alias("got"))
         nxt = materialize(known.join(new, "m", "left").select("m", F.coalesce("label", "got").alias("label"), F.when(F.col("label").isNull() & F.col("got").isNotNull(), r).otherwise(F.col("round")).alias("round")), "pii-labels")
@@ -137,7 +141,7 @@ def bootstrap(found: DataFrame, rounds: int = 3, support: int = 8, share: float
         known = nxt
         if not grown:
             break
-    return known.where(F.col("label").isNotNull())
+    return known.where(F.col("label") != NONE)
 
 
 def find_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rounds: int = 3, support: int = 8, share: float = 0.9) -> DataFrame:
