@@ -37,7 +37,9 @@ class Reference:
         for (h, w), x in self.star.items():
             s[h] += x
             q[h] += self.p[w]
-        self.alpha = {h: (1 - s[h]) / (1 - q[h]) for h in s}
+        f = {h: ctx[h] / (ctx[h] + 1) / s[h] if s[h] > 1 - 1e-9 else 1.0 for h in s}
+        self.star = {(h, w): x * f[h] for (h, w), x in self.star.items()}
+        self.alpha = {h: (1 - s[h] * f[h]) / (1 - q[h]) for h in s}
 
     def prob(self, h, w):
         if (h, w) in self.star:
@@ -54,7 +56,7 @@ def corpus():
     rnd = random.Random(6)
     vocabulary = ["w%d" % int(rnd.paretovariate(0.7)) for _ in range(3000)] + ["É", "the"] * 300
     rows = [(i, " \t\n"[i % 3].join(rnd.choice(vocabulary) for _ in range(rnd.randint(0, 80))).upper()) for i in range(400)]
-    return rows + [(500, None), (501, ""), (None, "the w1"), (3, "dup id"), (502, "the " * 700)]
+    return rows + [(500, None), (501, ""), (None, "the w1"), (3, "dup id"), (502, "the " * 700), (503, "onlyonce followed " * 9), (504, "onlyonce followed " * 9)]
 
 
 def held(i):

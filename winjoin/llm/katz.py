@@ -17,7 +17,7 @@ mass of their own (their discount is zero), which leaves them to the backoff.
 Where the counts of counts give no ratio in (0, 1], ``absolute`` is subtracted instead.
 Unigrams are discounted likewise, what that frees goes to one unknown word.
 Weights are exact: alpha(h) = (1 - sum p*(w|h)) / (1 - sum p(w)), both sums over
-the kept followers of h. The model is written as two tables in the shared folder,
+the kept followers of h; where the kept followers leave nothing, they are scaled by n/(n+1), n being the context's count. The model is written as two tables in the shared folder,
 partitioned by the number by which scoring deals its requests.
 
 *Evaluation.* p(w|h) is p*(w|h) if the bigram is kept, else alpha(h) p(w), and p(w)
@@ -285,12 +285,14 @@ def train(docs: DataFrame, parts: int, gt_max: int = 5, absolute: float = 0.75,
         words = words.withColumn("p", F.col("p") * F.lit((1.0 - unknown) / mass))
     # contexts: a word is a context as often as it occurs, but the end never; the start stands before every row
     n_ctx = words.select(F.col("word").alias("ctx"), F.col("n").alias("n_ctx")).unionByName(docs.sparkSession.createDataFrame([(int(START.view(np.int64)), n_rows)], "ctx long, n_ctx long"))
-    star = kept.join(words.select("word", "p"), "word").join(n_ctx, "ctx").select("part", "ctx", "word", "p", (ratio(d2) * F.col("n") / F.col("n_ctx")).alias("p_star"))
+    star = kept.join(words.select("word", "p"), "word").join(n_ctx, "ctx").select("part", "ctx", "word", "p", "n_ctx", (ratio(d2) * F.col("n") / F.col("n_ctx")).alias("p_star"))
     star = materialize(star, "katz-star")
     release(pairs)
-    alpha = star.groupBy("ctx").agg(F.sum("p_star").alias("s"), F.sum("p").alias("q")).select("ctx", ((1 - F.col("s")) / (1 - F.col("q"))).alias("a"))
-    alpha = materialize(alpha, "katz-alpha")
-    gains = star.join(alpha, "ctx").select("part", "ctx", "word", F.log10(F.col("p_star") / (F.col("a") * F.col("p"))).alias("gain"))
+    # a context whose followers are all frequent frees no mass: one count more then stands for the unseen
+    alpha = star.groupBy("ctx").agg(F.sum("p_star").alias("s"), F.sum("p").alias("q"), F.max("n_ctx").alias("n_ctx"))
+    alpha = alpha.withColumn("f", F.when(F.col("s") > 1 - 1e-9, F.col("n_ctx") / (F.col("n_ctx") + 1.0) / F.col("s")).otherwise(1.0))
+    alpha = materialize(alpha.select("ctx", "f", ((1 - F.col("s") * F.col("f")) / (1 - F.col("q"))).alias("a")), "katz-alpha")
+    gains = star.join(alpha, "ctx").select("part", "ctx", "word", F.log10(F.col("p_star") * F.col("f") / (F.col("a") * F.col("p"))).alias("gain"))
     base = float(math.log10(total + distinct + 1))
     table = words.join(alpha, words.word == alpha.ctx, "left").select(
         "word", "n", F.log10("p").alias("lp"), F.coalesce(F.log10("a"), F.lit(0.0)).alias("alpha"), (F.log10(F.col("n") + 1.0) - base).alias("base"),
