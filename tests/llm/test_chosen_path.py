@@ -83,3 +83,25 @@ def test_empty_and_runs(spark):
     docs = spark.createDataFrame([], "doc_id long, text string")
     assert similarity_classes(docs).collect() == []
     assert runs_for(0.8, 3, 0.999) > runs_for(0.8, 3, 0.99) > runs_for(0.9, 3, 0.99)
+
+
+def test_components(spark):
+    from winjoin.llm.frames import connected
+
+    rnd = random.Random(3)
+    edges = [(rnd.randrange(300), rnd.randrange(300)) for _ in range(160)] + [(1000 + i, 1001 + i) for i in range(60)] + [(2000, 2000 + i) for i in range(1, 50)] + [(7, 7)]
+    root = {}
+
+    def find(x):
+        root.setdefault(x, x)
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for a, b in edges:
+        ra, rb = find(a), find(b)
+        if a != b:
+            root[max(ra, rb)] = min(ra, rb)
+    touched = {x for a, b in edges if a != b for x in (a, b)}
+    got = connected(spark.createDataFrame(edges, "a long, b long")).collect()
+    assert sorted(map(tuple, got)) == sorted((x, find(x)) for x in touched)

@@ -43,7 +43,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from winjoin.llm import bytetext as B
-from winjoin.llm.frames import connected, materialize, release, text_of
+from winjoin.llm.frames import Forest, connected, materialize, release, text_of, thin
 
 WIDTH = 64
 FANOUT = 1.25
@@ -166,24 +166,6 @@ def _extend(frame: DataFrame, steps: int, runs: int | None) -> DataFrame:
     return frame.mapInArrow(grow, "rid long, node long")
 
 
-def _forest(n: int, pairs: Iterator[tuple[int, int]]) -> list[tuple[int, int]]:
-    parent = list(range(n))
-
-    def root(x: int) -> int:
-        while parent[x] != x:
-            parent[x] = parent[parent[x]]
-            x = parent[x]
-        return x
-
-    out = []
-    for a, b in pairs:
-        ra, rb = root(a), root(b)
-        if ra != rb:
-            parent[rb] = ra
-            out.append((a, b))
-    return out
-
-
 def _compare(least: float):
     """For rows (node, rid, sketch) in the order of small nodes: a spanning forest of each node's
     pairs whose sketches agree in ``least`` of the coordinates. The last node of a batch waits for the next."""
@@ -194,18 +176,15 @@ def _compare(least: float):
         for a, b in zip(cuts[:-1], cuts[1:]):
             own, ids = sk[a:b], rid[a:b]
             found = ((x, x + 1 + int(y)) for x in range(b - a - 1) for y in np.flatnonzero((own[x + 1 :] == own[x]).sum(axis=1) >= least * WIDTH))
-            out += [(int(ids[x]), int(ids[y])) for x, y in _forest(b - a, found)]
+            out += [(int(ids[x]), int(ids[y])) for x, y in Forest().fresh(found)]
         return out
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros((0, WIDTH), np.uint32))
-        seen: set[tuple[int, int]] = set()
+        forest = Forest()
 
         def emit(new: list[tuple[int, int]]) -> pa.RecordBatch:
-            fresh = sorted(set(new) - seen)
-            if len(seen) > 500_000:
-                seen.clear()
-            seen.update(fresh)
+            fresh = forest.fresh(new)
             return pa.RecordBatch.from_arrays([pa.array([x for x, _ in fresh], pa.int64()), pa.array([y for _, y in fresh], pa.int64())], ["a", "b"])
 
         for batch in batches:
@@ -253,7 +232,7 @@ def _verify(key: tuple, rows: pa.Table, threshold: float) -> pa.Table:
             links[k] += count[right[j]]
             links[right[j]] += count[k]
             pairs.append((int(k), int(right[j])))
-    forest = _forest(len(sids), iter(pairs))
+    forest = Forest().fresh(pairs)
     return pa.table({
         "a": pa.array(sids + [sids[a] for a, _ in forest], pa.binary()),
         "b": pa.array([None] * len(sids) + [sids[b] for _, b in forest], pa.binary()),
@@ -281,7 +260,7 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
         alive = materialize(entries.join(size, "node"), "jaccard-nodes")
         release(entries)
         small = alive.where(F.col("n") <= bucket).join(sketches, "rid").select("node", "rid", "sketch")
-        ties.append(materialize(small.repartition("node").sortWithinPartitions("node").mapInArrow(_compare(least), "a long, b long").distinct(), "jaccard-ties"))
+        ties.append(materialize(small.repartition("node").sortWithinPartitions("node").mapInArrow(_compare(least), "a long, b long"), "jaccard-ties"))
         large = alive.where(F.col("n") > bucket)
         kept.append(alive)
         if at >= max_depth or large.isEmpty():
@@ -293,7 +272,7 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     edges = ties[0]
     for more in ties[1:]:
         edges = edges.unionByName(more)
-    comps = materialize(connected(edges), "jaccard-components")
+    comps = materialize(connected(thin(edges)), "jaccard-components")
 
     # exact check: full sets of members only, in pairs of blocks
     members = comps.join(reps.select("rid", "sid", "copies"), comps.node == F.col("rid")).select("sid", "root", "copies")
@@ -310,7 +289,7 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     )
     checked = materialize(pairs.groupBy("root", "i", "j").applyInArrow(lambda key, rows: _verify(key, rows, threshold), "a binary, b binary, links long"), "jaccard-links")
     links = checked.where("b IS NULL").groupBy(F.col("a").alias("sid")).agg(F.sum("links").alias("links"))
-    classes = connected(checked.where("b IS NOT NULL").select("a", "b"))
+    classes = connected(thin(checked.where("b IS NOT NULL")))
     known = reps.select("sid", "copies").join(links, "sid", "left").join(classes.withColumnRenamed("node", "sid"), "sid", "left")
     known = known.select("sid", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"), F.coalesce("root", "sid").alias("class_sid"))
     # the least id of each class: per set first, so that no class meets as a list

@@ -3,8 +3,9 @@
 from __future__ import annotations
 
 import uuid
-from collections.abc import Iterable
+from collections.abc import Iterable, Iterator
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -54,6 +55,43 @@ def text_of(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return docs.select(F.col(f"`{id_col}`").alias("doc_id"), F.coalesce(F.col(f"`{text_col}`"), F.lit("")).alias("text"))
 
 
+class Forest:
+    """Union-find over what a task has met; keeps the links that connect something new. Memory is bounded by forgetting."""
+
+    def __init__(self, most: int = 1_000_000):
+        self.parent: dict = {}
+        self.most = most
+
+    def root(self, x):
+        parent = self.parent
+        while (up := parent.setdefault(x, x)) != x:
+            parent[x] = x = parent.get(up, up)
+        return x
+
+    def fresh(self, links: Iterable[tuple]) -> list[tuple]:
+        if len(self.parent) > self.most:
+            self.parent.clear()
+        out = []
+        for x, y in links:
+            rx, ry = self.root(x), self.root(y)
+            if rx != ry:
+                self.parent[ry] = rx
+                out.append((x, y))
+        return out
+
+
+def thin(edges: DataFrame) -> DataFrame:
+    """An edge list (a, b) with the same components: each task keeps a spanning forest of the edges it reads."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forest = Forest()
+        for batch in batches:
+            kept = forest.fresh(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()))
+            yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in kept], batch.schema.field(0).type), pa.array([y for _, y in kept], batch.schema.field(1).type)], ["a", "b"])
+
+    return edges.select("a", "b").mapInArrow(run, edges.select("a", "b").schema)
+
+
 def connected(edges: DataFrame, a: str = "a", b: str = "b", rounds: int = 60) -> DataFrame:
     """Connected components of an edge list: rows (node, root), root the least node of the component.
 
@@ -62,23 +100,27 @@ def connected(edges: DataFrame, a: str = "a", b: str = "b", rounds: int = 60) ->
     grouped minima and two joins, so a hub of any degree never meets in one
     task as a list; the edge list is written out between rounds.
     """
-    one = edges.select(F.least(a, b).alias("v"), F.greatest(a, b).alias("u")).where("u <> v").distinct()
-    now = materialize(one, "cc")
+    def state(df: DataFrame) -> tuple:
+        """Count and checksum of distinct rows."""
+        return tuple(df.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(20,0)")), F.sum(F.hash("v", "u").cast("long"))).first())
+
+    now = materialize(edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u <> v").distinct(), "cc")
+    was = state(now)
     for _ in range(rounds):
-        # u > v in every row. Large step: for node x, neighbours above x get the least of its neighbourhood.
+        # u > v in every row. Large step: a node's neighbours above it move to the least of its neighbourhood.
         both = now.select(F.col("u").alias("x"), F.col("v").alias("y")).unionByName(now.select(F.col("v").alias("x"), F.col("u").alias("y")))
         least = both.groupBy("x").agg(F.min("y").alias("m")).select("x", F.least("x", "m").alias("m"))
-        large = both.where("y > x").join(least, "x").select(F.col("y").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
-        # Small step: neighbours not above x, and x itself, get the least of them.
+        large = both.where("y > x").join(least, "x").select(F.col("y").alias("u"), F.col("m").alias("v"))
+        # Small step: neighbours not above a node, and the node itself, move to the least of them.
         down = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(down, "u").select(F.col("v").alias("p"), "m", "u")
-        nxt = small.where("p <> m").select(F.col("p").alias("u"), F.col("m").alias("v")).unionByName(down.select("u", F.col("m").alias("v"))).distinct()
-        nxt = materialize(nxt, "cc")
-        moved = nxt.exceptAll(now).limit(1).count() + now.exceptAll(nxt).limit(1).count()
+        up = large.join(down, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        nxt = materialize(up.unionByName(down.select("u", F.col("m").alias("v"))).distinct(), "cc")
+        is_ = state(nxt)
         release(now)
         now = nxt
-        if not moved:
+        if is_ == was:
             break
+        was = is_
     else:
         raise RuntimeError(f"components did not settle in {rounds} rounds")
     # a star forest: every u names its root once
