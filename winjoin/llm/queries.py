@@ -11,6 +11,8 @@ from pyspark.sql import functions as F
 from winjoin.llm.chosen_path import similarity_classes
 from winjoin.llm.decontam import contamination, items_digest
 from winjoin.llm.katz import katz_scores
+from winjoin.llm.language_fusion import page_languages
+from winjoin.llm.license_align import license_scan
 from winjoin.llm.line_crf import quality_scores, train
 from winjoin.llm.pii_bootstrap import KINDS, find_spans, spans_text
 from winjoin.llm.piece_viterbi import piece_encode
@@ -25,6 +27,10 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_scan(table(spark, sf_dir, "documents"))
+
+
 def op2_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts(table(spark, sf_dir, "documents"), public_tokenizers.path(PIECE_MODEL))
 
@@ -46,6 +52,10 @@ def op7_katz(spark: SparkSession, sf_dir: str) -> DataFrame:
     return katz_scores(table(spark, sf_dir, "documents"))
 
 
+def op5_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return page_languages(table(spark, sf_dir, "pages"), table(spark, sf_dir, "documents"))
+
+
 #: The accepted score of the quality classifier.
 QUALITY_AT = 0.7
 
@@ -73,9 +83,11 @@ def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_license_scan": op1_license_scan,
     "op2_token_counts": op2_token_counts,
     "op3_jaccard_join": op3_jaccard_join,
     "op4_decontamination": op4_decontamination,
+    "op5_language": op5_language,
     "op6_piece_encoding": op6_piece_encoding,
     "op7_katz": op7_katz,
     "op8_quality": op8_quality,

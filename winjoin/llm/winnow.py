@@ -101,8 +101,7 @@ def with_next(docs: DataFrame, bytes_each: int = 8 << 20, least: int = 64) -> Da
     heads = docs.groupBy("_range").agg(F.max(F.struct("doc_id", F.bitwise_not("_tie").alias("t"))).alias("m")).select("_range", F.col("m.doc_id").alias("_id"), F.bitwise_not(F.col("m.t")).alias("_head"))
     # one row a range: their number is bounded by _ranges
     order = Window.orderBy("_range")
-    last = heads.agg(F.max("_range").alias("_last"))
-    heads = heads.withColumn("_to", F.lag("_range").over(order)).crossJoin(F.broadcast(last)).withColumn("_to", F.coalesce("_to", "_last"))
+    heads = heads.withColumn("_to", F.coalesce(F.lag("_range").over(order), F.max("_range").over(order.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing))))
     found = docs.alias("d").join(F.broadcast(heads.select(F.col("_range").alias("_r"), "_id", "_head", "_to")), (F.col("d._range") == F.col("_r")) & F.col("d.doc_id").eqNullSafe(F.col("_id")) & (F.col("d._tie") == F.col("_head")))
     ghosts = found.select("doc_id", "text", F.col("_to").alias("_range"), "_tie", F.lit(1).alias("_ghost")).dropDuplicates(["_range"])
     return docs.withColumn("_ghost", F.lit(0)).unionByName(ghosts)
