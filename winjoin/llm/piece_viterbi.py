@@ -25,6 +25,7 @@ from functools import lru_cache
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import types as T
 
 from winjoin.llm.frames import text_of
 from winjoin.llm.token_resync import read_model
@@ -47,6 +48,8 @@ class PieceCodec:
         self.pieces = [p.piece for p in proto.pieces]
         self.kinds = [p.type for p in proto.pieces]
         normal = [(i, p) for i, p in enumerate(proto.pieces) if p.type == NORMAL]
+        #: Text of a piece; None for bytes and the unknown piece, which need their neighbours or a mark; control pieces have none.
+        self.surface = [None if p.type in (BYTE, UNKNOWN) else p.piece if p.type == NORMAL else "" for p in proto.pieces]
         self.floor = min(p.score for _, p in normal) - 10.0
         self.single = {p.piece for _, p in normal if len(p.piece) == 1}
         self.bytes = {int(p.piece[3:5], 16): i for i, p in enumerate(proto.pieces) if p.type == BYTE}
@@ -57,7 +60,7 @@ class PieceCodec:
             self.automaton.add_word(p.piece, (len(p.piece), p.score, i))
         self.automaton.make_automaton()
         self.remember = remember
-        self.paths: dict[str, tuple[list[int], float]] = {}
+        self.paths: dict[str, tuple[bytes, float]] = {}
         self.cut = re.compile("▁*[^▁]+|▁+")
 
     def best_path(self, segment: str) -> tuple[list[int], float]:
@@ -93,31 +96,40 @@ class PieceCodec:
             at = start
         return ids[::-1], score[n]
 
-    def encode(self, text: str) -> tuple[list[int], float]:
-        """Piece ids and total score of a whole text."""
+    def encode(self, text: str) -> tuple[bytes, float]:
+        """Piece ids (as 32-bit integers) and total score of a whole text."""
         if not text:
-            return [], 0.0
+            return b"", 0.0
         text = text.replace(" ", "▁")
         if self.dummy:
             text = "▁" + text
         if not self.separable:
-            return self.best_path(text)
-        ids: list[int] = []
-        total, known = 0.0, self.paths
-        for segment in self.cut.findall(text):
-            path = known.get(segment)
-            if path is None:
-                path = self.best_path(segment)
-                if len(segment) <= 64:
-                    if len(known) >= self.remember:
-                        known.clear()
-                    known[segment] = path
-            ids += path[0]
-            total += path[1]
-        return ids, total
+            return self._path(text)
+        known = self.paths
+        segments = self.cut.findall(text)
+        paths = [known.get(x) for x in segments]
+        if None in paths:
+            paths = [p or self._path(x) for p, x in zip(paths, segments)]
+        return b"".join([p[0] for p in paths]), sum([p[1] for p in paths])
+
+    def _path(self, segment: str) -> tuple[bytes, float]:
+        """The best path of a segment, which short segments leave for the next time."""
+        path = self.paths.get(segment)
+        if path is None:
+            ids, score = self.best_path(segment)
+            path = np.array(ids, np.int32).tobytes(), score
+            if len(segment) <= 64:
+                if len(self.paths) >= self.remember:
+                    self.paths.clear()
+                self.paths[segment] = path
+        return path
 
     def decode(self, ids: list[int]) -> str:
         """The text of piece ids."""
+        surface = self.surface
+        if (plain := [surface[i] for i in ids]).count(None) == 0:
+            text = "".join(plain).replace("▁", " ")
+            return text[1:] if self.dummy and text[:1] == " " else text
         out, run = [], bytearray()
         for i in ids:
             if self.kinds[i] == BYTE:
@@ -154,26 +166,28 @@ def piece_encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_
                 flat, sizes, scores = [], [], []
                 for text in part.column(1).to_pylist():
                     ids, score = codec.encode(text)
-                    flat.append(np.array(ids, np.int32))
-                    sizes.append(len(ids))
+                    flat.append(ids)
+                    sizes.append(len(ids) // 4)
                     scores.append(score)
                 offsets = np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)
-                lists = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(flat) if flat else np.zeros(0, np.int32)))
+                lists = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.frombuffer(b"".join(flat), np.int32)))
                 yield pa.RecordBatch.from_arrays([part.column(0), lists, pa.array(sizes, pa.int64()), pa.array(scores, pa.float64())], ["doc_id", "piece_ids", "n_pieces", "path_score"])
 
     kind = src.schema["doc_id"].dataType.simpleString()
     return src.mapInArrow(run, f"doc_id {kind}, piece_ids array<int>, n_pieces long, path_score double")
 
 
-def piece_decode(encoded: DataFrame, model_path: str, id_col: str = "doc_id", ids_col: str = "piece_ids") -> DataFrame:
-    """Rows (doc_id, text): the texts of lists of piece ids (null: empty)."""
-    src = encoded.selectExpr(f"`{id_col}` AS doc_id", f"`{ids_col}` AS piece_ids")
+def piece_decode(encoded: DataFrame, model_path: str, ids_col: str = "piece_ids", text_col: str = "text") -> DataFrame:
+    """``encoded`` (all columns) with ``text_col``, the texts of lists of piece ids (null: empty)."""
     shipped = encoded.sparkSession.sparkContext.broadcast(read_model(model_path))
+    at = encoded.columns.index(ids_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = _codec(shipped.value)
         for batch in batches:
-            texts = [codec.decode(ids or []) for ids in batch.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(texts, pa.string())], ["doc_id", "text"])
+            for a in range(0, batch.num_rows, 500):
+                part = batch.slice(a, 500)
+                texts = [codec.decode(ids or []) for ids in part.column(at).to_pylist()]
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(texts, pa.string())], [*part.schema.names, text_col])
 
-    return src.mapInArrow(run, f"doc_id {src.schema['doc_id'].dataType.simpleString()}, text string")
+    return encoded.mapInArrow(run, T.StructType([*encoded.schema.fields, T.StructField(text_col, T.StringType())]))
