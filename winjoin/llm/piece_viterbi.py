@@ -19,6 +19,7 @@ repeated rows are encoded each; other columns are ignored.
 from __future__ import annotations
 
 import re
+from array import array
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -60,33 +61,43 @@ class PieceCodec:
             self.automaton.add_word(p.piece, (len(p.piece), p.score, i))
         self.automaton.make_automaton()
         self.remember = remember
+        #: Paths of segments: those met lately, and those met before, which go when the first are many.
         self.paths: dict[str, tuple[bytes, float]] = {}
-        self.cut = re.compile("▁*[^▁]+|▁+")
+        self.older: dict[str, tuple[bytes, float]] = {}
+        # line ends and tabs that no piece holds are segments of their own
+        alone = "".join(c for c in "\n\t\r" if not any(c in p.piece for _, p in normal))
+        self.cut = re.compile(f"▁*[^▁{alone}]+|[{alone}]|▁+" if alone else "▁*[^▁]+|▁+")
 
     def best_path(self, segment: str) -> tuple[list[int], float]:
         """Piece ids and score of the best path through one segment (blanks as ▁)."""
         n = len(segment)
-        score: list[float] = [0.0] + [-np.inf] * n
-        back: list[tuple[int, int]] = [(0, -1)] * (n + 1)
-        reached = 0  # ends up to here are settled
+        score = [0.0] + [-np.inf] * n
+        begin = [0] * (n + 1)
+        taken = [-1] * (n + 1)  # piece of the best path that ends here; -1: one character by itself
+        # ends up to here are settled; if every character is a piece, each end is that of a match
+        reached = n if self.single.issuperset(segment) else 0
 
         def by_character(upto: int) -> None:
             nonlocal reached
             while reached < upto:
                 reached += 1
                 if segment[reached - 1] not in self.single and score[reached - 1] + self.floor > score[reached]:
-                    score[reached], back[reached] = score[reached - 1] + self.floor, (reached - 1, -1)
+                    score[reached], begin[reached], taken[reached] = score[reached - 1] + self.floor, reached - 1, -1
 
         for last, (length, worth, piece) in self.automaton.iter(segment):
-            by_character(last)  # all positions before this end
-            total = score[last + 1 - length] + worth
-            if total > score[last + 1]:
-                score[last + 1], back[last + 1] = total, (last + 1 - length, piece)
+            if reached < last:
+                by_character(last)  # all positions before this end
+            end = last + 1
+            total = score[end - length] + worth
+            if total > score[end]:
+                score[end] = total
+                begin[end] = end - length
+                taken[end] = piece
         by_character(n)
         ids: list[int] = []
         at = n
         while at:
-            start, piece = back[at]
+            start, piece = begin[at], taken[at]
             if piece >= 0:
                 ids.append(piece)
             elif self.bytes:
@@ -114,14 +125,14 @@ class PieceCodec:
 
     def _path(self, segment: str) -> tuple[bytes, float]:
         """The best path of a segment, which short segments leave for the next time."""
-        path = self.paths.get(segment)
+        path = self.paths.get(segment) or self.older.get(segment)
         if path is None:
             ids, score = self.best_path(segment)
-            path = np.array(ids, np.int32).tobytes(), score
-            if len(segment) <= 64:
-                if len(self.paths) >= self.remember:
-                    self.paths.clear()
-                self.paths[segment] = path
+            path = array("i", ids).tobytes(), score
+        if len(segment) <= 64:
+            if len(self.paths) >= self.remember:
+                self.older, self.paths = self.paths, {}
+            self.paths[segment] = path
         return path
 
     def decode(self, ids: list[int]) -> str:
