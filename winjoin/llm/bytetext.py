@@ -55,9 +55,9 @@ def flat(column: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
     return raw, offs - offs[0]
 
 
-def pieces(batch: pa.RecordBatch, text: str, most: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+def pieces(batch: pa.RecordBatch, text: str | int, most: int = 2 << 20) -> Iterator[pa.RecordBatch]:
     """Row slices of about ``most`` bytes of text (one row at least)."""
-    at = batch.schema.get_field_index(text)
+    at = text if isinstance(text, int) else batch.schema.get_field_index(text)
     _, offs = flat(batch.column(at))
     start = 0
     while start < batch.num_rows:
@@ -87,7 +87,7 @@ def spans(raw: np.ndarray, offs: np.ndarray, inside: np.ndarray) -> tuple[np.nda
     return starts, ends, np.searchsorted(starts, offs)
 
 
-def run_hashes(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray, block: int = 400_000) -> np.ndarray:
+def run_hashes(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray, block: int = 150_000) -> np.ndarray:
     """A 64-bit hash of the bytes of each run; work space is bounded by ``block`` runs."""
     out = np.empty(len(starts), np.uint64)
     for a in range(0, len(starts), block):

@@ -28,6 +28,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from winjoin.llm import bytetext as B
 from winjoin.llm.frames import text_of
@@ -240,15 +241,16 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
 def quality_scores(docs: DataFrame, model: LineModel, text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
     """``docs`` (columns ``keep``, default all) with a column quality_score."""
     names = docs.columns if keep is None else keep
-    src = docs.select(*(F.col(f"`{c}`") for c in names), F.col(f"`{text_col}`").alias("_line_text"))
+    # the text travels once: as one of the kept columns, or behind them
+    extra = [] if text_col in names else [text_col]
+    src = docs.select(*(F.col(f"`{c}`") for c in [*names, *extra]))
+    at = src.columns.index(text_col)
     shipped = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for p in B.pieces(batch, "_line_text"):
-                scores = shipped.value.score(p.column(p.num_columns - 1))
-                yield pa.RecordBatch.from_arrays([*p.columns[:-1], pa.array(scores, pa.float64())], [*p.schema.names[:-1], "quality_score"])
+            for p in B.pieces(batch, at):
+                scores = shipped.value.score(p.column(at))
+                yield pa.RecordBatch.from_arrays([*p.columns[: len(names)], pa.array(scores, pa.float64())], [*p.schema.names[: len(names)], "quality_score"])
 
-    from pyspark.sql import types as T
-
-    return src.mapInArrow(run, T.StructType([*src.schema.fields[:-1], T.StructField("quality_score", T.DoubleType())]))
+    return src.mapInArrow(run, T.StructType([*src.schema.fields[: len(names)], T.StructField("quality_score", T.DoubleType())]))

@@ -37,7 +37,7 @@ NORMAL, UNKNOWN, BYTE = 1, 2, 6
 class PieceCodec:
     """Best-scoring segmentation by the pieces and scores of a vocabulary file."""
 
-    def __init__(self, model: bytes, remember: int = 300_000):
+    def __init__(self, model: bytes, remember: int = 120_000):
         import ahocorasick
         from sentencepiece import sentencepiece_model_pb2 as pb
 
