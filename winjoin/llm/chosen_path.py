@@ -240,7 +240,7 @@ def _verify(key: tuple, rows: pa.Table, threshold: float) -> pa.Table:
     })
 
 
-def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = 5, threshold: float = 0.8, recall: float = 0.999, depth: int = 3, bucket: int = 48, max_depth: int = 12, block: int = 32) -> DataFrame:
+def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = 5, threshold: float = 0.8, recall: float = 0.999, depth: int = 3, bucket: int = 48, max_depth: int = 6, block: int = 32) -> DataFrame:
     """Rows (doc_id, class_id, n_links, sid, class_sid), one for each row of ``docs``.
 
     sid and class_sid are the keys of the document's set and of its class.
