@@ -23,8 +23,9 @@ from winjoin.llm.queries import PIECE_MODEL, QUALITY_AT, table
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the line classifier scores at 0.7 or more."""
-    scored = quality_scores(docs, train(docs, table(spark, sf_dir, "labels")))
-    return scored.where(F.col("quality_score") >= QUALITY_AT).select(*docs.columns)
+    score = "quality_score" + "_" * sum(c.startswith("quality_score") for c in docs.columns)
+    scored = quality_scores(docs, train(docs, table(spark, sf_dir, "labels")), out=score)
+    return scored.where(F.col(score) >= QUALITY_AT).drop(score)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -238,8 +238,8 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     return fit([(np.frombuffer(r.feats, np.float32).reshape(-1, 3 * OWN), np.frombuffer(r["size"], np.float64), int(r.label > 0)) for r in rows])
 
 
-def quality_scores(docs: DataFrame, model: LineModel, text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
-    """``docs`` (columns ``keep``, default all) with a column quality_score."""
+def quality_scores(docs: DataFrame, model: LineModel, text_col: str = "text", keep: list[str] | None = None, out: str = "quality_score") -> DataFrame:
+    """``docs`` (columns ``keep``, default all) with a column ``out``."""
     names = docs.columns if keep is None else keep
     # the text travels once: as one of the kept columns, or behind them
     extra = [] if text_col in names else [text_col]
@@ -251,6 +251,6 @@ def quality_scores(docs: DataFrame, model: LineModel, text_col: str = "text", ke
         for batch in batches:
             for p in B.pieces(batch, at):
                 scores = shipped.value.score(p.column(at))
-                yield pa.RecordBatch.from_arrays([*p.columns[: len(names)], pa.array(scores, pa.float64())], [*p.schema.names[: len(names)], "quality_score"])
+                yield pa.RecordBatch.from_arrays([*p.columns[: len(names)], pa.array(scores, pa.float64())], [*p.schema.names[: len(names)], out])
 
-    return src.mapInArrow(run, T.StructType([*src.schema.fields[: len(names)], T.StructField("quality_score", T.DoubleType())]))
+    return src.mapInArrow(run, T.StructType([*src.schema.fields[: len(names)], T.StructField(out, T.DoubleType())]))
