@@ -100,4 +100,4 @@ def bmodel_key(ident: Column, b: float = 0.7, levels: int = 24, domain: int = 10
 
 def bmodel_key_sql(ident: str, b: float = 0.7, levels: int = 24, domain: int = 10_000_001, seed: int = 0) -> str:
     bits = " + ".join(f"(CASE WHEN {mix32_sql(f'({ident} + {seed}) * 32 + {j}')} < {int(b * WORD)} THEN {1 << (levels - 1 - j)} ELSE 0 END)" for j in range(levels))
-    return f"((({bits}) * {domain}) >> {levels})"
+    return f"((CAST({bits} AS BIGINT) * {domain}) >> {levels})"

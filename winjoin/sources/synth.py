@@ -83,10 +83,10 @@ class _Stream(SimpleDataSourceStreamReader):
 
     def read(self, start: dict) -> tuple[Iterator[tuple], dict]:
         end = min(start["n"] + int(self.options.get("rowsPerBatch", 500)), int(self.options.get("n", 1000)))
-        return _tuples(self.options, start["n"], end), {"n": end}
+        return iter(list(_tuples(self.options, start["n"], end))), {"n": end}
 
     def readBetweenOffsets(self, start: dict, end: dict) -> Iterator[tuple]:
-        return _tuples(self.options, start["n"], end["n"])
+        return iter(list(_tuples(self.options, start["n"], end["n"])))
 
 
 class BModelSource(DataSource):
