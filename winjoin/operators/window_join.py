@@ -39,7 +39,7 @@ def _pairs(df: DataFrame) -> DataFrame:
 
 
 def choose(left: DataFrame, right: DataFrame, w1: int | None, w2: int | None) -> str:
-    """'cells' where the hottest key's pairs of all times far outnumber those of a window, else 'naive'.
+    """'cells' where a key has hundreds of tuples over many windows, so that pairs of all times far outnumber those of a window; else 'naive'.
 
     One pass of small aggregates: the greatest count of a key and the span of time.
     """
@@ -51,7 +51,7 @@ def choose(left: DataFrame, right: DataFrame, w1: int | None, w2: int | None) ->
     if not top.n:
         return "naive"
     windows = (top.b - top.a + 1) / (w1 + w2 + 1)
-    return "cells" if windows > 4 and top.n > 4 * windows else "naive"
+    return "cells" if windows > 4 and top.n > 256 else "naive"
 
 
 def window_join(left: DataFrame, right: DataFrame, w1: int | None, w2: int | None, strategy: str = "auto", direction: str = "both", how: str = "inner", n_part: int = 60, salts: int = 8, heavy: int = 100_000, slab_us: int | None = None) -> DataFrame:
