@@ -17,7 +17,7 @@ from winjoin.llm.decontam import decontaminate
 from winjoin.llm.frames import materialize
 from winjoin.llm.line_crf import quality_scores, train
 from winjoin.llm.pii_bootstrap import redact
-from winjoin.llm.piece_viterbi import piece_decode, piece_encode
+from winjoin.llm.piece_viterbi import piece_encode
 from winjoin.llm.queries import PIECE_MODEL, QUALITY_AT, table
 
 
@@ -45,8 +45,7 @@ def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Piece ids of each document and the text they decode to."""
-    path = public_tokenizers.path(PIECE_MODEL)
-    return piece_decode(piece_encode(docs, path), path)
+    return piece_encode(docs, public_tokenizers.path(PIECE_MODEL), decoded=True)
 
 
 STAGES = [

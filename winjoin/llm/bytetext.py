@@ -7,6 +7,7 @@ long as the class treats all non-ASCII characters alike.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -31,6 +32,14 @@ _MUL = np.uint64(0x9E3779B97F4A7C15)
 _POWERS = np.cumprod(np.full(4096, _MUL, dtype=np.uint64), dtype=np.uint64)
 
 
+def trim() -> None:
+    """Give freed memory back at the end of a task: workers live on and serve other operators."""
+    pa.default_memory_pool().release_unused()
+    libc = ctypes.CDLL(None)
+    if hasattr(libc, "malloc_trim"):
+        libc.malloc_trim(0)
+
+
 def mix(h: np.ndarray) -> np.ndarray:
     """A bijective 64-bit finaliser: every input bit reaches every output bit."""
     h = h ^ (h >> np.uint64(33))

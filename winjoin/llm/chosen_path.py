@@ -142,6 +142,7 @@ def _describe(docs: DataFrame, n: int) -> DataFrame:
                 for r, k in enumerate(some):
                     held[k] = sk[r].tobytes()
                 yield pa.RecordBatch.from_arrays([p.column(0), pa.array([_key(s) for s in sets], pa.binary()), pa.array(held, pa.binary())], ["doc_id", "sid", "sketch"])
+        B.trim()
 
     return docs.mapInArrow(run, f"doc_id {kind}, sid binary, sketch binary")
 
@@ -162,6 +163,7 @@ def _extend(frame: DataFrame, steps: int, runs: int | None) -> DataFrame:
                     start = p.column(2).to_numpy(zero_copy_only=False).view(np.uint64)
                 rows, node = paths(sk[own], start, steps)
                 yield pa.RecordBatch.from_arrays([p.column(0).take(pa.array(own[rows])), pa.array(node.view(np.int64))], ["rid", "node"])
+        B.trim()
 
     return frame.mapInArrow(grow, "rid long, node long")
 
@@ -198,6 +200,7 @@ def _compare(least: float):
             held = (node[cut:], rid[cut:], sk[cut:])
         if len(held[0]):
             yield emit(ties(*held))
+        B.trim()
 
     return run
 
@@ -309,6 +312,7 @@ def _grams(docs: DataFrame, n: int) -> DataFrame:
             for p in B.pieces(batch, "text"):
                 sets = gram_sets(p.column(1), n)
                 yield pa.RecordBatch.from_arrays([pa.array([_key(s) for s in sets], pa.binary()), pa.array([s.tobytes() for s in sets], pa.binary())], ["sid", "grams"])
+        B.trim()
 
     return docs.select("doc_id", "text").mapInArrow(run, "sid binary, grams binary")
 
@@ -327,6 +331,7 @@ def keep_one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
             for p in B.pieces(batch, text_col):
                 sets = gram_sets(p.column(p.schema.get_field_index(text_col)), options.get("n", 5))
                 yield pa.RecordBatch.from_arrays([*p.columns, pa.array([_key(s) for s in sets], pa.binary())], [*p.schema.names, "_sid"])
+        B.trim()
 
     wide = docs.mapInArrow(keyed, T.StructType([*docs.schema.fields, T.StructField("_sid", T.BinaryType())]))
     stays = wide.join(low, (F.col(f"`{id_col}`").eqNullSafe(F.col("_keep_id"))) & (F.col("_sid") == F.col("_keep_sid")))

@@ -106,6 +106,7 @@ def _scan(docs: DataFrame, part: DataFrame, text_col: str, n: int, spans: bool)
                     columns[at] = _without(p.column(at), starts, ends, first, hit)
                 names = pa.array([sorted({known.items[k] for k in m}) for m in met], pa.list_(pa.string()))
                 yield pa.RecordBatch.from_arrays([*columns, pa.array(n_words, pa.int64()), pa.array(n_hit, pa.int64()), names], [*p.schema.names, "_n_words", "_n_hit", "_items"])
+        B.trim()
 
     return docs.mapInArrow(run, schema)
 

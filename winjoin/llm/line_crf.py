@@ -232,6 +232,7 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
                     [p.column(1), p.column(2), pa.array([feats[a:b].tobytes() for a, b in zip(first[:-1], first[1:])], pa.binary()), pa.array([size[a:b].tobytes() for a, b in zip(first[:-1], first[1:])], pa.binary())],
                     ["order", "label", "feats", "size"],
                 )
+        B.trim()
 
     rows = chosen.select("text", F.xxhash64("doc_id", "text").alias("order"), "label").mapInArrow(run, "order long, label int, feats binary, size binary").dropDuplicates().collect()
     rows.sort(key=lambda r: (r.order, r.label))
@@ -252,5 +253,6 @@ def quality_scores(docs: DataFrame, model: LineModel, text_col: str = "text", ke
             for p in B.pieces(batch, at):
                 scores = shipped.value.score(p.column(at))
                 yield pa.RecordBatch.from_arrays([*p.columns[: len(names)], pa.array(scores, pa.float64())], [*p.schema.names[: len(names)], out])
+        B.trim()
 
     return src.mapInArrow(run, T.StructType([*src.schema.fields[: len(names)], T.StructField(out, T.DoubleType())]))

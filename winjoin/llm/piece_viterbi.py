@@ -28,6 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from winjoin.llm import bytetext as B
 from winjoin.llm.frames import text_of
 from winjoin.llm.token_resync import read_model
 
@@ -135,6 +136,10 @@ class PieceCodec:
             self.paths[segment] = path
         return path
 
+    def forget(self) -> None:
+        """Drop the older generation of paths."""
+        self.older = {}
+
     def decode(self, ids: list[int]) -> str:
         """The text of piece ids."""
         surface = self.surface
@@ -164,8 +169,8 @@ def _codec(model: bytes) -> PieceCodec:
     return PieceCodec(model)
 
 
-def piece_encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Rows (doc_id, piece_ids, n_pieces, path_score), one for each row of ``docs``."""
+def piece_encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: str = "text", decoded: bool = False) -> DataFrame:
+    """Rows (doc_id, piece_ids, n_pieces, path_score), one for each row of ``docs``; with ``decoded`` also text, decoded from the ids in the same pass."""
     src = text_of(docs, id_col, text_col)
     shipped = docs.sparkSession.sparkContext.broadcast(read_model(model_path))
 
@@ -182,10 +187,16 @@ def piece_encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_
                     scores.append(score)
                 offsets = np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)
                 lists = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.frombuffer(b"".join(flat), np.int32)))
-                yield pa.RecordBatch.from_arrays([part.column(0), lists, pa.array(sizes, pa.int64()), pa.array(scores, pa.float64())], ["doc_id", "piece_ids", "n_pieces", "path_score"])
-
+                columns = [part.column(0), lists, pa.array(sizes, pa.int64()), pa.array(scores, pa.float64())]
+                if decoded:
+                    columns.append(pa.array([codec.decode(np.frombuffer(ids, np.int32).tolist()) for ids in flat], pa.string()))
+                yield pa.RecordBatch.from_arrays(columns, names[: len(columns)])
+        codec.forget()
+        B.trim()
+
+    names = ["doc_id", "piece_ids", "n_pieces", "path_score", "text"]
     kind = src.schema["doc_id"].dataType.simpleString()
-    return src.mapInArrow(run, f"doc_id {kind}, piece_ids array<int>, n_pieces long, path_score double")
+    return src.mapInArrow(run, f"doc_id {kind}, piece_ids array<int>, n_pieces long, path_score double" + ", text string" * decoded)
 
 
 def piece_decode(encoded: DataFrame, model_path: str, ids_col: str = "piece_ids", text_col: str = "text") -> DataFrame:
