@@ -193,7 +193,7 @@ query("comparisons_untuned", _OPP.format(g="pid", l=_P.format(ev("click")), r=_P
 _FINE = f"(SELECT {PID} AS pid, {H.mini_bits_sql('key', DEPTH)} AS bits, count(*) AS c FROM {MERGED} GROUP BY 1, 2)"
 _NODES = f"(SELECT pid, depth, bits % (1 << depth) AS suffix, sum(c) AS n FROM {_FINE}, (SELECT CAST(unnest(range({DEPTH + 1})) AS INTEGER) AS depth) GROUP BY 1, 2, 3)"
 _LEAVES = f"""(SELECT x.pid AS pid, x.depth AS depth, CAST(x.suffix AS INTEGER) AS suffix, CAST(x.n AS BIGINT) AS n, x.n > {2 * THETA} AS unsplittable FROM {_NODES} x
-    WHERE (x.n <= {2 * THETA} OR x.depth = {DEPTH}) AND (x.depth = 0 OR EXISTS (SELECT 1 FROM {_NODES} p WHERE p.pid = x.pid AND p.depth = x.depth - 1 AND p.suffix = x.suffix % (1 << (x.depth - 1)) AND p.n > {2 * THETA})))"""
+    WHERE (x.n <= {2 * THETA} OR x.depth = {DEPTH}) AND (x.depth = 0 OR EXISTS (SELECT 1 FROM {_NODES} p WHERE p.pid = x.pid AND p.depth = x.depth - 1 AND p.suffix = x.suffix % (1 << greatest(x.depth - 1, 0)) AND p.n > {2 * THETA})))"""
 
 
 def _leaves(s: SparkSession, d: str) -> DataFrame:
