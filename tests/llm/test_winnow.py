@@ -3,7 +3,7 @@ import random
 
 from pyspark.sql import functions as F
 
-from winjoin.llm.winnow import edited_likeness, fingerprints
+from winjoin.llm.winnow import WORD, edited_likeness, fingerprints
 
 
 def rows_of(n=150):
@@ -36,7 +36,7 @@ def test_selection_against_brute_force(spark):
     k, w = 3, 4
     texts = [(i, t or "") for i, t in rows_of(40)]
     df = spark.createDataFrame(texts, "doc_id long, text string")
-    grams = df.select("doc_id", F.transform(F.regexp_extract_all(F.lower("text"), F.lit(r"[\p{L}\p{M}\p{N}]{1,16}"), F.lit(0)), lambda x: F.xxhash64(x)).alias("h"))
+    grams = df.select("doc_id", F.transform(F.regexp_extract_all(F.lower("text"), F.lit(WORD), F.lit(0)), lambda x: F.xxhash64(x)).alias("h"))
     grams = grams.select("doc_id", "h", F.when(F.size("h") >= k, F.transform(F.sequence(F.lit(0), F.size("h") - k), lambda i: F.xxhash64(*(F.get("h", i + j) for j in range(k))))).alias("g"), F.xxhash64("h").alias("all"))
     want = []
     for r in grams.collect():

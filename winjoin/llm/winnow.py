@@ -1,19 +1,19 @@
 """Winnowed fingerprints of whole texts, in DataFrame functions alone.
 
-A text is lower-cased and cut into words of letters, marks and digits, runs
-above 16 characters into pieces of 16 (so that scripts without blanks keep
-several). Each ``k`` consecutive words give a gram hash of 32 bits; of every
-``window`` consecutive grams the least hash is selected, of equal ones the
-rightmost, with its position. Two texts that share ``window + k - 1``
-consecutive words share a selected hash. A text of fewer than k words is one
-gram, grams fewer than a window are one window.
+A text is lower-cased and its runs of letters, marks and digits are cut into
+pieces of at most 4 characters, counted from the start of each run. Each ``k``
+consecutive pieces give a gram hash of 32 bits; of every ``window`` consecutive
+grams the least hash is selected, of equal ones the rightmost, with its
+position. Two texts that share ``window + k - 1`` consecutive pieces share a
+selected hash. A text of fewer than k pieces is one gram, grams fewer than a
+window are one window.
 
 A hash and its position travel as one long, hash first and position counted
 down, so that the least long is the least hash at its rightmost place.
 
 Edge cases: null, empty and wordless texts have the empty fingerprint; two
 empty fingerprints are alike (1), an empty and another one are not (0);
-positions reach 2^31 - 1 words; repeated rows are fingerprinted each.
+positions reach 2^31 - 1 pieces; repeated rows are fingerprinted each.
 """
 
 from __future__ import annotations
@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 _LOW = (1 << 31) - 1
-WORD = r"[\p{L}\p{M}\p{N}]{1,16}"
+WORD = r"[\p{L}\p{M}\p{N}]{1,4}"
 
 
 def with_fingerprint(df: DataFrame, text: str, out: str, k: int = 5, window: int = 4) -> DataFrame:
