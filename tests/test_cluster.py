@@ -148,6 +148,15 @@ def test_spread_epochs_windows_and_buffers(spark, setting):
     assert peaks == sorted(peaks, reverse=True)
 
 
+def test_grid_finds_the_cheapest_within_a_delay(setting):
+    found = X.grid(setting, (0.5, 2)).cache()
+    delay = values(found, "delay_avg_us")
+    top = X.best(found, max(max(v) for v in delay.values())).first().scenario
+    assert top.endswith("td=2")
+    assert X.best(found, min(min(v) for v in delay.values())).first().scenario.endswith("td=0.5")
+    assert X.best(found, 0).collect() == []
+
+
 def test_arrivals_are_poisson(spark):
     from winjoin.sources.synth import poisson_stream
 

@@ -85,6 +85,23 @@ def channels(n_nodes: int, pattern: str = "fixed") -> int:
     return 2 * n_nodes if pattern == "fixed" else n_nodes * (n_nodes - 1)
 
 
+def degree_by_estimate(rate: float, td_s: float, n_nodes: int, cost: CostSpec, share: float = 0.01) -> int:
+    """The baseline that fixes the number of nodes once: the most nodes whose messages take at most ``share`` of an epoch,
+    at an estimated rate. It is wrong whenever the rate moves."""
+    fixed = rate * td_s * cost.tuple_bytes * cost.ns_per_byte
+    room = share * td_s * 1e9 - fixed
+    return max(1, min(n_nodes, int(room // cost.ns_per_message)))
+
+
+def state_bytes(held: DataFrame, cost: CostSpec, buckets: DataFrame | None = None) -> DataFrame:
+    """What moving a group sends: its window tuples and, where it has a directory, eight bytes for each bucket. (pid, bytes) of (pid, n)."""
+    out = held.select("pid", (F.col("n") * F.lit(cost.tuple_bytes)).alias("bytes"))
+    if buckets is None:
+        return out
+    n = buckets.groupBy("pid").agg((F.count(F.lit(1)) * 8).alias("more"))
+    return out.join(n, "pid", "left").select("pid", (F.col("bytes") + F.coalesce("more", F.lit(0))).alias("bytes"))
+
+
 def buffer_bound(rate: float, td_s: float, n_groups: int) -> float:
     """Most tuples of one stream that wait at the master, for even arrivals."""
     return rate * td_s / 2 * (1 + 1 / n_groups)

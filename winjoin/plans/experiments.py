@@ -200,6 +200,17 @@ def ablations(s: Setting) -> DataFrame:
     return run_cases("w12", s, cases)
 
 
+def grid(s: Setting, epochs=(0.5, 1, 2), groups=(1, 2), rate: float = 1.0) -> DataFrame:
+    """Offline search over the epoch's length and the number of sub-groups."""
+    return run_cases("grid", s, [Case("td", f, rate, cluster=with_nodes(s.cluster, 4, adaptive=False, td_us=int(s.cluster.td_us * f), n_groups=g), variant=f"groups{g}") for g in groups for f in epochs])
+
+
+def best(measures: DataFrame, delay_limit_us: float) -> DataFrame:
+    """Of a grid's scenarios within a limit on delay the one of least communication."""
+    wide = measures.groupBy("scenario").pivot("measure", ["delay_avg_us", "comm_all_ns"]).agg(F.first("value"))
+    return wide.where(F.col("delay_avg_us") <= delay_limit_us).orderBy("comm_all_ns", "scenario").limit(1)
+
+
 def generated(spark: SparkSession, base_rate: float = 60, window_s: float = 60, n_part: int = 20, b: float = 0.7, domain: int = 10_000_001) -> Setting:
     """Two independent Poisson streams; rate multiple 1 stands for 1500 tuples a second of the full-size setting.
 

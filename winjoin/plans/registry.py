@@ -309,6 +309,12 @@ query("buffer_trace", f"""WITH r AS {_routed_sql(2)}, i AS (SELECT DISTINCT leav
     lambda s, d: E.buffer_trace(_routed(s, d, GROUPED)).agg(F.max("waiting").alias("peak")))
 
 
+query("state_bytes", f"""WITH z AS (SELECT {PID} AS pid, count(*) AS n FROM {MERGED} GROUP BY 1), b AS (SELECT pid, count(*) AS k FROM {_LEAVES} GROUP BY 1)
+    SELECT z.pid AS pid, CAST(z.n * 64 + b.k * 8 AS BIGINT) AS bytes FROM z JOIN b ON z.pid = b.pid""")(
+    lambda s, d: E.state_bytes(_placed(S.merge_tagged(pair(s, d))).groupBy("pid").agg(F.count(F.lit(1)).alias("n")), COST, _leaves(s, d)))
+query("degree_by_estimate", "SELECT rate, CAST(greatest(1, least(8, CAST(floor((0.01 * 2e9 - rate * 2 * 64 * 8) / 500000) AS INTEGER))) AS INTEGER) AS nodes FROM (VALUES (1500), (6000), (20000)) v(rate)")(
+    lambda s, d: s.createDataFrame([(r, E.degree_by_estimate(r, 2, 8, COST)) for r in (1500, 6000, 20000)], "rate int, nodes int"))
+
 # -- queues, classes, moves ----------------------------------------------------------------------------
 
 _WORK = f"(SELECT epoch, node, CAST(count(*) AS BIGINT) AS work FROM (SELECT {E.floor_div_sql(f't - {T0}', TR)} AS epoch, CAST({_NODE} AS INTEGER) AS node FROM {MERGED}) GROUP BY 1, 2)"
@@ -427,6 +433,8 @@ query("result_difference_empty", "SELECT CAST(0 AS BIGINT) AS n")(lambda s, d: C
 query("node_ranks", f"SELECT node, w, CAST(rank() OVER (ORDER BY w DESC) AS INTEGER) AS r, CAST(ntile(2) OVER (ORDER BY w DESC, node) AS INTEGER) AS half FROM (SELECT node, CAST(sum(work) AS BIGINT) AS w FROM {_WORK} GROUP BY node)")(
     lambda s, d: _work(s, d).groupBy("node").agg(F.sum("work").alias("w")).select("node", "w", F.rank().over(Window.orderBy(F.col("w").desc())).alias("r"), F.ntile(2).over(Window.orderBy(F.col("w").desc(), "node")).alias("half")))
 query("map_assignment", f"SELECT id, CAST({_NODE} AS INTEGER) AS node FROM {ev('click')}")(lambda s, d: _placed(S.events(s, d, "click")).select("id", F.element_at(F.create_map(*(F.lit(x) for p in range(N_PART) for x in (p, p % NODES))), F.col("pid")).alias("node")))
+query("roundtrip_json", "SELECT event_id, user_id, event_type FROM events")(
+    lambda s, d: S.table(s, d, "events").select(F.from_json(F.to_json(F.struct("event_id", "user_id", "event_type")), "event_id bigint, user_id bigint, event_type string").alias("e")).select("e.*"))
 query("payload_passthrough", "SELECT event_id AS id, json_extract_string(props, '$.k') AS k, event_type FROM events WHERE user_id IS NOT NULL")(
     lambda s, d: S.as_stream(S.table(s, d, "events"), "user_id", "ts", "event_id", ["event_type", "props"]).select("id", F.get_json_object("payload.props", "$.k").alias("k"), "payload.event_type"))
 
@@ -448,5 +456,6 @@ def degree_trace(s: SparkSession, d: str) -> DataFrame:
     return trace.groupBy("epoch").agg(F.max("active").alias("active"))
 
 
+query("exp_grid")(lambda s, d: X.grid(X.on_events(s, d)))
 for _name, _workload in X.WORKLOADS.items():
     query(f"exp_{_name}")(lambda s, d, f=_workload: f(X.on_events(s, d)))
