@@ -56,3 +56,25 @@ def test_stages_against_brute_force(spark, tmp_path):
 
 def test_registry():
     assert [k.split("_")[0] for k in QUERIES] == [f"op{n}" for n in range(1, 11)]
+
+
+def test_odd_rows_and_empty_tables(spark, tmp_path):
+    good = "the quiet river runs below the old stone bridge and nobody counts its many slow turns today"
+    rows = [(1, good, "en", "s", 9, "x"), (1, good, "en", "s", 9, "x"), (2, None, None, None, None, None), (None, good + " now", "en", "s", 3, "y"), (3, "", "en", None, 0, ""), (4, "JUNK!! " * 40, "en", "s", 5, "z"), (None, None, None, None, None, None)]
+    schema = "doc_id long, text string, lang string, source string, n_chars long, quality_score string"
+    labels = [(i, int(i % 3 > 0)) for i in range(60)]
+    many = [(i + 10, good + f" {i} " + " ".join(f"w{(i * 7 + k) % 97}" for k in range(30)) if i % 3 else "BAD!! " * (20 + i), "en", "s", 1, "q") for i in range(60)]
+    for name, docs in (("some", rows + many), ("none", [])):
+        d = f"{tmp_path}/{name}"
+        spark.createDataFrame(docs, schema).write.parquet(f"{d}/documents.parquet")
+        spark.createDataFrame([(i + 10, q, 0) for i, q in labels], "doc_id long, quality int, toxic int").write.parquet(f"{d}/labels.parquet")
+        spark.createDataFrame([(1, "a benchmark item of some ten words that nobody has copied here")] if docs else [], "item_id long, text string").write.parquet(f"{d}/benchmark.parquet")
+        got = C.run(spark, d).collect()
+        assert bool(got) == bool(docs)
+        if docs:
+            ids = [r.doc_id for r in got]
+            assert ids.count(1) == 1 and 4 not in ids and all(r.n_pieces == len(r.piece_ids) for r in got)
+    for name in ("op1_license_scan", "op2_token_counts", "op3_jaccard_join", "op4_decontamination", "op6_piece_encoding", "op7_katz", "op8_quality", "op9_winnowing", "op10_pii"):
+        n = len(QUERIES[name](spark, f"{tmp_path}/some").collect())
+        assert n == len(rows) + len(many) or name == "op1_license_scan", name
+        assert QUERIES[name](spark, f"{tmp_path}/none").collect() == [], name
