@@ -68,7 +68,9 @@ def _part_of_word(word: np.ndarray, parts: int) -> np.ndarray:
 
 
 def _part_of_pair(ctx: np.ndarray, word: np.ndarray, heavy: np.ndarray, parts: int) -> np.ndarray:
-    """The partition of a bigram: that of its context, spread by the follower if the context is heavy."""
+    """The partition of a bigram: that of its context, spread by the follower if the context is heavy. Work space is bounded."""
+    if len(ctx) > 500_000:
+        return np.concatenate([_part_of_pair(ctx[a : a + 500_000], word[a : a + 500_000], heavy, parts) for a in range(0, len(ctx), 500_000)])
     at = np.minimum(np.searchsorted(heavy, ctx), max(len(heavy) - 1, 0))
     is_heavy = heavy[at] == ctx if len(heavy) else np.zeros(len(ctx), bool)
     salted = np.where(is_heavy, B.mix(ctx + (word % SALTS + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15)), ctx)
@@ -114,6 +116,7 @@ def _counts(docs: DataFrame, parts: int, flush: int) -> DataFrame:
                     held, size = [], 0
         if size:
             yield out()
+        B.trim()
 
     def merge(key: tuple, rows: pa.Table) -> pa.Table:
         word = np.frombuffer(b"".join(rows.column("word").to_pylist()), np.uint64)
@@ -164,6 +167,8 @@ def _pair_blocks(docs: DataFrame, heavy: np.ndarray, parts: int, flush: int) ->
                     held, size = [], 0
         if size:
             yield from out()
+        held.clear()
+        B.trim()
 
     return docs.select("text").mapInArrow(count, "part int, ctx binary, fan binary, word binary, n binary")
 
@@ -330,7 +335,6 @@ def _requests(docs: DataFrame, heavy: np.ndarray, parts: int, flush: int) -> Dat
 
         def out() -> Iterator[pa.RecordBatch]:
             ctx, word, row = (np.concatenate([h[k] for h in held]) for k in (0, 1, 2))
-            row = row.astype(np.uint16)
             for k, _, c, w, r in _by_part(_part_of_pair(ctx, word, shipped.value, parts), parts, ctx, word, row):
                 order = np.lexsort((r, w, c))
                 c, w, r = c[order], w[order], r[order]
@@ -353,13 +357,15 @@ def _requests(docs: DataFrame, heavy: np.ndarray, parts: int, flush: int) -> Dat
                         block += 1
                     word, first = tokens(q.column(1))
                     ctx, word = _pairs((word, first))
-                    held.append((ctx, word, np.repeat(np.arange(q.num_rows) + rows, np.diff(first))))
+                    held.append((ctx, word, np.repeat((np.arange(q.num_rows) + rows).astype(np.uint16), np.diff(first))))
                     ids.append(q.column(0))
                     sizes.append(np.diff(first))
                     size += len(word)
                     rows += q.num_rows
         if size:
             yield from out()
+        held.clear()
+        B.trim()
 
     return docs.select("doc_id", "text").mapInArrow(ask, f"part int, block long, ctx binary, fan binary, word binary, n binary, at binary, sizes binary, ids array<{kind.simpleString()}>")
 
