@@ -6,6 +6,7 @@ from collections import Counter, defaultdict
 
 import pytest
 
+from winjoin.llm import katz, queries
 from winjoin.llm.katz import discounts, katz_scores
 
 TOKEN = re.compile(r"[^\x20\x09-\x0D]+")
@@ -89,3 +90,37 @@ def test_empty_tables(spark):
     only_held = docs.where("doc_id IS NOT NULL").where("crc32(cast(doc_id as string)) % 7 = 2")
     got = katz_scores(only_held).collect()
     assert got and all(r.n_known == 0 and r.train_tokens == 0 and r.score == r.base_score == 0 for r in got)
+
+
+class Whole(Reference):
+    """Every bigram of training kept, those seen once with their Good-Turing discount."""
+
+    def __init__(self, texts, gt_max=5, absolute=0.75):
+        super().__init__(texts, gt_max, absolute)
+        d = discounts(Counter(self.pair.values()), gt_max, absolute, 1)
+        ctx = Counter({"<s>": len(texts)}) + self.c
+        raw = {(h, w): (1.0 if r > gt_max else d[r]) * r / ctx[h] for (h, w), r in self.pair.items()}
+        s, q = defaultdict(float), defaultdict(float)
+        for (h, w), x in raw.items():
+            s[h] += x
+            q[h] += self.p[w]
+        f = {h: ctx[h] / (ctx[h] + 1) / s[h] if s[h] > 1 - 1e-9 else 1.0 for h in s}
+        self.star = {(h, w): x * f[h] for (h, w), x in raw.items()}
+        self.alpha = {h: (1 - s[h] * f[h]) / (1 - q[h]) for h in s}
+
+
+@pytest.mark.parametrize("flush,parts,block", [(6_000_000, None, 4_000_000), (700, 5, 300)])
+def test_query_keeps_bigrams_seen_once(spark, tmp_path, monkeypatch, flush, parts, block):
+    rows = corpus() + [(505, "solo pair")]
+    assert not held(505)
+    monkeypatch.setattr(katz, "BLOCK", block)
+    monkeypatch.setattr(queries, "katz_scores", lambda docs, **kw: katz_scores(docs, flush=flush, parts=parts, **kw))
+    spark.createDataFrame(rows, "doc_id long, text string").repartition(3, "doc_id").write.parquet(str(tmp_path / "documents.parquet"))
+    ref = Whole([t for i, t in rows if not held(i)])
+    assert ref.prob("solo", "pair") > 2 * ref.alpha["solo"] * ref.p["pair"]
+    key = lambda r: (str(r[0]), r[2], r[5])
+    got = sorted(([r.doc_id, r.held_out, r.n_tokens, r.n_known, r.train_tokens, r.base_score, r.score] for r in queries.op7_katz(spark, str(tmp_path)).collect()), key=key)
+    want = sorted(([i, held(i), *ref.row(t)] for i, t in rows), key=key)
+    assert len(got) == len(want)
+    for g, w in zip(got, want):
+        assert g[:5] == w[:5] and g[5] == pytest.approx(w[5]) and g[6] == pytest.approx(w[6]), (g, w)

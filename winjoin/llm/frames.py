@@ -25,7 +25,7 @@ def shared_dir(spark: SparkSession, name: str) -> str:
     return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
 
 
-def materialize(df: DataFrame, name: str) -> DataFrame:
+def materialize(df: DataFrame, name: str, options: dict | None = None) -> DataFrame:
     """Write a frame to the shared folder and read it back: lineage ends there, lost executors lose nothing.
 
     The shuffle files of the write are deleted once it has ended.
@@ -34,7 +34,7 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     path, held = shared_dir(spark, name), spark.conf.get(_CLEANUP)
     spark.conf.set(_CLEANUP, "true")
     try:
-        df.write.parquet(path)
+        df.write.options(**(options or {})).parquet(path)
     finally:
         spark.conf.set(_CLEANUP, held)
     return spark.read.schema(df.schema).parquet(path)

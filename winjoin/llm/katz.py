@@ -12,18 +12,23 @@ can be so frequent) by its follower too.
 
 *Model.* Good-Turing discounts apply to counts up to ``gt_max``: d(r) is the
 ratio of the adjusted to the raw count, renormalised so that the mass that
-discounting frees equals that of the counts of one. Bigrams seen once take no
-mass of their own (their discount is zero), which leaves them to the backoff.
-Where the counts of counts give no ratio in (0, 1], ``absolute`` is subtracted instead.
+discounting frees equals that of the counts of one. Where the counts of counts
+give no ratio in (0, 1], ``absolute`` is subtracted instead. Bigrams seen fewer
+than ``least`` times take no mass of their own (their discount is zero), which
+leaves them to the backoff; with ``least`` 1 every bigram is kept.
 Unigrams are discounted likewise, what that frees goes to one unknown word.
 Weights are exact: alpha(h) = (1 - sum p*(w|h)) / (1 - sum p(w)), both sums over
-the kept followers of h; where the kept followers leave nothing, they are scaled by n/(n+1), n being the context's count. The model is written as two tables in the shared folder,
-partitioned by the number by which scoring deals its requests.
+the kept followers of h; where the kept followers leave nothing, they are scaled by n/(n+1), n being the context's count.
+The model stays packed: a partition's blocks hold its bigrams with their counts,
+those of their followers (asked once a block and word from the partition that
+counts the word) and of their contexts, from which scoring derives p* and alpha.
+Only contexts spread over partitions have their sums added up beforehand.
 
 *Evaluation.* p(w|h) is p*(w|h) if the bigram is kept, else alpha(h) p(w), and p(w)
 is p*(w) if w is known, else that of the unknown word. Tasks ship each
 context, follower and the rows they occur in once per block; a partition looks
-up its blocks in its slice of the model and returns partial sums per row.
+up its blocks in its slice of the model and returns partial sums per row. The rows
+are scored in ``passes`` passes, so that the requests of one pass at a time are on disk.
 
 Edge cases: null and empty texts have the end token alone; rows of equal ids are
 scored each; null ids train and are not held out; with no training rows every
@@ -42,12 +47,16 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from winjoin.llm import bytetext as B
-from winjoin.llm.frames import materialize, release, text_of
+from winjoin.llm.frames import bounded_rows, materialize, release, text_of
 
 #: Stand-ins for the end token and the start context; they hash no word's bytes.
 END = B.mix(np.array([0x656E64], np.uint64))[0]
 START = B.mix(np.array([0x7374617274], np.uint64))[0]
 SALTS = np.uint64(64)
+#: Bigrams in one packed row at most.
+BLOCK = 1_000_000
+#: Packed rows are large: the writer looks at its page and row group after each, not after a hundred.
+_LARGE_ROWS = {"parquet.block.size": 16 << 20, "parquet.page.size.row.check.min": 1, "parquet.block.size.row.check.min": 1}
 
 
 def tokens(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -205,20 +214,155 @@ def _unblock(rows: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return np.concatenate(ctxs), np.concatenate(words), np.concatenate(ns)
 
 
-def _merge_pairs(key: tuple, rows: pa.Table) -> pa.Table:
-    """Bigrams of a partition that occur twice or more; those that occur once only as counts of counts (ctx 0, word 0)."""
-    part = key[0].as_py()
-    ctx, word, n = _unblock(rows)
-    order = np.lexsort((word, ctx))
-    ctx, word, n = ctx[order], word[order], n[order]
-    at = np.flatnonzero(np.concatenate([[True], (ctx[1:] != ctx[:-1]) | (word[1:] != word[:-1])]))
-    ctx, word, n = ctx[at], word[at], np.add.reduceat(n, at)
-    keep = n > 1
-    ones = int((~keep).sum())
-    return pa.table({
-        "part": pa.array(np.full(int(keep.sum()) + 1, part, np.int32)), "once": pa.array(np.append(np.zeros(int(keep.sum()), np.int64), ones)),
-        "ctx": np.append(ctx[keep], np.uint64(0)).view(np.int64), "word": np.append(word[keep], np.uint64(0)).view(np.int64), "n": np.append(n[keep], 0),
-    })
+def _merge_pairs(least: int, top: int):
+    """Bigrams of a partition that occur ``least`` times or more, packed; the first block has the numbers of bigrams seen 0 to ``top`` times."""
+
+    def run(key: tuple, rows: pa.Table) -> pa.Table:
+        ctx, word, n = _unblock(rows)
+        order = np.lexsort((word, ctx))
+        ctx, word, n = ctx[order], word[order], n[order]
+        at = np.flatnonzero(np.concatenate([[True], (ctx[1:] != ctx[:-1]) | (word[1:] != word[:-1])]))
+        ctx, word, n = ctx[at], word[at], np.add.reduceat(n, at)
+        seen = np.bincount(n[n <= top], minlength=top + 1)
+        if least > 1:
+            keep = n >= least
+            ctx, word, n = ctx[keep], word[keep], n[keep]
+        out = []
+        for k, a in enumerate(range(0, max(len(ctx), 1), BLOCK)):
+            c, w = ctx[a : a + BLOCK], word[a : a + BLOCK]
+            head = _heads(c)
+            out.append({"part": key[0].as_py(), "block": k, "ctx": c[head].tobytes(), "fan": np.diff(np.append(head, len(c))).astype(np.uint32).tobytes(), "word": w.tobytes(), "n": _small(n[a : a + BLOCK]), "seen": seen.tolist() if k == 0 else None})
+        B.trim()
+        return pa.Table.from_pylist(out, _PAIRS)
+
+    return run
+
+
+_PAIRS = pa.schema([("part", pa.int32()), ("block", pa.int32()), ("ctx", pa.binary()), ("fan", pa.binary()), ("word", pa.binary()), ("n", pa.binary()), ("seen", pa.list_(pa.int64()))])
+_MODEL = pa.schema([("part", pa.int32()), ("block", pa.int32()), ("ctx", pa.binary()), ("fan", pa.binary()), ("ctx_n", pa.binary()), ("word", pa.binary()), ("n", pa.binary()), ("codes", pa.binary()), ("values", pa.binary()), ("spread", pa.binary())])
+
+
+def _heads(ctx: np.ndarray) -> np.ndarray:
+    """Where runs of equal contexts begin."""
+    new = np.ones(len(ctx), bool)
+    new[1:] = ctx[1:] != ctx[:-1]
+    return np.flatnonzero(new)
+
+
+def _asked_words(ctx: bytes, word: bytes, parts: int) -> tuple[np.ndarray, np.ndarray]:
+    """The distinct words of a block, contexts included, by the partition that counts them, and these partitions."""
+    u = np.unique(np.concatenate([np.frombuffer(ctx, np.uint64), np.frombuffer(word, np.uint64)]))
+    own = _part_of_word(u, parts)
+    order = np.argsort(own, kind="stable")
+    return u[order], own[order]
+
+
+def _word_counts(pairs: DataFrame, words: DataFrame, parts: int) -> DataFrame:
+    """Counts of the words of each block (part, block, own, n), in the order of ``_asked_words``; and of each partition its own words (part, block -1, word, n)."""
+
+    def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part, block, ctx, word in zip(*(c.to_pylist() for c in batch.columns)):
+                u, own = _asked_words(ctx, word, parts)
+                rows = [{"own": r["part"], "part": part, "block": block, "word": r["word"]} for r in _pack(own, {"word": u})]
+                yield pa.RecordBatch.from_pylist(rows, pa.schema([("own", pa.int32()), ("part", pa.int32()), ("block", pa.int32()), ("word", pa.binary())]))
+        B.trim()
+
+    def reply(key: tuple, asked: pa.Table, counted: pa.Table) -> pa.Table:
+        own = key[0].as_py()
+        word, n = counted.column("word").to_numpy().view(np.uint64), counted.column("n").to_numpy()
+        order = np.argsort(word)
+        word, n = word[order], n[order]
+        out = [{"part": own, "block": -1, "own": own, "word": word.tobytes(), "n": _small(n)}]
+        for part, block, wanted in zip(*(asked.column(c).to_pylist() for c in ("part", "block", "word"))):
+            at, there = _find(word, np.frombuffer(wanted, np.uint64))
+            out.append({"part": part, "block": block, "own": own, "n": _small(np.where(there, n[at], 0) if len(n) else np.zeros(len(at), np.int64))})
+        B.trim()
+        return pa.Table.from_pylist(out, pa.schema([("part", pa.int32()), ("block", pa.int32()), ("own", pa.int32()), ("word", pa.binary()), ("n", pa.binary())]))
+
+    asked = pairs.select("part", "block", "ctx", "word").mapInArrow(ask, "own int, part int, block int, word binary")
+    own = F.pmod(F.shiftrightunsigned("word", 20), F.lit(parts)).cast("int").alias("own")
+    return asked.groupBy("own").cogroup(words.select(own, "word", "n").groupBy("own")).applyInArrow(reply, "part int, block int, own int, word binary, n binary")
+
+
+@dataclass
+class Rates:
+    """Probabilities by count: of a word, and of a bigram before the division by its context's count."""
+
+    words: np.ndarray
+    pairs: np.ndarray
+    scale: float
+
+    def word(self, n: np.ndarray) -> np.ndarray:
+        return np.where(n < len(self.words), self.words[np.minimum(n, len(self.words) - 1)], 1.0) * n * self.scale
+
+    def pair(self, n: np.ndarray) -> np.ndarray:
+        return np.where(n < len(self.pairs), self.pairs[np.minimum(n, len(self.pairs) - 1)], 1.0) * n
+
+
+def _weights(s: np.ndarray, q: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """log10 of alpha and of f / alpha of contexts from their sums of p* and p and their counts.
+
+    A context whose followers are all frequent frees no mass: one count more then stands for the unseen.
+    """
+    f = np.where(s > 1 - 1e-9, n / (n + 1.0) / np.where(s > 0, s, 1.0), 1.0)
+    a = (1 - s * f) / (1 - q)
+    return np.log10(a), np.log10(f / a)
+
+
+def _resolve(rates: Rates, heavy: np.ndarray, starts: int, parts: int):
+    """A partition's blocks with the counts of their followers (codes into values) and contexts; its words that are no context in it
+    as block -1; the sums of its spread contexts (context, sum of p*, sum of p) in column spread."""
+
+    def run(key: tuple, pairs: pa.Table, counts: pa.Table) -> pa.Table:
+        part = key[0].as_py()
+        replies: dict[int, list] = {}
+        own = (b"", b"")
+        for block, frm, word, n in zip(*(counts.column(c).to_pylist() for c in ("block", "own", "word", "n"))):
+            if block < 0:
+                own = (word, n)
+            else:
+                replies.setdefault(block, []).append((frm, n))
+        out, contexts = [], [np.zeros(0, np.uint64)]
+        for block, ctx, fan, word, n in zip(*(pairs.column(c).to_pylist() for c in ("block", "ctx", "fan", "word", "n"))):
+            u, frm = _asked_words(ctx, word, parts)
+            sizes = np.bincount(frm, minlength=parts) if len(u) else np.zeros(parts, np.int64)
+            of = np.concatenate([_unsmall(d, int(sizes[k])) for k, d in sorted(replies.get(block, []))] or [np.zeros(0, np.int64)])
+            order = np.argsort(u)
+            u, of = u[order], of[order]
+            h, w, wide = np.frombuffer(ctx, np.uint64), np.frombuffer(word, np.uint64), np.frombuffer(fan, np.uint32)
+            ctx_n = np.where(h == START, starts, of[np.searchsorted(u, h)])
+            values, code = np.unique(of, return_inverse=True)
+            code = code.astype(np.uint16 if len(values) <= 65536 else np.uint32)[np.searchsorted(u, w)]
+            contexts.append(h)
+            _, spread = _find(heavy, h)
+            sums = b""
+            if spread.any():
+                first = np.cumsum(wide, dtype=np.int64) - wide
+                s = np.add.reduceat(rates.pair(_unsmall(n, len(w))), first) / ctx_n
+                q = np.add.reduceat(rates.word(values[code]), first)
+                sums = h[spread].tobytes() + s[spread].tobytes() + q[spread].tobytes()
+            out.append({"part": part, "block": block, "ctx": ctx, "fan": fan, "ctx_n": _small(ctx_n), "word": word, "n": n, "codes": code.tobytes(), "values": values.tobytes(), "spread": sums})
+        word = np.frombuffer(own[0], np.uint64)
+        n = _unsmall(own[1], len(word))
+        rest = ~np.isin(word, np.concatenate(contexts))
+        out.append({"part": part, "block": -1, "word": word[rest].tobytes(), "n": _small(n[rest])})
+        B.trim()
+        return pa.Table.from_pylist(out, _MODEL)
+
+    return run
+
+
+def _spread_sums(model: DataFrame) -> DataFrame:
+    """Sums (ctx, s, q) of the contexts that are spread over partitions."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for x in batch.column(0).to_pylist():
+                k = len(x) // 24
+                yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(x, t, k, offset=8 * k * i)) for i, t in enumerate((np.int64, np.float64, np.float64))], ["ctx", "s", "q"])
+
+    return model.where("spread IS NOT NULL").select("spread").mapInArrow(run, "ctx long, s double, q double").groupBy("ctx").agg(F.sum("s").alias("s"), F.sum("q").alias("q"))
 
 
 def discounts(counts: dict[int, int], gt_max: int, absolute: float, first: int) -> list[float]:
@@ -239,16 +383,17 @@ def discounts(counts: dict[int, int], gt_max: int, absolute: float, first: int)
 
 @dataclass
 class KatzModel:
-    """words: (word, n, lp, alpha, base); bigrams: (part, ctx, word, gain), gain = log10 of p*(w|h) / (alpha(h) p(w))."""
+    """blocks: packed bigrams of each partition and the words that are no context there; spread: contexts in several partitions, with count, log10 alpha and log10 f / alpha."""
 
-    words: DataFrame
-    bigrams: DataFrame
+    blocks: DataFrame
     heavy: np.ndarray
+    spread: tuple[np.ndarray, np.ndarray, np.ndarray]
+    rates: Rates
     parts: int
     total: int
     distinct: int
+    ends: int  # count of the end token
     unknown: float  # log10 probability of the unknown word
-    start: float  # log10 alpha of the start context
 
 
 def partitions_for(docs: DataFrame, bytes_each: int = 32 << 20) -> int:
@@ -257,55 +402,45 @@ def partitions_for(docs: DataFrame, bytes_each: int = 32 << 20) -> int:
     return max(16, min(100_000, -(-int(size) // bytes_each)))
 
 
-def train(docs: DataFrame, parts: int, gt_max: int = 5, absolute: float = 0.75, flush: int = 6_000_000) -> KatzModel:
+def train(docs: DataFrame, parts: int, gt_max: int = 5, absolute: float = 0.75, flush: int = 6_000_000, least: int = 2) -> KatzModel:
     """Count and normalise over the rows of ``docs`` (columns text, and any others)."""
     words = materialize(_counts(docs, parts, flush), "katz-words")
     total, distinct = words.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count(F.lit(1))).first()
     total, distinct = int(total), int(distinct)
-    heavy_rows = words.where((F.col("n") * F.lit(4 * parts)) >= F.lit(max(total, 1))).select("word").collect()  # 4 * parts at most
+    heavy_rows = words.where((F.col("n") * F.lit(4 * parts)) >= F.lit(max(total, 1))).collect()  # 4 * parts at most
     n_rows = int(words.where(F.col("word") == int(END.view(np.int64))).agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0])
     heavy = np.array([r.word for r in heavy_rows], np.int64).view(np.uint64)
-    heavy = np.unique(np.append(heavy, START))
+    heavy_n = np.array([r.n for r in heavy_rows] + [n_rows], np.int64)
+    heavy, at = np.unique(np.append(heavy, START), return_index=True)
+    heavy_n = heavy_n[at]
     blocks = _pair_blocks(docs, heavy, parts, flush)
-    pairs = materialize(blocks.groupBy("part").applyInArrow(_merge_pairs, "part int, once long, ctx long, word long, n long"), "katz-pairs")
-
-    def counts_of(frame: DataFrame) -> dict[int, int]:
-        return {int(r.n): int(r.k) for r in frame.where(F.col("n").between(1, gt_max + 1)).groupBy("n").agg(F.count(F.lit(1)).alias("k")).collect()}
-
-    d1 = discounts(counts_of(words), gt_max, absolute, 1)
-    once = int(pairs.agg(F.coalesce(F.sum("once"), F.lit(0))).first()[0])
-    kept = pairs.where("n > 0")
-    d2 = discounts(counts_of(kept) | {1: once}, gt_max, absolute, 2)
+    pairs = materialize(blocks.groupBy("part").applyInArrow(_merge_pairs(least, gt_max + 1), "part int, block int, ctx binary, fan binary, word binary, n binary, seen array<long>"), "katz-pairs", _LARGE_ROWS)
 
-    def ratio(d: list[float]) -> F.Column:
-        at = F.array(*(F.lit(float(x)) for x in d))
-        return F.when(F.col("n") > gt_max, F.lit(1.0)).otherwise(F.get(at, F.col("n").cast("int")))
+    by_count = {int(r.n): int(r.k) for r in words.where(F.col("n").between(1, gt_max + 1)).groupBy("n").agg(F.count(F.lit(1)).alias("k")).collect()}
+    d1 = discounts(by_count, gt_max, absolute, 1)
+    pairs_by_count = pairs.where("seen IS NOT NULL").select(F.posexplode("seen").alias("n", "k")).groupBy("n").agg(F.sum("k").alias("k")).where("k > 0").collect()
+    d2 = discounts({int(r.n): int(r.k) for r in pairs_by_count}, gt_max, absolute, least)
 
     scale = max(total, 1)
-    words = words.withColumn("p", ratio(d1) * F.col("n") / F.lit(float(scale)))
-    mass = float(words.agg(F.coalesce(F.sum("p"), F.lit(0.0))).first()[0])
+    rates = Rates(np.array(d1), np.array(d2), 1.0 / scale)
+    # counts above gt_max are not discounted
+    mass = (sum(rates.word(np.array([n]))[0] * k for n, k in by_count.items() if n <= gt_max) + float(words.where(F.col("n") > gt_max).agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]) / scale)
     unknown = 1.0 - mass
     if unknown <= 1e-12:  # no word was seen rarely: keep one count's worth for the unknown word
         unknown = 1.0 / (scale + 1.0)
-        words = words.withColumn("p", F.col("p") * F.lit((1.0 - unknown) / mass))
+        rates.scale *= (1.0 - unknown) / mass if mass else 1.0
     # contexts: a word is a context as often as it occurs, but the end never; the start stands before every row
-    n_ctx = words.select(F.col("word").alias("ctx"), F.col("n").alias("n_ctx")).unionByName(docs.sparkSession.createDataFrame([(int(START.view(np.int64)), n_rows)], "ctx long, n_ctx long"))
-    star = kept.join(words.select("word", "p"), "word").join(n_ctx, "ctx").select("part", "ctx", "word", "p", "n_ctx", (ratio(d2) * F.col("n") / F.col("n_ctx")).alias("p_star"))
-    star = materialize(star, "katz-star")
-    release(pairs)
-    # a context whose followers are all frequent frees no mass: one count more then stands for the unseen
-    alpha = star.groupBy("ctx").agg(F.sum("p_star").alias("s"), F.sum("p").alias("q"), F.max("n_ctx").alias("n_ctx"))
-    alpha = alpha.withColumn("f", F.when(F.col("s") > 1 - 1e-9, F.col("n_ctx") / (F.col("n_ctx") + 1.0) / F.col("s")).otherwise(1.0))
-    alpha = materialize(alpha.select("ctx", "f", ((1 - F.col("s") * F.col("f")) / (1 - F.col("q"))).alias("a")), "katz-alpha")
-    gains = star.join(alpha, "ctx").select("part", "ctx", "word", F.log10(F.col("p_star") * F.col("f") / (F.col("a") * F.col("p"))).alias("gain"))
-    base = float(math.log10(total + distinct + 1))
-    table = words.join(alpha, words.word == alpha.ctx, "left").select(
-        "word", "n", F.log10("p").alias("lp"), F.coalesce(F.log10("a"), F.lit(0.0)).alias("alpha"), (F.log10(F.col("n") + 1.0) - base).alias("base"),
+    replies = materialize(_word_counts(pairs, words, parts), "katz-word-counts", _LARGE_ROWS)
+    model = pairs.drop("seen").groupBy("part").cogroup(replies.groupBy("part")).applyInArrow(
+        _resolve(rates, heavy, n_rows, parts), "part int, block int, ctx binary, fan binary, ctx_n binary, word binary, n binary, codes binary, values binary, spread binary"
     )
-    table, gains = materialize(table, "katz-model-words"), materialize(gains, "katz-model-bigrams")
-    first = alpha.where(F.col("ctx") == int(START.view(np.int64))).select(F.log10("a").alias("a")).first()
-    release(star, alpha)
-    return KatzModel(table, gains, heavy, parts, total, distinct, math.log10(unknown) if total else 0.0, float(first.a) if first else 0.0)
+    model = materialize(model, "katz-model", _LARGE_ROWS)
+    release(pairs, replies, words)
+    sums = bounded_rows(_spread_sums(model), len(heavy), "spread contexts")
+    s, q = np.zeros(len(heavy)), np.zeros(len(heavy))
+    at = np.searchsorted(heavy, np.array([r.ctx for r in sums], np.int64).view(np.uint64))
+    s[at], q[at] = [r.s for r in sums], [r.q for r in sums]
+    return KatzModel(model, heavy, (heavy_n, *_weights(s, q, heavy_n)), rates, parts, total, distinct, n_rows, math.log10(unknown) if total else 0.0)
 
 
 _ASK = pa.schema([("part", pa.int32()), ("block", pa.int64()), ("ctx", pa.binary()), ("fan", pa.binary()), ("word", pa.binary()), ("n", pa.binary()), ("at", pa.binary()), ("sizes", pa.binary())])
@@ -378,20 +513,69 @@ def _find(keys: np.ndarray, wanted: np.ndarray) -> tuple[np.ndarray, np.ndarray]
     return at, keys[at] == wanted
 
 
-def _answer(unknown: float, base: float, start: float):
+def _slice(rates: Rates, heavy: np.ndarray, spread: tuple, rows: pa.Table) -> tuple[np.ndarray, ...]:
+    """A partition of the model: its words and their counts and alphas; its bigrams' contexts and where their followers begin and end; followers and gains.
+
+    A gain is log10 of p*(w|h) / (alpha(h) p(w)).
+    """
+    words, counts, ctxs, ctx_ns, fans, followers, ns, others = [], [], [], [], [], [], [], []
+    names = ("block", "ctx", "fan", "ctx_n", "word", "n", "codes", "values")
+    for block, ctx, fan, ctx_n, word, n, codes, values in sorted(zip(*(rows.column(c).to_pylist() for c in names)), key=lambda r: r[0]):
+        word = np.frombuffer(word, np.uint64)
+        n = _unsmall(n, len(word))
+        if block < 0:
+            words.append(word)
+            counts.append(n)
+            continue
+        ctx = np.frombuffer(ctx, np.uint64)
+        ctxs.append(ctx)
+        fans.append(np.frombuffer(fan, np.uint32).astype(np.int64))
+        ctx_ns.append(_unsmall(ctx_n, len(ctx)))
+        followers.append(word)
+        ns.append(n)
+        values = np.frombuffer(values, np.int64)
+        others.append(rates.word(values)[np.frombuffer(codes, np.uint16 if len(values) <= 65536 else np.uint32)])
+
+    def joined(arrays: list, kind: type) -> np.ndarray:
+        return np.concatenate(arrays) if arrays else np.zeros(0, kind)
+
+    b_word, p = joined(followers, np.uint64), joined(others, np.float64)
+    ctx, fan, ctx_n = joined(ctxs, np.uint64), joined(fans, np.int64), joined(ctx_ns, np.int64)
+    own = _heads(ctx)  # a context may go on in the next block
+    if len(ctx):
+        fan, ctx, ctx_n = np.add.reduceat(fan, own), ctx[own], ctx_n[own]
+    end = np.cumsum(fan)
+    begin = end - fan
+    others.clear()
+    star = joined([rates.pair(n) for n in ns], np.float64)
+    ns.clear()
+    star /= np.repeat(ctx_n, fan)
+    if len(ctx):
+        alpha, over = _weights(np.add.reduceat(star, begin), np.add.reduceat(p, begin), ctx_n)
+    else:
+        alpha = over = np.zeros(0)
+    at, shared = _find(heavy, ctx)
+    alpha, over = np.where(shared, spread[1][at], alpha), np.where(shared, spread[2][at], over)
+    star /= p
+    gain = np.log10(star, out=star)
+    gain += np.repeat(over, fan)
+    # spread contexts are known everywhere, words without kept followers have no weight
+    mine = ~shared
+    word = np.concatenate([*words, ctx[mine], heavy])
+    n = np.concatenate([*counts, ctx_n[mine], np.where(heavy == START, 0, spread[0])])
+    weight = np.concatenate([*(np.zeros(len(w)) for w in words), alpha[mine], spread[1]])
+    word, last = np.unique(word[::-1], return_index=True)
+    last = len(n) - 1 - last
+    return word, n[last], weight[last], ctx, begin, end, b_word, gain
+
+
+def _answer(model: KatzModel):
     """Per block and partition: for rows that hold its bigrams, the sums over their contexts and gains (known, base, score)."""
+    rates, heavy, spread, unknown = model.rates, model.heavy, model.spread, model.unknown
+    base = math.log10(model.total + model.distinct + 1)
 
     def run(key: tuple, asked: pa.Table, model: pa.Table) -> pa.Table:
-        ctx, word = model.column("ctx"), model.column("word").to_numpy().view(np.uint64)
-        plain = np.asarray(ctx.is_null())
-        order = np.argsort(word[plain])
-        w_word = word[plain][order]
-        w_lp, w_alpha, w_base = (model.column(c).to_numpy()[plain][order] for c in ("v1", "v2", "v3"))
-        b_ctx, b_word, b_gain = ctx.fill_null(0).to_numpy().view(np.uint64)[~plain], word[~plain], model.column("v1").to_numpy()[~plain]
-        order = np.lexsort((b_word, b_ctx))
-        b_ctx, b_word, b_gain = b_ctx[order], b_word[order], b_gain[order]
-        heads = np.flatnonzero(np.concatenate([[True], b_ctx[1:] != b_ctx[:-1]])) if len(b_ctx) else np.zeros(0, np.int64)
-        h_ctx, h_end = b_ctx[heads], np.append(heads[1:], len(b_ctx))
+        w_word, w_n, w_alpha, h_ctx, heads, h_end, b_word, b_gain = _slice(rates, heavy, spread, model)
         out: dict[str, list] = {"block": [], "rows": [], "sums": [], "sizes": []}
         for block, c, fan, words, n, at, sizes in zip(*(asked.column(x).to_pylist() for x in ("block", "ctx", "fan", "word", "n", "at", "sizes"))):
             out["block"].append(block)
@@ -403,12 +587,12 @@ def _answer(unknown: float, base: float, start: float):
             c, fan, words = np.frombuffer(c, np.uint64), np.frombuffer(fan, np.uint32).astype(np.int64), np.frombuffer(words, np.uint64)
             times = _unsmall(n, len(words))
             rows = np.frombuffer(at, np.uint16).astype(np.int64)
-            k, known = _find(w_word, c)
+            k, there = _find(w_word, c)
+            n_c = np.where(there, w_n[k], 0)
+            known = n_c > 0
             first = c == START
-            value = [known.astype(float), np.where(first, 0.0, base), np.where(first, start, unknown)]
-            if len(w_word):
-                value[1] = np.where(known, w_base[k], value[1])
-                value[2] = np.where(known, w_lp[k] + w_alpha[k], value[2])
+            lp = np.where(known, np.log10(np.where(known, rates.word(n_c), 1.0)), unknown)
+            value = [known.astype(float), np.where(first, 0.0, np.log10(n_c + 1.0) - base), np.where(first, 0.0, lp) + np.where(there, w_alpha[k], 0.0)]
             # followers: look for each in its context's run of the model, both sorted
             gain = np.zeros(len(words))
             k, there = _find(h_ctx, c)
@@ -436,6 +620,7 @@ def _answer(unknown: float, base: float, start: float):
             some = np.unique(rows)
             out["rows"].append(some.astype(np.uint16).tobytes())
             out["sums"].append(np.stack([x[some] for x in per_row]).tobytes())
+        B.trim()
         return pa.table({"block": pa.array(out["block"], pa.int64()), "rows": pa.array(out["rows"], pa.binary()), "sums": pa.array(out["sums"], pa.binary()), "sizes": pa.array(out["sizes"], pa.binary()), "ids": asked.column("ids")})
 
     return run
@@ -459,30 +644,27 @@ def _gather(end: tuple[float, float, float]):
     return run
 
 
-def score(docs: DataFrame, model: KatzModel, flush: int = 6_000_000) -> DataFrame:
+def score(docs: DataFrame, model: KatzModel, flush: int = 6_000_000, passes: int = 3) -> DataFrame:
     """Rows (doc_id, n_tokens, n_known, base_score, score), one for each row of ``docs`` (doc_id, text)."""
-    spark, parts = docs.sparkSession, model.parts
-    base = -math.log10(model.total + model.distinct + 1)
-    end = model.words.where(F.col("word") == int(END.view(np.int64))).first()
-    of_end = (1.0, end.base, end.lp) if end else (0.0, base, model.unknown)
-    heavy = spark.createDataFrame([(int(w),) for w in model.heavy.view(np.int64)], "word long")  # 4 * parts at most
-    own = F.pmod(F.shiftrightunsigned("word", 20), F.lit(parts)).cast("int")
-    spread = model.words.join(F.broadcast(heavy.withColumn("is_heavy", F.lit(True))), "word", "left")
-    placed = spread.withColumn("part", F.explode(F.when(F.col("is_heavy"), F.sequence(F.lit(0), F.lit(parts - 1))).otherwise(F.array(own))))
-    table = placed.select("part", F.lit(None).cast("long").alias("ctx"), "word", F.col("lp").alias("v1"), F.col("alpha").alias("v2"), F.col("base").alias("v3")).unionByName(
-        model.bigrams.select("part", "ctx", "word", F.col("gain").alias("v1"), F.lit(None).cast("double").alias("v2"), F.lit(None).cast("double").alias("v3"))
-    )
+    base = math.log10(model.total + model.distinct + 1)
+    n = np.array([model.ends])
+    of_end = (1.0, math.log10(model.ends + 1.0) - base, float(np.log10(model.rates.word(n))[0])) if model.ends else (0.0, -base, model.unknown)
     kind = docs.schema["doc_id"].dataType.simpleString()
-    asked = _requests(docs, model.heavy, parts, flush)
-    answers = asked.groupBy("part").cogroup(table.groupBy("part")).applyInArrow(_answer(model.unknown, base, model.start), f"block long, rows binary, sums binary, sizes binary, ids array<{kind}>")
-    return answers.where("block IS NOT NULL").groupBy("block").applyInArrow(_gather(of_end), f"doc_id {kind}, n_tokens long, n_known long, base_score double, score double")
+    out = None
+    for k in range(passes):
+        asked = _requests(docs.where(F.pmod(F.xxhash64("doc_id"), F.lit(passes)) == k), model.heavy, model.parts, flush)
+        answers = asked.groupBy("part").cogroup(model.blocks.groupBy("part")).applyInArrow(_answer(model), f"block long, rows binary, sums binary, sizes binary, ids array<{kind}>")
+        scored = materialize(answers.where("block IS NOT NULL").groupBy("block").applyInArrow(_gather(of_end), f"doc_id {kind}, n_tokens long, n_known long, base_score double, score double"), "katz-scores")
+        out = scored if out is None else out.unionByName(scored)
+    return out
 
 
-def katz_scores(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", folds: int = 7, held_fold: int = 2, gt_max: int = 5, absolute: float = 0.75, flush: int = 6_000_000, parts: int | None = None) -> DataFrame:
-    """Train on all rows outside the held-out fold and score every row."""
+def katz_scores(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", folds: int = 7, held_fold: int = 2, gt_max: int = 5, absolute: float = 0.75, flush: int = 6_000_000, parts: int | None = None, least: int = 2) -> DataFrame:
+    """Train on all rows outside the held-out fold and score every row; bigrams seen fewer than ``least`` times are left to the backoff."""
     src = text_of(docs, id_col, text_col)
     held = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % folds == held_fold, F.lit(False))
     parts = parts or partitions_for(src)
-    model = train(src.where(~held), parts, gt_max, absolute, flush)
+    model = train(src.where(~held), parts, gt_max, absolute, flush, least)
     out = score(src, model, flush)
+    release(model.blocks)
     return out.select("doc_id", held.alias("held_out"), "n_tokens", "n_known", F.lit(model.total).cast("long").alias("train_tokens"), "base_score", "score")

@@ -49,7 +49,7 @@ def op6_piece_encoding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_katz(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return katz_scores(table(spark, sf_dir, "documents"))
+    return katz_scores(table(spark, sf_dir, "documents"), least=1)
 
 
 def op5_language(spark: SparkSession, sf_dir: str) -> DataFrame:
