@@ -2,6 +2,8 @@ import hashlib
 import random
 import re
 
+import pytest
+
 from winjoin.llm.pii_bootstrap import KINDS, find_spans, redact, spans_text
 
 FORMS = {
@@ -68,3 +70,15 @@ def test_redaction(spark):
     assert redact(docs.limit(0)).collect() == [] and redact(docs).columns == docs.columns
     plan = find_spans(docs)._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan
+
+
+def test_long_chains_of_patterns_are_followed_to_their_end(spark):
+    names = ["alpha", "beta", "gamma", "delta", "epsilon", "zeta"]
+    ids = [[hashlib.sha1(str(i).encode()).hexdigest() for i in range(9)]] + [[f"ID-{k}{i:02d}-zzq" for i in range(9)] for k in range(1, 6)]
+    # the strings of a level stand behind its own name and behind the one before it
+    texts = [f"{names[j]} {m}" for k, level in enumerate(ids) for m in level for j in {k, max(k - 1, 0)}]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r.doc_id: [(s.kind, texts[r.doc_id][s.start : s.end]) for s in r.spans] for r in find_spans(docs).collect()}
+    assert all(got[i] == [("secret", t.split()[1])] for i, t in enumerate(texts))
+    with pytest.raises(RuntimeError, match="did not settle"):
+        find_spans(docs, rounds=3)

@@ -9,7 +9,7 @@ instance. Instances and patterns form a graph: each round scores a pattern by
 the share of its distinct instances whose kind is known and the same, accepts those
 with enough support and a share near one, gives their kind to unlabelled
 instances that accepted patterns reach (wherever these stand), and starts the
-next round with these as seeds. What the rounds label is added to the spans.
+next round with these as seeds, until a round labels nothing. What the rounds label is added to the spans.
 
 Positions are code points. A match and the text before it (since the match
 before) are one row, so a start is a running sum over the rows of a document.
@@ -24,7 +24,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from winjoin.llm.frames import materialize
+from winjoin.llm.frames import materialize, release
 
 # The four forms. A run that failed at its first character fails at
 # the later ones too, hence the look-behind; \G lets a match follow the one before it.
@@ -122,8 +122,11 @@ def contexts(found: DataFrame) -> DataFrame:
     return sized.select("m", pattern.alias("pattern")).where(F.col("pattern").rlike(r"\p{L}")).distinct()
 
 
-def bootstrap(found: DataFrame, rounds: int = 3, support: int = 8, share: float = 0.9) -> DataFrame:
-    """Labels (m, label, round) that the rounds give to instances without one."""
+def bootstrap(found: DataFrame, rounds: int = 100, support: int = 8, share: float = 0.9) -> DataFrame:
+    """Labels (m, label, round) that the rounds give to instances without one.
+
+    Rounds go on until one labels nothing; more than ``rounds`` of them are an error.
+    """
     graph = materialize(contexts(found), "pii-graph")
     seeds = found.where("kind IS NOT NULL").select("m", F.when(F.col("base"), F.col("kind")).when(F.col("m").rlike(SECRET), F.lit("secret")).when(F.col("m").rlike(REFUTED), F.lit(NONE)).alias("label"))
     # an instance string has one label; where forms disagree the least name stands
@@ -138,13 +141,16 @@ def bootstrap(found: DataFrame, rounds: int = 3, support: int = 8, share: float
         new = new.groupBy("m").agg(F.max_by("got", F.struct("worth", "got")).alias("got"))
         nxt = materialize(known.join(new, "m", "left").select("m", F.coalesce("label", "got").alias("label"), F.when(F.col("label").isNull() & F.col("got").isNotNull(), r).otherwise(F.col("round")).alias("round")), "pii-labels")
         grown = nxt.where(F.col("round") == r).limit(1).count()
-        known = nxt
+        was, known = known, nxt
+        release(was)
         if not grown:
             break
+    else:
+        raise RuntimeError(f"labels did not settle in {rounds} rounds")
     return known.where(F.col("label") != NONE)
 
 
-def find_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rounds: int = 3, support: int = 8, share: float = 0.9) -> DataFrame:
+def find_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rounds: int = 100, support: int = 8, share: float = 0.9) -> DataFrame:
     """Rows (doc_id, text_hash, spans), one for each row of ``docs``; spans: array of (rank, start, end, kind, base), base kinds first."""
     found = materialize(instances(docs, id_col, text_col), "pii-instances")
     labels = bootstrap(found, rounds, support, share).select("m", "label")
