@@ -43,7 +43,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from winjoin.llm import bytetext as B
-from winjoin.llm.frames import Forest, connected, materialize, release, text_of, thin
+from winjoin.llm.frames import Forest, connected, fresh, materialize, release, text_of, thin
 
 WIDTH = 64
 FANOUT = 1.25
@@ -322,18 +322,19 @@ def keep_one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     found = similarity_classes(docs, id_col, text_col, **options)
     some = found.where("doc_id IS NOT NULL").groupBy("class_sid").agg(F.min(F.struct("doc_id", "sid")).alias("m"))
     none = found.groupBy("class_sid").agg(F.max("doc_id").alias("any"), F.min("sid").alias("sid")).where("any IS NULL")
-    low = some.select(F.col("m.doc_id").alias("_keep_id"), F.col("m.sid").alias("_keep_sid")).unionByName(none.select(F.lit(None).cast(found.schema["doc_id"].dataType).alias("_keep_id"), F.col("sid").alias("_keep_sid")))
-    low = low.distinct()
     names = docs.columns
+    sid, keep_id, keep_sid = fresh(names, "_sid", "_keep_id", "_keep_sid")
+    low = some.select(F.col("m.doc_id").alias(keep_id), F.col("m.sid").alias(keep_sid)).unionByName(none.select(F.lit(None).cast(found.schema["doc_id"].dataType).alias(keep_id), F.col("sid").alias(keep_sid)))
+    low = low.distinct()
 
     def keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for p in B.pieces(batch, text_col):
                 sets = gram_sets(p.column(p.schema.get_field_index(text_col)), options.get("n", 5))
-                yield pa.RecordBatch.from_arrays([*p.columns, pa.array([_key(s) for s in sets], pa.binary())], [*p.schema.names, "_sid"])
+                yield pa.RecordBatch.from_arrays([*p.columns, pa.array([_key(s) for s in sets], pa.binary())], [*p.schema.names, sid])
         B.trim()
 
-    wide = docs.mapInArrow(keyed, T.StructType([*docs.schema.fields, T.StructField("_sid", T.BinaryType())]))
-    stays = wide.join(low, (F.col(f"`{id_col}`").eqNullSafe(F.col("_keep_id"))) & (F.col("_sid") == F.col("_keep_sid")))
+    wide = docs.mapInArrow(keyed, T.StructType([*docs.schema.fields, T.StructField(sid, T.BinaryType())]))
+    stays = wide.join(low, (F.col(f"`{id_col}`").eqNullSafe(F.col(keep_id))) & (F.col(sid) == F.col(keep_sid)))
     # repeated rows of the kept id and set: one of them
-    return stays.dropDuplicates([id_col, "_sid"]).select(*(F.col(f"`{c}`") for c in names))
+    return stays.dropDuplicates([id_col, sid]).select(*(F.col(f"`{c}`") for c in names))

@@ -12,7 +12,7 @@ and joined by row, so no item is dropped and no broadcast grows.
 
 Edge cases: null texts have no words; null item ids are ignored; equal ids
 of several items count once; repeated document rows are judged each; an empty
-benchmark hits nothing; other columns are ignored.
+benchmark hits nothing; other columns, whatever their names, are ignored or kept.
 """
 
 from __future__ import annotations
@@ -27,6 +27,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from winjoin.llm import bytetext as B
+from winjoin.llm.frames import fresh
 
 
 class WindowSet:
@@ -89,11 +90,12 @@ def _parts(bench: DataFrame, id_col: str, text_col: str, n: int, most_windows: i
 
 
 def _scan(docs: DataFrame, part: DataFrame, text_col: str, n: int, spans: bool) -> DataFrame:
-    """``docs`` with columns _n_words, _n_hit, _items (of this part) and, if asked, the text without hit words."""
+    """``docs`` with three columns behind its own (words, hit words, items of this part; names that no other column has) and, if asked, the text without hit words."""
     spark = docs.sparkSession
+    added = fresh(docs.columns, "n_words", "n_hit", "items")
     rows = [(r.item, r.item_text) for r in part.toLocalIterator()]  # bounded by _parts
     shipped = spark.sparkContext.broadcast((rows, n))
-    schema = T.StructType([*docs.schema.fields, T.StructField("_n_words", T.LongType()), T.StructField("_n_hit", T.LongType()), T.StructField("_items", T.ArrayType(T.StringType()))])
+    schema = T.StructType([*docs.schema.fields, *(T.StructField(c, k) for c, k in zip(added, (T.LongType(), T.LongType(), T.ArrayType(T.StringType()))))])
     at = docs.columns.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -105,7 +107,7 @@ def _scan(docs: DataFrame, part: DataFrame, text_col: str, n: int, spans: bool)
                 if spans and n_hit.any():
                     columns[at] = _without(p.column(at), starts, ends, first, hit)
                 names = pa.array([sorted({known.items[k] for k in m}) for m in met], pa.list_(pa.string()))
-                yield pa.RecordBatch.from_arrays([*columns, pa.array(n_words, pa.int64()), pa.array(n_hit, pa.int64()), names], [*p.schema.names, "_n_words", "_n_hit", "_items"])
+                yield pa.RecordBatch.from_arrays([*columns, pa.array(n_words, pa.int64()), pa.array(n_hit, pa.int64()), names], [*p.schema.names, *added])
         B.trim()
 
     return docs.mapInArrow(run, schema)
@@ -142,8 +144,7 @@ def contamination(docs: DataFrame, bench: DataFrame, id_col: str = "doc_id", tex
     src = docs.select(F.col(f"`{id_col}`").alias("doc_id"), F.col(f"`{text_col}`").alias("text"))
     parts = _parts(bench, item_col, item_text_col, n, most_windows)
     if len(parts) == 1:
-        found = _scan(src, parts[0], "text", n, False)
-        return found.selectExpr("doc_id", "_n_words AS n_words", "_n_hit AS n_hit", "_items AS items", "_n_hit > 0 AS contaminated")
+        return _scan(src, parts[0], "text", n, False).selectExpr("doc_id", "n_words", "n_hit", "items", "n_hit > 0 AS contaminated")
     # several parts: each pass takes the words that it hits out of a copy of the text but leaves their number, so hits add up;
     # items are looked for in the whole text
     left = src.select("doc_id", "text", F.lit(0).cast("long").alias("n_words"), F.lit(0).cast("long").alias("n_hit"), F.array().cast("array<string>").alias("items"), F.array().cast("array<struct<a:long,b:long>>").alias("hits"))
@@ -183,7 +184,7 @@ def decontaminate(docs: DataFrame, bench: DataFrame, text_col: str = "text", ite
     columns = docs.columns
     for part in _parts(bench, item_col, item_text_col, n, most_windows):
         found = _scan(docs, part, text_col, n, remove == "spans")
-        docs = (found.where("_n_hit = 0") if remove == "documents" else found).select(*(F.col(f"`{c}`") for c in columns))
+        docs = (found.where(F.col(f"`{found.columns[-2]}`") == 0) if remove == "documents" else found).select(*(F.col(f"`{c}`") for c in columns))
     return docs
 
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import uuid
 from collections.abc import Iterable, Iterator
 
@@ -16,11 +17,13 @@ _CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 def shared_dir(spark: SparkSession, name: str) -> str:
     """A fresh folder for a written table, below the shared folder of spark.checkpoint.dir.
 
-    Only a session that names none gets one of its own (local runs and tests).
+    Only a session that names none gets one of its own, and only where all of it runs on this machine.
     """
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
+        if not held.isDefined() and not re.match(r"local(\[[^-]|$)", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         base = held.get() if held.isDefined() else "/tmp/winjoin-checkpoints"
     return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
 
@@ -50,6 +53,17 @@ def release(*frames: DataFrame) -> None:
             path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
 
+def fresh(columns: Iterable[str], *wanted: str) -> list[str]:
+    """The wanted names, each with as many underscores behind it as no column of that name (in any case of letters) needs."""
+    taken, out = {c.lower() for c in columns}, []
+    for name in wanted:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
 def text_of(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     """Only the id and the text (null: empty), under names that no other column can clash with."""
     return docs.select(F.col(f"`{id_col}`").alias("doc_id"), F.coalesce(F.col(f"`{text_col}`"), F.lit("")).alias("text"))
@@ -133,9 +147,3 @@ def bounded_rows(df: DataFrame, most: int, what: str) -> list:
     if len(rows) > most:
         raise ValueError(f"{what}: more than {most} rows")
     return rows
-
-
-def require(df: DataFrame, columns: Iterable[str]) -> None:
-    missing = [c for c in columns if c not in df.columns]
-    if missing:
-        raise ValueError(f"missing columns {missing}")

@@ -240,8 +240,8 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
 
 
 def quality_scores(docs: DataFrame, model: LineModel, text_col: str = "text", keep: list[str] | None = None, out: str = "quality_score") -> DataFrame:
-    """``docs`` (columns ``keep``, default all) with a column ``out``."""
-    names = docs.columns if keep is None else keep
+    """``docs`` (columns ``keep``, default all) with a column ``out``, which takes the place of one of that name."""
+    names = [c for c in (docs.columns if keep is None else keep) if c.lower() != out.lower()]
     # the text travels once: as one of the kept columns, or behind them
     extra = [] if text_col in names else [text_col]
     src = docs.select(*(F.col(f"`{c}`") for c in [*names, *extra]))

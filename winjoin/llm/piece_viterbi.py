@@ -26,6 +26,7 @@ from functools import lru_cache
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from winjoin.llm import bytetext as B
@@ -200,7 +201,8 @@ def piece_encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_
 
 
 def piece_decode(encoded: DataFrame, model_path: str, ids_col: str = "piece_ids", text_col: str = "text") -> DataFrame:
-    """``encoded`` (all columns) with ``text_col``, the texts of lists of piece ids (null: empty)."""
+    """``encoded`` (all columns) with ``text_col``, the texts of lists of piece ids (null: empty); it takes the place of a column of that name."""
+    encoded = encoded.select(*(F.col(f"`{c}`") for c in encoded.columns if c.lower() != text_col.lower()))
     shipped = encoded.sparkSession.sparkContext.broadcast(read_model(model_path))
     at = encoded.columns.index(ids_col)
 

@@ -9,7 +9,8 @@ right of it are encoded independently whatever surrounds them. Both encodings
 therefore show a token boundary there, which is checked with their offsets.
 If the overlap holds no stable boundary it is doubled, up to the whole rest of
 the text, which is then encoded in one go. The count is always that of the
-whole text.
+whole text. Vocabularies for which this cannot be proven (no merges, text
+normalisation, user-defined pieces) have every text encoded in one go.
 
 Edge cases: null and empty texts have 0 bytes and 0 tokens; repeated rows are
 counted each; other columns are ignored; an empty table gives an empty result.
@@ -26,6 +27,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
+from winjoin.llm import bytetext as B
 from winjoin.llm.frames import text_of
 
 SCHEMA = "doc_id {id}, n_bytes long, n_tokens long, over_limit boolean"
@@ -117,7 +119,7 @@ def token_counts(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = _resync(shipped.value)
-        for batch in batches:
+        for batch in (p for b in batches for p in B.pieces(b, 1, 8 << 20)):
             texts = batch.column(1).to_pylist()
             counts = np.zeros(len(texts), np.int64)
             short = [i for i, t in enumerate(texts) if len(t) <= chunk_chars]
