@@ -2,14 +2,15 @@
 
 *Base spans* are what four fixed forms match (leftmost, not overlapping per
 kind) and their checks accept: e-mail, IPv4 address, payment card, phone.
-*Instances* are these strings and every other identifier-like run (8 or more
-characters with a digit) outside them; long hexadecimal runs and key-like ones seed a
+*Instances* are these strings and every other identifier-like one outside them: runs of 8 or more
+characters with a digit, and groups of digits with blanks, brackets or other separators between them (7 digits or more); long hexadecimal runs and key-like ones seed a
 fifth kind, secret; strings of a base form that its check refuses are known to be nothing. *Patterns* are the one to three tokens left of an
-instance. Instances and patterns form a graph: each round scores a pattern by
-the share of its distinct instances whose kind is known and the same, accepts those
+instance, the one or two right of it, and the pair of those next to it. Instances and patterns form a graph: each round scores a pattern by
+the share of its distinct instances whose kind is known and the same (unknown ones count ``doubt`` each), accepts those
 with enough support and a share near one, gives their kind to unlabelled
 instances that accepted patterns reach (wherever these stand), and starts the
 next round with these as seeds, until a round labels nothing. What the rounds label is added to the spans.
+Tokens of a pattern stand on the instance's line, however long they are; digits count as 0.
 
 Positions are code points. A match and the text before it (since the match
 before) are one row, so a start is a running sum over the rows of a document.
@@ -24,7 +25,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from winjoin.llm.frames import materialize, release
+from winjoin.llm.frames import fresh, materialize, release
 
 # The four forms. A run that failed at its first character fails at
 # the later ones too, hence the look-behind; \G lets a match follow the one before it.
@@ -34,25 +35,39 @@ CARD = r"[0-9](?:[\x20-]?[0-9])++"
 PHONE = r"\+[0-9][\x20().0-9-]+[0-9]"
 KINDS = ("email", "ip", "card", "phone")
 
-#: Other identifier-like runs, found within [A-Za-z0-9._+@%-] and kept if 8 characters long with a digit.
-LIKE = r"(?<![A-Za-z0-9._+@%-])(?=[A-Za-z._+@%-]{0,40}[0-9])[A-Za-z0-9][A-Za-z0-9._+@%-]{6,}[A-Za-z0-9]"
+#: Groups of digits, 7 in all or more.
+GROUPS = r"(?<![A-Za-z0-9._+@%(-])(?=\(?(?:[0-9][ ()./-]{0,2}){7})\(?[0-9]{2,6}+\)?(?:[ ./-]{1,2}[0-9]{2,6}+){1,5}(?![A-Za-z0-9@]|[._+@%-][A-Za-z0-9])"
+#: Other identifier-like runs, found within [A-Za-z0-9._+@%-] and kept if 8 characters long with a digit; a run is looked through once, from its start.
+RUN = r"(?<![A-Za-z0-9._+@%-])(?=[A-Za-z._+@%-]*+[0-9])[A-Za-z0-9][A-Za-z0-9._+@%-]{6,}[A-Za-z0-9]"
+LIKE = f"{GROUPS}|{RUN}"
 SECRET = r"^(?=[0-9a-f]*[a-f])(?=[0-9a-f]*[0-9])[0-9a-f]{32,}$|^(?=[A-Za-z0-9]*[A-Z])(?=[A-Za-z0-9]*[a-z])(?=[A-Za-z0-9]*[0-9])[A-Za-z0-9]{32,}$|^AKIA[0-9A-Z]{16}$"
 
 #: Strings of a base form that its check refuses: known to be nothing, they speak against their patterns.
-REFUTED = r"^[0-9]{16,19}$|^[0-9]+(?:\.[0-9]+){3}$"
+REFUTED = r"^[0-9](?:[ -]?[0-9]){15,18}$|^[0-9]+(?:\.[0-9]+){3}$"
 NONE = "none"
 
 _OCTET = r"0*(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[0-9]{1,2})"
-_TAIL = 64
+#: A token of a context, whole; possessive and from its start, so that long runs are read once.
+_TOKEN = r"(?:(?<![\p{L}\p{N}_])[\p{L}\p{N}_]++|[^\p{L}\p{N}_\s])"
+_LEFT, _RIGHT = rf"((?:{_TOKEN}[ \t]*+){{1,3}})$", rf"^((?:[ \t]*+{_TOKEN}){{1,2}})"
+#: Contexts are looked for in so many characters first, and in all of the text between two matches where these do not hold them whole.
+_NEAR = 64
+
+
+def _context(gap: Column, left: bool) -> Column:
+    pattern, near = (_LEFT, F.right(gap, F.lit(_NEAR))) if left else (_RIGHT, F.left(gap, F.lit(_NEAR)))
+    found = F.regexp_extract(near, pattern, 1)
+    return F.when((F.char_length(found) == _NEAR) & (F.char_length(gap) > _NEAR), F.regexp_extract(gap, pattern, 1)).otherwise(found)
 
 
 def _matches(text: str, kind: str, pattern: str, guard: Column) -> Column:
-    """All matches of one form as (kind, i, gap, m, tail): the length of the text before it and that text's end."""
+    """All matches of one form as (kind, i, gap, m, left, right): the length of the text before it (since the match before), and the tokens next to it."""
     found = F.regexp_extract_all(F.col(text), F.lit(pattern), F.lit(0))
-    zipped = F.arrays_zip(F.split(F.col(text), pattern, -1).alias("gap"), found.alias("m"))
+    gaps = F.split(F.col(text), pattern, -1)
+    zipped = F.arrays_zip(gaps.alias("gap"), found.alias("m"), F.slice(gaps, F.lit(2), F.greatest(F.size(gaps) - 1, F.lit(0))).alias("after"))
     zipped = F.filter(zipped, lambda z: z["m"].isNotNull())
-    rows = F.transform(zipped, lambda z, i: F.struct(F.lit(kind).alias("kind"), i.alias("i"), F.char_length(z["gap"]).cast("long").alias("gap"), z["m"].alias("m"), F.right(z["gap"], F.lit(_TAIL)).alias("tail")))
-    return F.when(guard & F.col(text).rlike(pattern), rows).otherwise(F.array().cast("array<struct<kind:string,i:int,gap:bigint,m:string,tail:string>>"))
+    rows = F.transform(zipped, lambda z, i: F.struct(F.lit(kind).alias("kind"), i.alias("i"), F.char_length(z["gap"]).cast("long").alias("gap"), z["m"].alias("m"), _context(z["gap"], True).alias("left"), _context(z["after"], False).alias("right")))
+    return F.when(guard & F.col(text).rlike(pattern), rows).otherwise(F.array().cast("array<struct<kind:string,i:int,gap:bigint,m:string,left:string,right:string>>"))
 
 
 def _digits(m: Column) -> Column:
@@ -83,7 +98,7 @@ def _accepted(kind: Column, m: Column) -> Column:
 
 
 def instances(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Rows (rid, doc_id, text_hash, kind, start, end, m, tail, base), one at least for each document (kind null).
+    """Rows (rid, doc_id, text_hash, kind, start, end, m, left, right, base), one at least for each document (kind null).
 
     kind is a base kind, or 'like' for identifier-like runs outside base spans.
     """
@@ -108,21 +123,27 @@ def instances(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -
     rows = rows.withColumn("_b", before).withColumn("_a", after)
     free = (F.coalesce("_b", F.lit(-1)) <= F.col("start")) & (F.coalesce("_a", F.col("end")) >= F.col("end"))
     rows = rows.withColumn("kind", F.when((F.col("kind") == "like") & ~free, F.lit(None)).otherwise(F.col("kind")))
-    return rows.select("rid", "doc_id", "text_hash", "kind", "start", "end", "m", "tail", F.coalesce("base", F.lit(False)).alias("base"))
+    return rows.select("rid", "doc_id", "text_hash", "kind", "start", "end", "m", "left", "right", F.coalesce("base", F.lit(False)).alias("base"))
 
 
 def contexts(found: DataFrame) -> DataFrame:
-    """The graph: distinct (m, pattern); patterns are the last one, two and three tokens left of an instance."""
-    last = F.regexp_extract("tail", r"((?:(?:[\p{L}\p{N}_]+|[^\p{L}\p{N}_\s])[ \t]*){1,3})$", 1)
-    tokens = F.transform(F.regexp_extract_all(F.lower(last), F.lit(r"[\p{L}\p{N}_]+|[^\p{L}\p{N}_\s]"), F.lit(0)), lambda w: F.regexp_replace(w, "[0-9]", "0"))
-    some = found.where("kind IS NOT NULL").select("m", tokens.alias("w")).where(F.size("w") > 0)
-    sized = some.withColumn("k", F.explode(F.sequence(F.lit(1), F.size("w"))))
-    pattern = F.array_join(F.slice("w", F.size("w") - F.col("k") + 1, F.col("k")), " ")
+    """The graph: distinct (m, pattern); in a pattern _ stands for the instance."""
+
+    def tokens(c: str) -> Column:
+        return F.transform(F.regexp_extract_all(F.lower(F.coalesce(c, F.lit(""))), F.lit(r"[\p{L}\p{N}_]+|[^\p{L}\p{N}_\s]"), F.lit(0)), lambda w: F.regexp_replace(w, "[0-9]", "0"))
+
+    # an array made by a lambda stands in a column of its own before others look into it
+    some = found.where("kind IS NOT NULL").select("m", tokens("left").alias("l"), tokens("right").alias("r"))
+    n, k = F.size("l"), F.size("r")
+    left = [F.when(n >= j, F.concat(F.array_join(F.slice("l", n - j + 1, j), " "), F.lit(" _"))) for j in (1, 2, 3)]
+    right = [F.when(k >= j, F.concat(F.lit("_ "), F.array_join(F.slice("r", 1, j), " "))) for j in (1, 2)]
+    both = F.when((n > 0) & (k > 0), F.concat_ws(" _ ", F.get("l", n - 1), F.get("r", F.lit(0))))
+    rows = some.select("m", F.explode(F.array(*left, *right, both)).alias("pattern"))
     # a pattern names something: punctuation alone is none
-    return sized.select("m", pattern.alias("pattern")).where(F.col("pattern").rlike(r"\p{L}")).distinct()
+    return rows.where(F.col("pattern").rlike(r"\p{L}")).distinct()
 
 
-def bootstrap(found: DataFrame, rounds: int = 100, support: int = 8, share: float = 0.9) -> DataFrame:
+def bootstrap(found: DataFrame, rounds: int = 100, support: int = 8, share: float = 0.9, doubt: float = 0.1) -> DataFrame:
     """Labels (m, label, round) that the rounds give to instances without one.
 
     Rounds go on until one labels nothing; more than ``rounds`` of them are an error.
@@ -135,8 +156,8 @@ def bootstrap(found: DataFrame, rounds: int = 100, support: int = 8, share: floa
         edges = graph.join(known, "m")
         votes = edges.groupBy("pattern", "label").agg(F.count(F.lit(1)).alias("n"))
         total = votes.groupBy("pattern").agg(F.sum("n").alias("all"), F.sum(F.when(F.col("label").isNotNull(), F.col("n"))).alias("labelled"))
-        # unlabelled instances neither confirm nor deny: the share is over labelled ones, the support over seeds of the kind
-        good = votes.where(F.col("label") != NONE).join(total, "pattern").where((F.col("n") >= support) & (F.col("n") >= F.lit(share) * F.col("labelled"))).select("pattern", F.col("label").alias("got"), (F.log2(F.col("n") + 1.0) * F.col("n") / F.col("all")).alias("worth"))
+        against = F.col("labelled") + F.lit(doubt) * (F.col("all") - F.col("labelled"))
+        good = votes.where(F.col("label") != NONE).join(total, "pattern").where((F.col("n") >= support) & (F.col("n") >= F.lit(share) * against)).select("pattern", F.col("label").alias("got"), (F.log2(F.col("n") + 1.0) * F.col("n") / F.col("all")).alias("worth"))
         new = edges.where("label IS NULL").select("m", "pattern").join(good, "pattern").groupBy("m", "got").agg(F.sum("worth").alias("worth"))
         new = new.groupBy("m").agg(F.max_by("got", F.struct("worth", "got")).alias("got"))
         nxt = materialize(known.join(new, "m", "left").select("m", F.coalesce("label", "got").alias("label"), F.when(F.col("label").isNull() & F.col("got").isNotNull(), r).otherwise(F.col("round")).alias("round")), "pii-labels")
@@ -147,13 +168,14 @@ def bootstrap(found: DataFrame, rounds: int = 100, support: int = 8, share: floa
             break
     else:
         raise RuntimeError(f"labels did not settle in {rounds} rounds")
+    release(graph)
     return known.where(F.col("label") != NONE)
 
 
-def find_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rounds: int = 100, support: int = 8, share: float = 0.9) -> DataFrame:
+def find_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rounds: int = 100, support: int = 8, share: float = 0.9, doubt: float = 0.1) -> DataFrame:
     """Rows (doc_id, text_hash, spans), one for each row of ``docs``; spans: array of (rank, start, end, kind, base), base kinds first."""
     found = materialize(instances(docs, id_col, text_col), "pii-instances")
-    labels = bootstrap(found, rounds, support, share).select("m", "label")
+    labels = bootstrap(found, rounds, support, share, doubt).select("m", "label")
     joined = found.join(labels, "m", "left")
     kind = F.when(F.col("base"), F.col("kind")).when(F.col("kind").isNotNull(), F.col("label"))
     rank = F.when(kind == "email", 0).when(kind == "ip", 1).when(kind == "card", 2).when(kind == "phone", 3).when(kind.isNotNull(), 4)
@@ -169,10 +191,11 @@ def spans_text(spans: Column) -> Column:
 def redact(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """``docs`` (all columns) with every span replaced by its kind in brackets; overlapping spans become one, named by the first."""
     spans = find_spans(docs, id_col, text_col, **options).where(F.size("spans") > 0)
-    spans = materialize(spans.groupBy("text_hash").agg(F.first("spans").alias("_spans")).withColumnRenamed("text_hash", "_text_hash"), "pii-spans")
-    ordered = F.array_sort(F.transform("_spans", lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind"))))
-    keyed = docs.withColumn("_text_hash", F.xxhash64(F.coalesce(F.col(f"`{text_col}`"), F.lit(""))))
-    wide = keyed.join(spans, "_text_hash", "left")
+    held, key, mine = fresh(docs.columns, "_spans", "_text_hash", "_key")
+    spans = materialize(spans.groupBy(F.col("text_hash").alias(key)).agg(F.first("spans").alias(held)), "pii-spans")
+    ordered = F.array_sort(F.transform(held, lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind"))))
+    keyed = docs.withColumn(mine, F.xxhash64(F.coalesce(F.col(f"`{text_col}`"), F.lit(""))))
+    wide = keyed.join(spans, F.col(mine) == F.col(key), "left")
     start = F.struct(F.lit(0).cast("bigint").alias("at"), F.array().cast("array<string>").alias("out"))
 
     def take(acc: Column, s: Column) -> Column:
@@ -185,5 +208,5 @@ def redact(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **op
         text = F.col(f"`{text_col}`")
         return F.concat(F.array_join(acc["out"], ""), F.substring(text, (acc["at"] + 1).cast("int"), F.char_length(text)))
 
-    clean = F.when(F.col("_spans").isNull(), F.col(f"`{text_col}`")).otherwise(F.aggregate(ordered, start, take, close))
+    clean = F.when(F.col(held).isNull(), F.col(f"`{text_col}`")).otherwise(F.aggregate(ordered, start, take, close))
     return wide.select(*((clean.alias(c) if c == text_col else F.col(f"`{c}`")) for c in docs.columns))
