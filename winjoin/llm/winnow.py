@@ -13,7 +13,8 @@ down, so that the least long is the least hash at its rightmost place.
 
 Edge cases: null, empty and wordless texts have the empty fingerprint; two
 empty fingerprints are alike (1), an empty and another one are not (0);
-positions reach 2^31 - 1 pieces; repeated rows are fingerprinted each.
+positions reach 2^31 - 1 pieces; repeated rows are fingerprinted each; ids are of
+any type that has an order, null ids come last; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -21,29 +22,65 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from winjoin.llm.frames import materialize
+
 _LOW = (1 << 31) - 1
 WORD = r"[\p{L}\p{M}\p{N}]{1,4}"
 
 
+def _beside(a: str, step: int, f) -> Column:
+    """f of each element of an array column and the one ``step`` places on, as long as there is one."""
+    return F.transform(F.slice(F.col(a), F.lit(1), F.greatest(F.size(a) - step, F.lit(0))), lambda x, i: f(x, F.get(F.col(a), i + step)))
+
+
 def with_fingerprint(df: DataFrame, text: str, out: str, k: int = 5, window: int = 4) -> DataFrame:
     """``df`` with a column ``out``: array<long> of selected (hash, position), in order of position.
 
-    Each step is a column of its own, as a lambda must find its arrays ready made.
+    Hashes of 2^j pieces roll up from two of half as many, and so do least values, so a
+    gram costs log2(k) steps. Each step is a column of its own, as a lambda must find its arrays ready made.
     """
-    w, g = f"_{out}_words", f"_{out}_grams"
-    df = df.withColumn(w, F.transform(F.regexp_extract_all(F.lower(F.coalesce(F.col(text), F.lit(""))), F.lit(WORD), F.lit(0)), lambda x: F.xxhash64(x)))
+    one, g = f"_{out}_1", f"_{out}_grams"
+    df = df.withColumn(one, F.transform(F.regexp_extract_all(F.lower(F.coalesce(F.col(text), F.lit(""))), F.lit(WORD), F.lit(0)), lambda x: F.xxhash64(x)))
+    made = {1: one}
+
+    def step(name: str, value: Column) -> str:
+        nonlocal df
+        df = df.withColumn(name, value)
+        return name
+
+    size = 1
+    while 2 * size <= k:
+        made[2 * size] = step(f"_{out}_{2 * size}", _beside(made[size], size, lambda x, y: F.xxhash64(x, y)))
+        size *= 2
+    rolled, done = made[size], size
+    while done < k:
+        size = max(x for x in made if x <= k - done)
+        other, at = made[size], done
+        rolled = step(f"_{out}_roll{done + size}", F.transform(F.slice(F.col(rolled), F.lit(1), F.greatest(F.size(other) - at, F.lit(0))), lambda x, i: F.xxhash64(x, F.get(F.col(other), i + at))))
+        done += size
 
     def packed(h: Column, at: Column) -> Column:
         return F.shiftleft(F.shiftrightunsigned(h, 32), 31).bitwiseOR(F.lit(_LOW).cast("long") - at.cast("long"))
 
-    n = F.size(w)
-    rolled = F.transform(F.sequence(F.lit(0), n - k), lambda i: packed(F.xxhash64(*(F.get(F.col(w), i + j) for j in range(k))), i))
-    whole = F.array(packed(F.xxhash64(F.col(w)), F.lit(0)))
-    df = df.withColumn(g, F.when(n == 0, F.array().cast("array<bigint>")).when(n < k, whole).otherwise(rolled))
+    n = F.size(one)
+    whole = F.array(packed(F.xxhash64(F.col(one)), F.lit(0)))
+    df = df.withColumn(g, F.when(n == 0, F.array().cast("array<bigint>")).when(n < k, whole).otherwise(F.transform(F.col(rolled), packed)))
+    least, span = g, 1
+    while span < window:
+        by = min(span, window - span)
+        least = step(f"_{out}_least{span + by}", _beside(least, by, F.least))
+        span += by
     m = F.size(g)
-    least = F.transform(F.sequence(F.lit(0), m - window), lambda i: F.least(*(F.get(F.col(g), i + j) for j in range(window))))
-    df = df.withColumn(out, F.when(m == 0, F.col(g)).when(m < window, F.array(F.array_min(g))).otherwise(F.array_distinct(least)))
-    return df.drop(w, g)
+    df = df.withColumn(out, F.when(m == 0, F.col(g)).when(m < window, F.array(F.array_min(g))).otherwise(F.array_distinct(F.col(least))))
+    return df.drop(*(c for c in df.columns if c.startswith(f"_{out}_")))
+
+
+def code_point(text: Column, position: Column) -> Column:
+    """Where in a text, counted in code points from 0, the piece of this number begins: shows a selected hash in its text."""
+    low = F.lower(text)
+    before = F.slice(F.split(low, WORD, -1), F.lit(1), position.cast("int") + 1)
+    pieces = F.slice(F.regexp_extract_all(low, F.lit(WORD), F.lit(0)), F.lit(1), position.cast("int"))
+    return F.char_length(F.array_join(before, "")) + F.char_length(F.array_join(pieces, ""))
 
 
 def hashes(selected: Column) -> Column:
@@ -68,43 +105,33 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     return with_fingerprint(src, "_text", "fingerprint", k, window).select("doc_id", "fingerprint")
 
 
-def _ranges(docs: DataFrame, bytes_each: int, least: int) -> tuple[Column, int]:
-    """A range number for each numeric doc_id, growing as ids fall; null ids come last.
-
-    127 quantiles cut the ids, equal widths cut what lies between two of them, so
-    the number of ranges follows the bytes of text.
-    """
-    cuts = [i / 128 for i in range(129)]
-    seen = docs.agg(F.percentile_approx("doc_id", cuts, 20000).alias("q"), F.coalesce(F.sum(F.octet_length("text")), F.lit(0)).alias("bytes")).first()
-    q = sorted(set(int(x) for x in seen.q)) if seen.q else [0]
-    parts = max(least, int(seen.bytes) // bytes_each)
-    within = max(1, -(-parts // len(q)))
-    lows, widths = q, [max(1, -(-(b - a) // within)) for a, b in zip(q, [*q[1:], q[-1] + 1])]
-    known = F.array(*(F.lit(x).cast("long") for x in lows))
-    wide = F.array(*(F.lit(x).cast("long") for x in widths))
-    at = F.greatest(F.size(F.filter(known, lambda x: x <= F.col("doc_id"))) - 1, F.lit(0))
-    inner = F.floor((F.col("doc_id") - F.get(known, at)) / F.get(wide, at)).cast("int")
-    up = at * within + F.greatest(F.lit(0), F.least(inner, F.lit(within - 1)))
-    total = len(q) * within
-    return F.when(F.col("doc_id").isNull(), F.lit(total)).otherwise(F.lit(total - 1) - up), total + 1
+#: Ranges whose first rows stand in one group.
+_GROUP = 4096
 
 
 def with_next(docs: DataFrame, bytes_each: int = 8 << 20, least: int = 64) -> DataFrame:
-    """``docs`` (doc_id, text) with next_text, the text of the next row in falling order of doc_id (after the last: the first).
+    """``docs`` (doc_id of any type with an order, text) in ranges of falling doc_id, each with a copy (_ghost = 1) of the row that follows its last one.
 
-    Rows of equal ids go by a hash of their text. Ids are cut into ranges; a copy of
-    each range's first row stands at the end of the range before it, so a window
-    over a range sees all its successors and no window spans the table.
+    Rows of equal ids go by a hash of their text, equal rows by their number, so a hot id or row is cut
+    like any other. A window over a range sees all its rows' successors and no window spans the table:
+    first rows are found per range, handed on within groups of ranges, and from group to group by the
+    first rows of these, one for each ``_GROUP`` ranges of ``bytes_each`` bytes.
     """
-    number, _ = _ranges(docs, bytes_each, least)
-    docs = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).withColumn("_range", number).withColumn("_tie", F.xxhash64("text"))
-    heads = docs.groupBy("_range").agg(F.max(F.struct("doc_id", F.bitwise_not("_tie").alias("t"))).alias("m")).select("_range", F.col("m.doc_id").alias("_id"), F.bitwise_not(F.col("m.t")).alias("_head"))
-    # one row a range: their number is bounded by _ranges
-    order = Window.orderBy("_range")
-    heads = heads.withColumn("_to", F.coalesce(F.lag("_range").over(order), F.max("_range").over(order.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing))))
-    found = docs.alias("d").join(F.broadcast(heads.select(F.col("_range").alias("_r"), "_id", "_head", "_to")), (F.col("d._range") == F.col("_r")) & F.col("d.doc_id").eqNullSafe(F.col("_id")) & (F.col("d._tie") == F.col("_head")))
-    ghosts = found.select("doc_id", "text", F.col("_to").alias("_range"), "_tie", F.lit(1).alias("_ghost")).dropDuplicates(["_range"])
-    return docs.withColumn("_ghost", F.lit(0)).unionByName(ghosts)
+    size = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
+    parts = max(least, int(size) // bytes_each)
+    keyed = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).withColumn("_tie", F.xxhash64("text")).withColumn("_number", F.monotonically_increasing_id())
+    ranged = keyed.repartitionByRange(parts, F.col("doc_id").desc_nulls_last(), F.col("_tie"), F.xxhash64("_number")).drop("_number")
+    # a range's number is where a task of this one shuffle stands; written, it stays what it is
+    ranged = materialize(ranged.withColumn("_range", F.spark_partition_id()).withColumn("_ghost", F.lit(0)), "winnow-ranges")
+    first = F.row_number().over(Window.partitionBy("_range").orderBy(F.col("doc_id").desc_nulls_last(), "_tie"))
+    heads = ranged.withColumn("_k", first).where("_k = 1").drop("_k").withColumn("_group", F.floor(F.col("_range") / _GROUP).cast("int"))
+    heads = heads.withColumn("_row", F.struct("doc_id", "text", "_tie"))
+    inside = Window.partitionBy("_group").orderBy("_range")
+    tops = heads.withColumn("_k", F.row_number().over(inside)).where("_k = 1").select(F.col("_group").alias("_g"), "_row")
+    whole = Window.orderBy("_g")
+    tops = tops.select("_g", F.coalesce(F.lead("_row").over(whole), F.first("_row").over(whole.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing))).alias("_top"))
+    ghosts = heads.withColumn("_follows", F.lead("_row").over(inside)).join(tops, F.col("_group") == F.col("_g")).withColumn("_row", F.coalesce("_follows", "_top"))
+    return ranged.unionByName(ghosts.select("_row.doc_id", "_row.text", "_row._tie", "_range", F.lit(1).alias("_ghost")))
 
 
 def _in_range() -> Window:
