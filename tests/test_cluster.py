@@ -44,6 +44,8 @@ def test_classes_pairs_and_degree(spark):
 def test_backlog_and_delay(spark):
     work = spark.createDataFrame([(0, e, w) for e, w in enumerate((7, 1, 9, 0))], "node int, epoch int, work int")
     assert [r.backlog for r in E.lindley(work, ["node"], 5).orderBy("epoch").collect()] == [2, 0, 4, 0]
+    sparse = spark.createDataFrame([(0, 0, 7), (0, 3, 1), (0, 9, 9), (0, 10, 1)], "node int, epoch int, work int")
+    assert [r.backlog for r in E.lindley(sparse, ["node"], 3).orderBy("epoch").collect()] == [4, 0, 6, 4]
     rnd = random.Random(1)
     rows = [(v, e, rnd.randrange(12)) for v in range(3) for e in range(60)]
     got = {(r.node, r.epoch): r.backlog for r in E.lindley(spark.createDataFrame(rows, "node int, epoch int, work int"), ["node"], 5).collect()}
@@ -76,7 +78,7 @@ def test_reorganisation_keeps_its_invariants():
         trace = pd.DataFrame(B.simulate(rows, "s", cluster, CostSpec(ns_per_tuple=9000, ns_per_compare=10, ns_per_message=1000, ns_per_byte=1)), columns=[c.split(" ")[0] for c in B.TRACE.split(", ")])
         assert trace.groupby("epoch").tuples.sum().tolist() == [sum(r["tuples"] for r in rows if r["epoch"] == e) for e in range(80)]
         assert trace.groupby("epoch").node.nunique().equals(trace.groupby("epoch").active.first())
-        assert trace.active.between(1, 5).all() and (trace.groupby("epoch").held.sum() == 600).all()
+        assert trace.active.between(1, 5).all() and (trace.groupby("epoch").held.sum() == 600).all() and trace.moved_groups.sum() > 0
         again = pd.DataFrame(B.simulate(rows, "s", cluster, CostSpec(ns_per_tuple=9000, ns_per_compare=10, ns_per_message=1000, ns_per_byte=1)), columns=trace.columns)
         assert trace.equals(again)
 
@@ -91,6 +93,34 @@ def test_moves_shift_load_from_a_hot_node():
     assert last["moving"] < 0.5 * last["static"] and sum(r[14] for r in runs["static"]) == 0
 
 
+def test_a_move_takes_buffered_tuples_and_directory_along_and_delays_those_who_take_part():
+    cost = CostSpec(ns_per_tuple=1000, ns_per_compare=0, ns_per_message=10, ns_per_byte=1, tuple_bytes=10)
+    rows = [{"epoch": e, "pid": p, "tuples": 150 if p < 2 and e < 4 else 0, "comparisons": 0, "held": 7, "matches": 1, "wait_us": 0, "buckets": 3} for e in range(8) for p in (0, 1, 3, 5)]
+    rows = [{**r, "pid": {0: 0, 1: 2, 3: 1, 5: 3}[r["pid"]]} for r in rows]  # node 0 has the busy groups 0 and 2
+    cluster = ClusterSpec(2, 100, 400, buffer_bytes=400, adaptive=False)
+    trace = pd.DataFrame(B.simulate(rows, "s", cluster, cost), columns=B.COLUMNS)
+    before, after = (trace[trace.epoch == e].set_index("node") for e in (3, 4))
+    moved = after.moved_tuples[1]
+    assert after.moved_groups.tolist() == [0, 1] and moved > 7
+    # the queue has gone with the group: what both have left is what was there less one epoch's work of each
+    price = 10 + (moved * 10 + 8 * 3)
+    room = 100_000 - (10 + price)
+    assert (after.comm_ns == 10 + price).all() and before.backlog_ns[1] == 0
+    assert abs(after.backlog_ns.sum() - (before.backlog_ns.sum() - 2 * room)) <= 4 and after.backlog_ns[1] > 0
+    # results of nodes that take part wait for the acknowledgement
+    half = [before.backlog_ns[0] * k for k in (0.49, 0.51)]
+    for v in (0, 1):
+        assert half[0] < after.delay_us[v] * 1000 / after.matches[v] - price - 10 * (v + 1) < half[1]
+
+
+def test_degree_grows_under_load_and_shrinks_after(spark):
+    cost = CostSpec(ns_per_tuple=2000, ns_per_compare=0, ns_per_message=1000, ns_per_byte=1)
+    rows = [{**r, "tuples": 30 if r["epoch"] < 150 else 1} for r in loads(12, 400)]
+    trace = pd.DataFrame(B.simulate(rows, "s", ClusterSpec(6, 200_000 // 1000, 1000, buffer_bytes=20_000, initial_nodes=1), cost), columns=B.COLUMNS)
+    active = trace.groupby("epoch").active.first()
+    assert active[0] == 1 and active[:150].max() >= 4 and active[399] == 1
+
+
 def test_placement_and_channels():
     assert B.place_operators({"a": 5, "b": 4, "c": 3, "d": 3}, 2) == {"a": 0, "b": 1, "c": 1, "d": 0}
     assert E.channels(5) == 10 and E.channels(5, "all") == 20
@@ -110,7 +140,7 @@ def values(df, measure):
 
 
 def test_tuning_saves_cpu_and_delay_but_no_communication(setting):
-    df = X.cpu_vs_rate(setting, (1.0, 2.7, 4.0)).cache()
+    df = X.run("w2_cpu_vs_rate", setting, rates=(1.0, 2.7, 4.0)).cache()
     cpu, delay, comm, idle = (values(df, m) for m in ("cpu_avg_ns", "delay_avg_us", "comm_avg_ns", "idle_avg_ns"))
     gaps = [u / t for u, t in zip(cpu["untuned"], cpu["tuned"])]
     assert gaps[0] < 1.2 and gaps[1] > 1.2 and gaps[2] > 1.5 and gaps == sorted(gaps)
@@ -121,13 +151,13 @@ def test_tuning_saves_cpu_and_delay_but_no_communication(setting):
 
 
 def test_more_nodes_move_the_knee(setting):
-    df = X.delay_vs_rate(setting, (1.0, 4.0), (2, 8)).cache()
+    df = X.run("w1_delay_vs_rate", setting, rates=(1.0, 4.0), nodes=(2, 8)).cache()
     delay = values(df, "delay_avg_us")
     assert delay["nodes2"][1] > 20 * delay["nodes2"][0] and delay["nodes8"][1] < 3 * delay["nodes8"][0]
 
 
 def test_communication_against_nodes(setting):
-    df = X.comm_vs_nodes(setting, (2, 4, 6)).cache()
+    df = X.run("w6_comm_vs_nodes", setting, nodes=(2, 4, 6)).cache()
     each, all_, degree = values(df, "comm_avg_ns"), values(df, "comm_all_ns"), values(df, "degree_avg")
     assert each["fixed"] == sorted(each["fixed"], reverse=True)
     steps = [b - a for a, b in zip(all_["fixed"], all_["fixed"][1:])]
@@ -136,20 +166,20 @@ def test_communication_against_nodes(setting):
 
 
 def test_spread_epochs_windows_and_buffers(spark, setting):
-    spread = X.comm_spread(setting, (1.0, 4.0)).cache()
+    spread = X.run("w7_comm_spread", setting, rates=(1.0, 4.0)).cache()
     low, high = values(spread, "comm_min_ns"), values(spread, "comm_max_ns")
     assert high["blocking"][1] - low["blocking"][1] > high["blocking"][0] - low["blocking"][0] > high["fixed"][0] - low["fixed"][0]
-    epochs = X.delay_vs_epoch(setting, (0.5, 1, 2)).cache()
+    epochs = X.run("w8_delay_vs_epoch", setting, factors=(0.5, 1, 2)).cache()
     assert values(epochs, "delay_avg_us")[""] == sorted(values(epochs, "delay_avg_us")[""])
     assert values(epochs, "comm_avg_ns")[""] == sorted(values(epochs, "comm_avg_ns")[""], reverse=True)
-    window = values(X.window_vs_rate(setting, (1.0, 2.0)), "window_avg")[""]
+    window = values(X.run("w10_window_vs_rate", setting, rates=(1.0, 2.0)), "window_avg")[""]
     assert window[1] == pytest.approx(2 * window[0], rel=0.15)
     peaks = values(X.buffer_vs_groups(setting), "buffer_peak")[""]
     assert peaks == sorted(peaks, reverse=True)
 
 
 def test_grid_finds_the_cheapest_within_a_delay(setting):
-    found = X.grid(setting, (0.5, 2)).cache()
+    found = X.run("grid", setting, epochs=(0.5, 2)).cache()
     delay = values(found, "delay_avg_us")
     top = X.best(found, max(max(v) for v in delay.values())).first().scenario
     assert top.endswith("td=2")
@@ -168,3 +198,12 @@ def test_arrivals_are_poisson(spark):
     var = sum((x - mean) ** 2 for x in per_s) / (len(per_s) - 1)
     assert 0.5 < var / mean < 1.7
     assert s.agg(F.countDistinct("id")).first()[0] == n and s.exceptAll(poisson_stream(spark, 500, 60, seed=3).repartition(7)).count() == 0
+
+
+def test_measured_time_grows(spark):
+    from winjoin.plans.cost import measured_cpu
+
+    was = measured_cpu(spark)
+    spark.range(3_000_000).selectExpr("sum(sqrt(id))").collect()
+    now = measured_cpu(spark)
+    assert now["cpu_ms"] > was["cpu_ms"] and now["run_ms"] >= was["run_ms"]

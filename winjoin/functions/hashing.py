@@ -74,6 +74,11 @@ def reversed_bits_int(value: int, depth: int) -> int:
     return sum((value >> i & 1) << (depth - 1 - i) for i in range(depth))
 
 
+def floor_div(x: Column, width: int) -> Column:
+    """Whole-number division that rounds down, for negative numbers too and exact for all 64 bits."""
+    return F.call_function("div", x - F.pmod(x, F.lit(width)), F.lit(width))
+
+
 def two_to(n: Column) -> Column:
     """2 to the power of a small integer column."""
     return F.call_function("shiftleft", F.lit(1), n.cast("int"))

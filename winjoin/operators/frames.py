@@ -7,6 +7,8 @@ from collections.abc import Sequence
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from winjoin.functions.hashing import floor_div
+
 
 def arrival_counts(left: DataFrame, right: DataFrame, w1: int, w2: int, by: Sequence[str], match: str = "n_opposite") -> DataFrame:
     """For each arrival the number of opposite tuples of its group in the opposite window: (stream, id, *by, t, n_opposite).
@@ -43,7 +45,7 @@ def held_at(stream: DataFrame, w: int, by: Sequence[str], t0: int, td: int) -> D
 
     A tuple adds one in its epoch and takes one away in the epoch after its window; sums run over those few rows.
     """
-    epoch = lambda t: ((t - F.lit(t0) - F.pmod(t - F.lit(t0), F.lit(td))) / F.lit(td)).cast("long")
+    epoch = lambda t: floor_div(t - F.lit(t0), td)
     steps = stream.withColumn("x", F.explode(F.array(F.struct(epoch(F.col("t")).alias("epoch"), F.lit(1).alias("d")), F.struct((epoch(F.col("t") + F.lit(w)) + 1).alias("epoch"), F.lit(-1).alias("d")))))
     moved = steps.groupBy(*by, F.col("x.epoch").alias("epoch")).agg(F.sum("x.d").alias("d"))
     running = Window.partitionBy(*by).orderBy("epoch").rowsBetween(Window.unboundedPreceding, Window.currentRow)

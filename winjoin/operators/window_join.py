@@ -8,11 +8,12 @@ ends are closed; None as a window is endless. Inputs are tuples (id, key, t).
 from __future__ import annotations
 
 from collections.abc import Sequence
+from functools import partial
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from winjoin.functions.hashing import mini_bits, partition_id, two_to
+from winjoin.functions.hashing import floor_div, mini_bits, partition_id, two_to
 
 STRATEGIES = ("auto", "naive", "smj", "broadcast", "cells", "partitioned", "salted", "slabs")
 
@@ -89,19 +90,22 @@ def window_join(left: DataFrame, right: DataFrame, w1: int | None, w2: int | Non
     if strategy == "smj":
         l = l.hint("merge")
     if strategy == "broadcast":
-        r = F.broadcast(r)
+        r = bounded_broadcast(r)
     return _pairs(l.join(r, match))
 
 
+def bounded_broadcast(df: DataFrame, most: int = 5_000_000) -> DataFrame:
+    """A side to broadcast, if it has at most ``most`` rows; a larger one stays as it is, and the join is planned without the hint."""
+    return F.broadcast(df) if df.limit(most + 1).count() <= most else df
+
+
 def _cells(l: DataFrame, r: DataFrame, w1: int | None, w2: int | None, direction: str) -> DataFrame:
     if w1 is None or w2 is None:
         raise ValueError("cells need windows with an end")
     # a left tuple has one cell, so a pair is met once; a right tuple is put into the two or so cells it can meet
     width = max(1, w1 + w2)
-    l = l.withColumn("l_cell", ((F.col("l_t") - F.pmod(F.col("l_t"), F.lit(width))) / F.lit(width)).cast("long"))
-    low, high = F.col("r_t") - F.lit(w1), F.col("r_t") + F.lit(w2)
-    floor = lambda t: ((t - F.pmod(t, F.lit(width))) / F.lit(width)).cast("long")
-    r = r.withColumn("r_cell", F.explode(F.sequence(floor(low), floor(high))))
+    l = l.withColumn("l_cell", floor_div(F.col("l_t"), width))
+    r = r.withColumn("r_cell", F.explode(F.sequence(floor_div(F.col("r_t") - F.lit(w1), width), floor_div(F.col("r_t") + F.lit(w2), width))))
     return l.join(r, (F.col("l_key") == F.col("r_key")) & (F.col("l_cell") == F.col("r_cell")) & in_window(w1, w2, direction))
 
 
@@ -122,7 +126,7 @@ def _slabs(l: DataFrame, r: DataFrame, w1: int | None, w2: int | None, direction
     if w1 is None or w2 is None:
         raise ValueError("slabs need windows with an end")
     width = slab_us or max(1, 4 * max(w1, w2))
-    floor = lambda t: ((t - F.pmod(t, F.lit(width))) / F.lit(width)).cast("long")
+    floor = partial(floor_div, width=width)
     l = l.withColumn("l_slab", F.explode(F.sequence(floor(F.col("l_t")), floor(F.col("l_t") + F.lit(w1)))))
     r = r.withColumn("r_slab", F.explode(F.sequence(floor(F.col("r_t")), floor(F.col("r_t") + F.lit(w2)))))
     own = F.col("l_slab") == floor(F.greatest("l_t", "r_t"))
@@ -157,7 +161,7 @@ def window_join_multi(streams: Sequence[DataFrame], windows: Sequence[int]) -> D
 def band_join(left: DataFrame, right: DataFrame, w1: int, w2: int, on: Column) -> DataFrame:
     """Window join by cells of time with a condition of any kind in place of key equality (columns l_key, r_key)."""
     width = max(1, w1 + w2)
-    floor = lambda t: ((t - F.pmod(t, F.lit(width))) / F.lit(width)).cast("long")
+    floor = partial(floor_div, width=width)
     l = _side(left, "l").withColumn("l_cell", floor(F.col("l_t")))
     r = _side(right, "r").withColumn("r_cell", F.explode(F.sequence(floor(F.col("r_t") - F.lit(w1)), floor(F.col("r_t") + F.lit(w2)))))
     joined = l.join(r, (F.col("l_cell") == F.col("r_cell")) & in_window(w1, w2) & on)
@@ -180,7 +184,7 @@ def asof_latest(left: DataFrame, right: DataFrame, w: int | None = None) -> Data
 
 def interval_overlap(left: DataFrame, right: DataFrame, width: int) -> DataFrame:
     """Pairs of intervals (id, key, lo, hi) of equal keys that share an instant, by cells; a pair is kept in the first cell both touch."""
-    floor = lambda t: ((t - F.pmod(t, F.lit(width))) / F.lit(width)).cast("long")
+    floor = partial(floor_div, width=width)
     l = left.select(F.col("id").alias("l_id"), F.col("key").alias("l_key"), F.col("lo").alias("l_lo"), F.col("hi").alias("l_hi"), F.explode(F.sequence(floor(F.col("lo")), floor(F.col("hi")))).alias("l_cell"))
     r = right.select(F.col("id").alias("r_id"), F.col("key").alias("r_key"), F.col("lo").alias("r_lo"), F.col("hi").alias("r_hi"), F.explode(F.sequence(floor(F.col("lo")), floor(F.col("hi")))).alias("r_cell"))
     meet = (F.col("l_lo") <= F.col("r_hi")) & (F.col("r_lo") <= F.col("l_hi")) & (F.col("l_cell") == floor(F.greatest("l_lo", "r_lo")))
@@ -196,26 +200,33 @@ def recent_k(left: DataFrame, right: DataFrame, w: int, k: int) -> DataFrame:
     return pairs.withColumn("rank", rank).where(F.col("rank") <= k).select("l_id", "r_id", "key", "rank")
 
 
-def nested_loop_window_join(left: DataFrame, right: DataFrame, w1: int, w2: int) -> DataFrame:
-    """The baseline of one server and one partition: every pair is looked at. For small inputs."""
+def nested_loop_window_join(left: DataFrame, right: DataFrame, w1: int, w2: int, most: int = 5_000_000) -> DataFrame:
+    """The baseline of one server and one partition: every pair is looked at. For small inputs: a right side of more than ``most`` rows is an error."""
+    if right.limit(most + 1).count() > most:
+        raise ValueError(f"the nested loop takes at most {most} tuples on the right")
     cond = (F.col("l_key") <= F.col("r_key")) & (F.col("l_key") >= F.col("r_key")) & in_window(w1, w2)
     return _pairs(_side(left, "l").join(F.broadcast(_side(right, "r")), cond))
 
 
 def tuned_window_join(left: DataFrame, right: DataFrame, w1: int, w2: int, leaves: DataFrame, n_part: int, max_depth: int) -> DataFrame:
     """Join per mini-partition: tuples carry the leaf of a static directory (pid, depth, suffix) and meet only within it."""
+    leaves = small_directory(leaves)
     l = locate(_side(left, "l"), "l", leaves, n_part, max_depth)
     r = locate(_side(right, "r"), "r", leaves, n_part, max_depth)
     cond = (F.col("l_pid") == F.col("r_pid")) & (F.col("l_depth") == F.col("r_depth")) & (F.col("l_suffix") == F.col("r_suffix")) & (F.col("l_key") == F.col("r_key")) & in_window(w1, w2)
     return _pairs(l.join(r, cond))
 
 
+def small_directory(leaves: DataFrame, most: int = 1_000_000) -> DataFrame:
+    """A directory held once for all its uses, with a broadcast hint if it has at most ``most`` leaves (there are tuples / theta of them)."""
+    leaves = leaves.persist()
+    return F.broadcast(leaves) if leaves.limit(most + 1).count() <= most else leaves
+
+
 def locate(side: DataFrame, tag: str, leaves: DataFrame, n_part: int, max_depth: int) -> DataFrame:
-    """Tuples with the leaf that holds them. A directory is small (leaves <= tuples / theta) and broadcast if it has at most a million leaves."""
+    """Tuples with the leaf that holds them."""
     kind = dict(side.dtypes)[f"{tag}_key"]
     keyed = side.withColumn(f"{tag}_pid", partition_id(F.col(f"{tag}_key"), n_part, kind)).withColumn("_bits", mini_bits(F.col(f"{tag}_key"), max_depth, kind))
     d = leaves.select(F.col("pid").alias("_pid"), F.col("depth").alias(f"{tag}_depth"), F.col("suffix").alias(f"{tag}_suffix"))
-    if d.limit(1_000_001).count() <= 1_000_000:
-        d = F.broadcast(d)
     fits = F.pmod(F.col("_bits"), two_to(F.col(f"{tag}_depth"))) == F.col(f"{tag}_suffix")
     return keyed.join(d, (F.col(f"{tag}_pid") == F.col("_pid")) & fits, "left").drop("_pid", "_bits")

@@ -53,34 +53,40 @@ def decide_degree(classed: DataFrame, beta: float) -> DataFrame:
     return n.withColumn("decision", F.when(F.col("n_sup") == 0, "shrink").when(F.col("n_sup") > F.lit(beta) * F.col("n_con"), "grow").otherwise("keep"))
 
 
+#: Occupancies and thresholds of the fold are whole millionths, all else whole nanoseconds, tuples and bytes: sums are exact everywhere.
+PPM = 1_000_000
+#: Bytes of a directory entry, sent with a group that has been split.
+ENTRY_BYTES = 8
+
+
 @dataclass
 class State:
-    """What the master knows between two epochs."""
+    """What the master knows between two epochs. Backlogs belong to partitions, so a group that moves takes its buffered tuples along."""
 
     cluster: ClusterSpec
     assignment: dict[int, int]
     active: set[int]
     backlog_ns: dict[int, int] = field(default_factory=dict)
-    backlog_tuples: dict[int, float] = field(default_factory=dict)
-    samples: dict[int, list[float]] = field(default_factory=dict)
+    backlog_tuples: dict[int, int] = field(default_factory=dict)  # in thousandths, as a part of a queue is no whole number
+    samples: dict[int, list[int]] = field(default_factory=dict)
     since_change: int = 1 << 30
 
 
 def start(cluster: ClusterSpec, pids: list[int]) -> State:
     n = cluster.initial_nodes or cluster.n_nodes
-    return State(cluster, {p: k % n for k, p in enumerate(sorted(pids))}, set(range(n)))
+    return State(cluster, {p: p % n for p in pids}, set(range(n)))
 
 
 def reorganise(state: State, rep_epoch: int, held: dict[int, int]) -> list[tuple[int, int, int, int]]:
-    """One reorganisation on mean occupancies: moves (pid, from, to, tuples); the state is updated."""
+    """One reorganisation on mean occupancies: moves (pid, from, to, tuples of window and buffer); the state is updated."""
     c = state.cluster
-    f = {v: sum(state.samples.get(v, [0.0])) / max(1, len(state.samples.get(v, []))) for v in sorted(state.active)}
-    sup = sorted((v for v in f if f[v] > c.th_sup), key=lambda v: (-f[v], v))
-    con = sorted((v for v in f if f[v] < c.th_con), key=lambda v: (f[v], v))
+    f = {v: sum(x) // len(x) if (x := state.samples.get(v)) else 0 for v in sorted(state.active)}
+    sup = sorted((v for v in f if f[v] > int(c.th_sup * PPM)), key=lambda v: (-f[v], v))
+    con = sorted((v for v in f if f[v] < int(c.th_con * PPM)), key=lambda v: (f[v], v))
     moves = []
 
     def move(pid: int, to: int) -> None:
-        moves.append((pid, state.assignment[pid], to, held.get(pid, 0)))
+        moves.append((pid, state.assignment[pid], to, held.get(pid, 0) + state.backlog_tuples.get(pid, 0) // 1000))
         state.assignment[pid] = to
 
     def groups(node: int) -> list[int]:
@@ -100,12 +106,8 @@ def reorganise(state: State, rep_epoch: int, held: dict[int, int]) -> list[tuple
             for k, pid in enumerate(groups(gone)):
                 move(pid, rest[k % len(rest)])
             state.active.discard(gone)
-            left_ns, left = state.backlog_ns.pop(gone, 0), state.backlog_tuples.pop(gone, 0.0)
-            for v in rest:
-                state.backlog_ns[v] = state.backlog_ns.get(v, 0) + left_ns // len(rest)
-                state.backlog_tuples[v] = state.backlog_tuples.get(v, 0.0) + left / len(rest)
             state.since_change = 0
-        elif sup and len(sup) > c.beta * len(con) and idle:
+        elif sup and len(sup) * PPM > int(c.beta * PPM) * len(con) and idle:
             state.active.add(idle[0])
             state.since_change = 0
     state.samples = {}
@@ -113,16 +115,22 @@ def reorganise(state: State, rep_epoch: int, held: dict[int, int]) -> list[tuple
 
 
 TRACE = (
-    "scenario string, epoch long, node int, active int, tuples long, comparisons long, work_ns long, comm_ns long, idle_ns long, backlog_ns long, occupancy double, "
-    "held long, matches long, delay_us double, moved_groups int, moved_tuples long"
+    "scenario string, epoch long, node int, active int, tuples long, comparisons long, work_ns long, comm_ns long, idle_ns long, backlog_ns long, occupancy_ppm long, "
+    "held long, matches long, delay_us long, moved_groups int, moved_tuples long"
 )
 
 
+COLUMNS = [f.split(" ")[0] for f in TRACE.split(", ")]
+
+
 def simulate(loads: list[dict], scenario: str, cluster: ClusterSpec, cost: CostSpec) -> Iterator[tuple]:
     """Rows of TRACE for one run.
 
-    ``loads``: rows (epoch, pid, tuples, comparisons, held, matches, wait_us) with
-    wait_us the sum over matches of the time that their newer tuple waits for its epoch's end.
+    ``loads``: rows (epoch, pid, tuples, comparisons, held, matches, wait_us[, buckets]) with
+    wait_us the sum over matches of the time that their newer tuple waits for its epoch's end, and
+    buckets the entries of the group's directory. A node works off its partitions' queues evenly.
+    A move sends window, buffered tuples and directory; it takes time from both nodes, and what is pending for
+    nodes that take part waits until the slowest move is acknowledged.
     """
     by_epoch: dict[int, list[dict]] = {}
     for r in loads:
@@ -132,52 +140,56 @@ def simulate(loads: list[dict], scenario: str, cluster: ClusterSpec, cost: CostS
     state = start(cluster, sorted({int(r["pid"]) for r in loads}))
     td_ns, per_rep = cluster.td_us * 1000, (cluster.tr_us // cluster.td_us if cluster.tr_us else None)
     held: dict[int, int] = {}
+    buckets: dict[int, int] = {}
     extra_ns: dict[int, int] = {}
+    awaited: dict[int, int] = {}
     moved_note: dict[int, tuple[int, int]] = {}
     first = min(by_epoch)
     for epoch in range(first, max(by_epoch) + 1):
-        rows = by_epoch.get(epoch, [])
-        node_rows: dict[int, list[dict]] = {v: [] for v in state.active}
-        for r in rows:
-            held[int(r["pid"])] = int(r["held"])
-            node_rows[state.assignment[int(r["pid"])]].append(r)
+        came: dict[int, dict] = {}
+        for r in by_epoch.get(epoch, []):
+            p = int(r["pid"])
+            came[p] = {k: int(r[k]) for k in ("tuples", "comparisons", "matches", "wait_us")}
+            held[p], buckets[p] = int(r["held"]), int(r.get("buckets", 0))
+        own: dict[int, list[int]] = {v: [] for v in state.active}
+        for p, v in state.assignment.items():
+            own[v].append(p)
         ahead = [0] * cluster.n_groups
-        out = []
         for v in sorted(state.active):
-            mine = node_rows[v]
-            tuples, comps = sum(int(r["tuples"]) for r in mine), sum(int(r["comparisons"]) for r in mine)
-            matches, wait = sum(int(r["matches"]) for r in mine), sum(int(r["wait_us"]) for r in mine)
+            mine = [came[p] for p in own[v] if p in came]
+            tuples, comps, matches, wait = (sum(r[k] for r in mine) for k in ("tuples", "comparisons", "matches", "wait_us"))
             work = tuples * cost.ns_per_tuple + comps * cost.ns_per_compare
             send = cost.ns_per_message + tuples * cost.tuple_bytes * cost.ns_per_byte
             g = v % cluster.n_groups
             offset = ahead[g]
             ahead[g] += send
-            comm = send + (offset if cluster.order == "blocking" else 0) + extra_ns.pop(v, 0)
+            comm = send + (offset if cluster.order == "blocking" else 0) + extra_ns.get(v, 0)
             capacity = max(0, td_ns - comm - cluster.background_us * 1000)
-            before = state.backlog_ns.get(v, 0)
-            after = max(0, before + work - capacity)
-            busy = before + work - after
-            queued = state.backlog_tuples.get(v, 0.0) + tuples
-            left = queued * after / (before + work) if before + work else 0.0
-            state.backlog_ns[v], state.backlog_tuples[v] = after, left
-            occupancy = min(1.0, left * cost.tuple_bytes / cluster.buffer_bytes)
+            before = sum(state.backlog_ns.get(p, 0) for p in own[v])
+            due = before + work
+            after = max(0, due - capacity)
+            for p in own[v]:
+                r = came.get(p)
+                queue = state.backlog_ns.get(p, 0) + (r["tuples"] * cost.ns_per_tuple + r["comparisons"] * cost.ns_per_compare if r else 0)
+                waiting = state.backlog_tuples.get(p, 0) + (1000 * r["tuples"] if r else 0)
+                state.backlog_ns[p] = queue * after // due if due else 0
+                state.backlog_tuples[p] = waiting * after // due if due else 0
+            occupancy = min(PPM, sum(state.backlog_tuples[p] for p in own[v]) * cost.tuple_bytes * PPM // (1000 * cluster.buffer_bytes))
             state.samples.setdefault(v, []).append(occupancy)
-            # a result leaves after its tuple's wait, the sends ahead, the backlog found and half of its batch's work
-            delay = wait + matches * (offset + send + before + work // 2) / 1000
-            moved = moved_note.pop(v, (0, 0))
-            idle = max(0, td_ns - comm - busy - cluster.background_us * 1000)
-            out.append((scenario, epoch, v, len(state.active), tuples, comps, work, comm, idle, after, occupancy, sum(held.get(p, 0) for p, n in state.assignment.items() if n == v), matches, float(delay), *moved))
-        yield from out
+            # a result leaves after its tuple's wait, an acknowledgement, the sends ahead, the backlog found and half of its batch's work
+            delay = wait + matches * (awaited.get(v, 0) + offset + send + before + work // 2) // 1000
+            idle = max(0, td_ns - comm - (due - after) - cluster.background_us * 1000)
+            yield scenario, epoch, v, len(state.active), tuples, comps, work, comm, idle, sum(state.backlog_ns[p] for p in own[v]), occupancy, sum(held.get(p, 0) for p in own[v]), matches, delay, *moved_note.get(v, (0, 0))
+        extra_ns, awaited, moved_note = {}, {}, {}
         if per_rep and (epoch - first + 1) % per_rep == 0:
             moves = reorganise(state, (epoch - first + 1) // per_rep, held)
-            for pid, a, b, n in moves:
-                price = cost.ns_per_message + n * cost.tuple_bytes * cost.ns_per_byte
+            prices = [cost.ns_per_message + (n * cost.tuple_bytes + ENTRY_BYTES * buckets.get(p, 0)) * cost.ns_per_byte for p, _, _, n in moves]
+            for (_, a, b, n), price in zip(moves, prices):
                 for v in (a, b):
-                    if v in state.active:
-                        extra_ns[v] = extra_ns.get(v, 0) + price
-                if b in state.active:
-                    k, m = moved_note.get(b, (0, 0))
-                    moved_note[b] = (k + 1, m + n)
+                    extra_ns[v] = extra_ns.get(v, 0) + price
+                    awaited[v] = max(prices)
+                k, m = moved_note.get(b, (0, 0))
+                moved_note[b] = (k + 1, m + n)
 
 
 def simulate_all(loads: DataFrame, scenarios: dict[str, tuple[ClusterSpec, CostSpec]]) -> DataFrame:
@@ -186,7 +198,7 @@ def simulate_all(loads: DataFrame, scenarios: dict[str, tuple[ClusterSpec, CostS
     def run(rows: pd.DataFrame) -> pd.DataFrame:
         name = str(rows.scenario.iloc[0])
         cluster, cost = scenarios[name]
-        return pd.DataFrame(list(simulate(rows.to_dict("records"), name, cluster, cost)), columns=[f.split(" ")[0] for f in TRACE.split(", ")])
+        return pd.DataFrame(list(simulate(rows.to_dict("records"), name, cluster, cost)), columns=COLUMNS)
 
     return loads.groupBy("scenario").applyInPandas(run, TRACE)
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
@@ -24,26 +24,46 @@ def imbalance(work: DataFrame, value: str = "work") -> DataFrame:
 
 def occupancy(trace: DataFrame, per_rep: int) -> DataFrame:
     """Mean occupancy f of each node in each reorganisation epoch."""
-    return trace.groupBy("scenario", F.floor(F.col("epoch") / per_rep).cast("long").alias("rep_epoch"), "node").agg(F.avg("occupancy").alias("f"))
+    return trace.groupBy("scenario", F.floor(F.col("epoch") / per_rep).cast("long").alias("rep_epoch"), "node").agg((F.avg("occupancy_ppm") / 1e6).alias("f"))
+
+
+#: Measures of a run, and how they follow from its rows; whole numbers but for shares and ratios.
+MEASURES = (
+    "backlog_rise_ns", "comm_all_ns", "comm_avg_ns", "comm_max_ns", "comm_min_ns", "comparisons", "cpu_avg_ns", "degree_avg", "delay_avg_us", "idle_avg_ns", "imbalance",
+    "moved_groups", "moved_tuples", "occupancy_max", "results", "window_avg", "window_max",
+)
 
 
 def summary(trace: DataFrame, warm_epoch: int) -> DataFrame:
-    """Measures of each run after its warm-up, long form (scenario, measure, value)."""
+    """Measures of each run after its warm-up, long form (scenario, measure, value).
+
+    Averages are whole-number quotients of exact sums, shares have three decimals. backlog_rise_ns is what the backlog of
+    all nodes grows by from the first to the last of these epochs, per epoch: above zero for long in an overloaded system.
+    """
     own = trace.where(F.col("epoch") >= warm_epoch)
+
+    def total(c: str) -> Column:
+        return F.sum(F.col(c).cast("decimal(20,0)"))
+
+    def ratio(a: Column, b: Column) -> Column:
+        return F.round(a.cast("double") / F.greatest(b.cast("double"), F.lit(1.0)), 3)
+
+    def whole(a: Column, b: Column) -> Column:
+        return F.floor(a.cast("double") / F.greatest(b.cast("double"), F.lit(1.0))).cast("double")
+
     node = own.groupBy("scenario", "node").agg(F.sum("comm_ns").alias("comm"), F.sum("idle_ns").alias("idle"), F.sum("work_ns").alias("work"))
+    n = F.count(F.lit(1))
     per_node = node.groupBy("scenario").agg(
-        F.avg("comm").alias("comm_avg_ns"), F.min("comm").cast("double").alias("comm_min_ns"), F.max("comm").cast("double").alias("comm_max_ns"), F.sum("comm").cast("double").alias("comm_all_ns"),
-        F.avg("idle").alias("idle_avg_ns"), F.avg("work").alias("cpu_avg_ns"), (F.max("work") / F.avg("work")).alias("imbalance"))
-    whole = own.groupBy("scenario").agg(
-        (F.sum("delay_us") / F.greatest(F.sum("matches"), F.lit(1))).alias("delay_avg_us"), F.sum("matches").cast("double").alias("results"), F.sum("comparisons").cast("double").alias("comparisons"),
-        F.avg("active").alias("degree_avg"), F.max("held").cast("double").alias("window_max"), F.avg("held").alias("window_avg"), F.max("occupancy").alias("occupancy_max"),
-        F.sum("moved_groups").cast("double").alias("moved_groups"), F.sum("moved_tuples").cast("double").alias("moved_tuples"))
-    # overload: the backlog of all nodes rises through the second half, or a buffer fills
+        whole(total("comm"), n).alias("comm_avg_ns"), F.min("comm").cast("double").alias("comm_min_ns"), F.max("comm").cast("double").alias("comm_max_ns"), total("comm").cast("double").alias("comm_all_ns"),
+        whole(total("idle"), n).alias("idle_avg_ns"), whole(total("work"), n).alias("cpu_avg_ns"), ratio(F.max("work") * n, total("work")).alias("imbalance"))
     ends = own.groupBy("scenario", "epoch").agg(F.sum("backlog_ns").alias("b"))
-    slope = ends.groupBy("scenario").agg(F.coalesce(F.regr_slope("b", "epoch"), F.lit(0.0)).alias("backlog_slope_ns"))
-    wide = per_node.join(whole, "scenario").join(slope, "scenario")
-    names = [c for c in wide.columns if c != "scenario"]
-    return wide.unpivot("scenario", names, "measure", "value")
+    ends = ends.groupBy("scenario").agg(F.min_by("b", "epoch").alias("a"), F.max_by("b", "epoch").alias("b"), F.count(F.lit(1)).alias("k"))
+    ends = ends.select("scenario", F.floor((F.col("b") - F.col("a")).cast("double") / F.greatest(F.col("k") - 1, F.lit(1))).cast("double").alias("backlog_rise_ns"))
+    overall = own.groupBy("scenario").agg(
+        whole(total("delay_us"), total("matches")).alias("delay_avg_us"), total("matches").cast("double").alias("results"), total("comparisons").cast("double").alias("comparisons"),
+        ratio(F.sum("active"), n).alias("degree_avg"), F.max("held").cast("double").alias("window_max"), whole(total("held"), n).alias("window_avg"), F.round(F.max("occupancy_ppm") / 1e6, 6).alias("occupancy_max"),
+        F.sum("moved_groups").cast("double").alias("moved_groups"), F.sum("moved_tuples").cast("double").alias("moved_tuples"))
+    return per_node.join(overall, "scenario").join(ends, "scenario").unpivot("scenario", list(MEASURES), "measure", "value")
 
 
 def capacity(runs: DataFrame, limit_ns: float) -> DataFrame:
@@ -59,7 +79,8 @@ def bag_difference(a: DataFrame, b: DataFrame) -> DataFrame:
 def measured_cpu(spark) -> dict[str, int]:
     """CPU and run time in milliseconds of all stages that this application has completed, from the status store."""
     out = {"cpu_ms": 0, "run_ms": 0}
-    stages = spark.sparkContext._jsc.sc().statusStore().stageList(None)
+    sc = spark.sparkContext
+    stages = sc._jsc.sc().statusStore().stageList(sc._jvm.java.util.ArrayList(), False, False, sc._gateway.new_array(sc._jvm.double, 0), sc._jvm.java.util.ArrayList())
     for i in range(stages.size()):
         s = stages.apply(i)
         out["cpu_ms"] += s.executorCpuTime() // 1_000_000

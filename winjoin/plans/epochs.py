@@ -10,15 +10,10 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from winjoin.functions.hashing import partition_id
+from winjoin.functions.hashing import floor_div, partition_id
 from winjoin.plans.model import ClusterSpec, CostSpec
 
 
-def floor_div(x: Column, width: int) -> Column:
-    """Integer division that rounds down, for negative numbers too."""
-    return ((x - F.pmod(x, F.lit(width))) / F.lit(width)).cast("long")
-
-
 def floor_div_sql(x: str, width: int) -> str:
     return f"((({x}) - ((({x}) % {width} + {width}) % {width})) // {width})"
 
@@ -130,9 +125,16 @@ def buffer_trace(routed: DataFrame) -> DataFrame:
 
 
 def lindley(work: DataFrame, by: list[str], capacity: Column | int, value: str = "work") -> DataFrame:
-    """Backlog of queues without iteration: with S the running sum of work - capacity, B = S - min(0, least S so far)."""
-    order = Window.partitionBy(*by).orderBy("epoch").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    """Backlog of queues without iteration: with S the running sum of work - capacity, B = S - min(0, least S so far).
+
+    An epoch without a row brings no work but has its capacity: it is taken off before the next row's work comes.
+    ``capacity`` is the same for all epochs of a queue.
+    """
+    order = Window.partitionBy(*by).orderBy("epoch")
+    run = order.rowsBetween(Window.unboundedPreceding, Window.currentRow)
     cap = capacity if isinstance(capacity, Column) else F.lit(capacity)
-    summed = work.withColumn("_s", F.sum(F.col(value) - cap).over(order))
-    low = F.least(F.lit(0), F.min("_s").over(order))
-    return summed.withColumn("backlog", F.col("_s") - low).drop("_s")
+    passed = F.col("epoch") - F.coalesce(F.lag("epoch").over(order), F.col("epoch") - 1) - 1
+    summed = work.withColumn("_gap", passed * cap).withColumn("_s", F.sum(F.col(value) - cap - F.col("_gap")).over(run))
+    # the least S so far is met before a row's work as well, at the end of the gap
+    low = F.least(F.lit(0), F.min("_s").over(run), F.min(F.col("_s") - F.col(value) + cap).over(run))
+    return summed.withColumn("backlog", F.col("_s") - low).drop("_s", "_gap")

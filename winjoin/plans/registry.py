@@ -16,6 +16,7 @@ from winjoin.plans import balance as BAL
 from winjoin.plans import cost as C
 from winjoin.plans import epochs as E
 from winjoin.plans import experiments as X
+from winjoin.plans import oracle as O
 from winjoin.plans.model import DAY, HOUR, MINUTE, ClusterSpec, CostSpec
 from winjoin.sources import streams as S
 from winjoin.sources.synth import gap_us, thin
@@ -32,8 +33,8 @@ NODES = 4
 CLUSTER = ClusterSpec(NODES, TD, TR, buffer_bytes=2048)
 GROUPED = ClusterSpec(NODES, TD, TR, buffer_bytes=2048, n_groups=2)
 COST = CostSpec()
-#: Work that a node does in an epoch, in comparisons and tuples, for the queue queries.
-CAPACITY = 60
+#: Skew of the keys where nodes shall differ in load.
+SKEW = 0.7
 
 
 def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
@@ -73,7 +74,6 @@ for _name, _w in (("10m", 10 * MINUTE), ("1h", HOUR), ("6h", 6 * HOUR), ("1d", D
 query("window_join_asym", ev_join(HOUR, 6 * HOUR))(lambda s, d: WJ.window_join(*pair(s, d), HOUR, 6 * HOUR))
 for _name in ("naive", "smj", "broadcast", "cells", "partitioned", "salted", "slabs"):
     query(f"window_join_{_name}", ev_join(6 * HOUR, 6 * HOUR))(lambda s, d, n=_name: WJ.window_join(*pair(s, d), 6 * HOUR, 6 * HOUR, n, heavy=50))
-query("window_join_zero", ev_join(0, 0))(lambda s, d: WJ.window_join(*pair(s, d), 0, 0, "cells"))
 query("window_join_endless", f"SELECT key, CAST(count(*) AS BIGINT) AS n FROM ({ev_join(10**17, 10**17)}) GROUP BY key")(lambda s, d: WJ.window_join(*pair(s, d), None, None).groupBy("key").agg(F.count(F.lit(1)).alias("n")))
 query("window_join_left_newer", ev_join(0, 6 * HOUR))(lambda s, d: WJ.window_join(*pair(s, d), 6 * HOUR, 6 * HOUR, "cells", "left_newer"))
 query("window_join_right_newer", ev_join(6 * HOUR, 0))(lambda s, d: WJ.window_join(*pair(s, d), 6 * HOUR, 6 * HOUR, "cells", "right_newer"))
@@ -119,6 +119,7 @@ ORDERS = "(SELECT o_orderkey AS id, o_orderkey AS key, epoch_us(o_orderdate) AS
 LINES = "(SELECT l_orderkey * 10 + l_linenumber AS id, l_orderkey AS key, epoch_us(l_shipdate) AS t FROM lineitem)"
 for _n in (7, 30):
     query(f"window_join_ol_{_n}d", join_sql(ORDERS, LINES, _n * DAY, _n * DAY))(lambda s, d, n=_n: WJ.window_join(_orders(s, d), _lines(s, d), n * DAY, n * DAY))
+query("window_join_zero", join_sql(ORDERS, LINES, 0, 0))(lambda s, d: WJ.window_join(_orders(s, d), _lines(s, d), 0, 0, "cells"))
 query("window_self_join_orders", join_sql(*["(SELECT o_orderkey AS id, o_custkey AS key, epoch_us(o_orderdate) AS t FROM orders)"] * 2, 7 * DAY, 7 * DAY, "AND l.id < r.id"))(
     lambda s, d: WJ.window_self_join(S.as_stream(S.table(s, d, "orders"), "o_custkey", "o_orderdate", "o_orderkey"), 7 * DAY))
 
@@ -301,10 +302,24 @@ query("comm_vs_nodes", " UNION ALL ".join(_VS.format(v=k, p="nodes", m=COST.ns_p
     lambda s, d: _union([E.communication(E.deliveries(_routed(s, d, ClusterSpec(k, TD, TR)), COST)).agg(F.sum("messages").alias("messages"), F.sum("comm_ns").alias("comm_ns")).select(F.lit(k).cast("long").alias("nodes"), "messages", "comm_ns") for k in (1, 2, 3, 4, 6)]))
 query("comm_vs_epoch", " UNION ALL ".join(_VS.format(v=k, p="td_minutes", m=COST.ns_per_message, b=COST.tuple_bytes * COST.ns_per_byte, e=E.floor_div_sql(f"t - {T0}", k * MINUTE), pid=PID, k=3, src=MERGED) for k in (12, 24, 48, 96)))(
     lambda s, d: _union([E.communication(E.deliveries(_routed(s, d, ClusterSpec(3, k * MINUTE, TR)), COST)).agg(F.sum("messages").alias("messages"), F.sum("comm_ns").alias("comm_ns")).select(F.lit(k).cast("long").alias("td_minutes"), "messages", "comm_ns") for k in (12, 24, 48, 96)]))
-query("comm_patterns", "SELECT * FROM (VALUES (2, 4, 2), (4, 8, 12), (8, 16, 56)) v(nodes, fixed, all_to_all)")(
-    lambda s, d: s.createDataFrame([(n, E.channels(n), E.channels(n, "all")) for n in (2, 4, 8)], "nodes int, fixed int, all_to_all int"))
-query("buffer_bound", "SELECT n_g, CAST(bound AS BIGINT) AS bound FROM (VALUES (1, 3000), (2, 2250), (4, 1875), (10, 1650)) v(n_g, bound)")(
-    lambda s, d: s.createDataFrame([(n, round(E.buffer_bound(1500, 2, n))) for n in (1, 2, 4, 10)], "n_g int, bound long"))
+query("comm_patterns", " UNION ALL ".join(f"SELECT {k} AS nodes, CAST(2 * count(DISTINCT node) AS BIGINT) AS fixed, CAST(count(DISTINCT node) * (count(DISTINCT node) - 1) AS BIGINT) AS all_to_all FROM (SELECT {PID} % {k} AS node FROM {MERGED})" for k in (2, 4, 8)))(lambda s, d: _patterns(s, d))
+_DAILY = "(SELECT CAST(count(*) AS BIGINT) AS n, CAST(max(t) - min(t) AS BIGINT) AS span FROM " + ev("click") + ")"
+query("buffer_bound", " UNION ALL ".join(f"SELECT {g} AS n_g, CAST(round(n / (span / 1000000.0::DOUBLE) * 86400.0::DOUBLE / 2 * (1 + 1 / {g}::DOUBLE), 3) AS DOUBLE) AS bound FROM {_DAILY}" for g in (1, 2, 4, 10)))(
+    lambda s, d: s.createDataFrame([(n, round(E.buffer_bound(_rate(s, d), 86400.0, n), 3)) for n in (1, 2, 4, 10)], "n_g int, bound double"))
+
+
+def _patterns(s: SparkSession, d: str) -> DataFrame:
+    """Channels between the master and the nodes that get tuples, or among these."""
+    used = [(k, _routed(s, d, ClusterSpec(k, TD, TR)).agg(F.count_distinct("node")).first()[0]) for k in (2, 4, 8)]
+    return s.createDataFrame([(k, E.channels(n), E.channels(n, "all")) for k, n in used], "nodes int, fixed long, all_to_all long")
+
+
+def _rate(s: SparkSession, d: str) -> float:
+    """Clicks a second."""
+    x = S.events(s, d, "click").agg(F.count(F.lit(1)).alias("n"), F.min("t").alias("a"), F.max("t").alias("b")).first()
+    return x.n / ((x.b - x.a) / 1000000.0)
+
+
 query("buffer_trace", f"""WITH r AS {_routed_sql(2)}, i AS (SELECT DISTINCT leave_us AS at FROM r), a AS (SELECT i.at, count(*) AS n FROM i JOIN r ON r.t < i.at AND r.leave_us >= i.at GROUP BY 1) SELECT CAST(max(n) AS BIGINT) AS peak FROM a""")(
     lambda s, d: E.buffer_trace(_routed(s, d, GROUPED)).agg(F.max("waiting").alias("peak")))
 
@@ -312,31 +327,45 @@ query("buffer_trace", f"""WITH r AS {_routed_sql(2)}, i AS (SELECT DISTINCT leav
 query("state_bytes", f"""WITH z AS (SELECT {PID} AS pid, count(*) AS n FROM {MERGED} GROUP BY 1), b AS (SELECT pid, count(*) AS k FROM {_LEAVES} GROUP BY 1)
     SELECT z.pid AS pid, CAST(z.n * 64 + b.k * 8 AS BIGINT) AS bytes FROM z JOIN b ON z.pid = b.pid""")(
     lambda s, d: E.state_bytes(_placed(S.merge_tagged(pair(s, d))).groupBy("pid").agg(F.count(F.lit(1)).alias("n")), COST, _leaves(s, d)))
-query("degree_by_estimate", "SELECT rate, CAST(greatest(1, least(8, CAST(floor((0.01 * 2e9 - rate * 2 * 64 * 8) / 500000) AS INTEGER))) AS INTEGER) AS nodes FROM (VALUES (1500), (6000), (20000)) v(rate)")(
-    lambda s, d: s.createDataFrame([(r, E.degree_by_estimate(r, 2, 8, COST)) for r in (1500, 6000, 20000)], "rate int, nodes int"))
+query("degree_by_estimate", f"SELECT CAST(k AS BIGINT) AS times, CAST(greatest(1, least(8, CAST(floor((0.01::DOUBLE * 2e9::DOUBLE - r * k * 2 * 64 * 8) / 500000) AS INTEGER))) AS INTEGER) AS nodes FROM (VALUES (10000000), (22000000), (25000000)) v(k), (SELECT n / (span / 1000000.0::DOUBLE) AS r FROM {_DAILY})")(
+    lambda s, d: s.createDataFrame([(k, E.degree_by_estimate(_rate(s, d) * k, 2, 8, COST)) for k in (10_000_000, 22_000_000, 25_000_000)], "times long, nodes int"))
 
 # -- queues, classes, moves ----------------------------------------------------------------------------
 
-_WORK = f"(SELECT epoch, node, CAST(count(*) AS BIGINT) AS work FROM (SELECT {E.floor_div_sql(f't - {T0}', TR)} AS epoch, CAST({_NODE} AS INTEGER) AS node FROM {MERGED}) GROUP BY 1, 2)"
-_BACK = f"(WITH q AS (SELECT *, sum(work - {CAPACITY // 10}) OVER (PARTITION BY node ORDER BY epoch) AS s FROM {_WORK}) SELECT epoch, node, work, CAST(s - least(0, min(s) OVER (PARTITION BY node ORDER BY epoch)) AS BIGINT) AS backlog FROM q)"
+_SK = "(SELECT event_id AS id, " + H.bmodel_key_sql("event_id", SKEW, *X.EVENT_SKEW) + " AS key, epoch_us(ts) AS t FROM events WHERE event_type = '{}')"
+_SKM = f"(SELECT 1 AS stream, * FROM {_SK.format('click')} UNION ALL SELECT 2 AS stream, * FROM {_SK.format('view')})"
+#: A node takes 1.1 times the mean work of all epochs and nodes; its buffer holds four times as much.
+_CAP = f"(SELECT CAST(greatest(1, count(*) * 11 // (10 * {NODES} * (max(e) - min(e) + 1))) AS BIGINT) AS cap, CAST(max(e) - min(e) + 1 AS BIGINT) AS epochs FROM (SELECT {E.floor_div_sql(f't - {T0}', TR)} AS e FROM {_SKM}))"
+_WORK = f"(SELECT epoch, node, CAST(count(*) AS BIGINT) AS work, any_value(cap) AS cap, any_value(epochs) AS epochs FROM (SELECT {E.floor_div_sql(f't - {T0}', TR)} AS epoch, CAST({_NODE} AS INTEGER) AS node FROM {_SKM}), {_CAP} GROUP BY 1, 2)"
+_BACK = f"""(WITH w AS {_WORK}, a AS (SELECT n.node, e.epoch, any_value(w2.cap) AS cap FROM (SELECT DISTINCT node FROM w) n, (SELECT unnest(range(min(epoch), max(epoch) + 1)) AS epoch FROM w) e, w w2 GROUP BY 1, 2),
+    q AS (SELECT a.epoch, a.node, a.cap, w.work, sum(coalesce(w.work, 0) - a.cap) OVER (PARTITION BY a.node ORDER BY a.epoch) AS s FROM a LEFT JOIN w ON w.node = a.node AND w.epoch = a.epoch WHERE a.epoch >= (SELECT min(epoch) FROM w x WHERE x.node = a.node)),
+    z AS (SELECT *, s - least(0, min(s) OVER (PARTITION BY node ORDER BY epoch)) AS b FROM q) SELECT epoch, node, work, CAST(b AS BIGINT) AS backlog, cap FROM z WHERE work IS NOT NULL)"""
+
+
+def _skewed(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
+    rows = S.table(s, d, "events").withColumn("bkey", H.bmodel_key(F.col("event_id"), SKEW, *X.EVENT_SKEW))
+    return tuple(S.as_stream(rows.where(F.col("event_type") == k), "bkey", "ts", "event_id") for k in ("click", "view"))
 
 
 def _work(s: SparkSession, d: str) -> DataFrame:
-    placed = _placed(S.merge_tagged(pair(s, d))).withColumn("node", E.initial_node(F.col("pid"), NODES))
-    return E.assign_epochs(placed, TR, T0).groupBy("epoch", "node").agg(F.count(F.lit(1)).alias("work"))
+    """(epoch, node, work, cap, epochs) of the skewed pair."""
+    placed = E.assign_epochs(_placed(S.merge_tagged(_skewed(s, d))).withColumn("node", E.initial_node(F.col("pid"), NODES)), TR, T0)
+    work = placed.groupBy("epoch", "node").agg(F.count(F.lit(1)).alias("work"))
+    whole = work.agg(F.sum("work").alias("n"), (F.max("epoch") - F.min("epoch") + 1).alias("epochs"))
+    return work.join(F.broadcast(whole.select(F.greatest(F.lit(1), F.expr(f"n * 11 div (10 * {NODES} * epochs)")).alias("cap"), "epochs")))
 
 
 def _backlog(s: SparkSession, d: str) -> DataFrame:
-    return E.lindley(_work(s, d), ["node"], CAPACITY // 10)
+    return E.lindley(_work(s, d), ["node"], F.col("cap"))
 
 
-query("backlog_lindley", f"SELECT * FROM {_BACK}")(_backlog)
-_F = f"(SELECT epoch // 10 AS rep_epoch, node, round(avg(least(1.0, backlog / 40.0)), 6) AS f FROM {_BACK} GROUP BY 1, 2)"
+query("backlog_lindley", f"SELECT epoch, node, work, backlog FROM {_BACK}")(lambda s, d: _backlog(s, d).select("epoch", "node", "work", "backlog"))
+_F = f"(SELECT epoch // 10 AS rep_epoch, node, round(avg(least(1.0::DOUBLE, backlog / (4.0::DOUBLE * cap))), 6) AS f FROM {_BACK} GROUP BY 1, 2)"
 _CLASS = f"(SELECT *, CASE WHEN f > 0.5 THEN 'supplier' WHEN f < 0.01 THEN 'consumer' ELSE 'neutral' END AS class FROM {_F})"
 
 
 def _classes(s: SparkSession, d: str) -> DataFrame:
-    f = _backlog(s, d).groupBy(F.expr("epoch div 10").alias("rep_epoch"), "node").agg(F.round(F.avg(F.least(F.lit(1.0), F.col("backlog") / 40.0)), 6).alias("f"))
+    f = _backlog(s, d).groupBy(F.expr("epoch div 10").alias("rep_epoch"), "node").agg(F.round(F.avg(F.least(F.lit(1.0), F.col("backlog") / (F.lit(4.0) * F.col("cap")))), 6).alias("f"))
     return BAL.classify(f, CLUSTER)
 
 
@@ -348,32 +377,44 @@ query("degree_decision", f"""SELECT rep_epoch, n_sup, n_con, CASE WHEN n_sup = 0
     FROM (SELECT rep_epoch, CAST(count(*) FILTER (class = 'supplier') AS BIGINT) AS n_sup, CAST(count(*) FILTER (class = 'consumer') AS BIGINT) AS n_con FROM {_CLASS} GROUP BY 1)""")(lambda s, d: BAL.decide_degree(_classes(s, d), 0.5))
 
 
-@query("move_cost", f"""WITH p AS (SELECT DISTINCT {PID} AS pid, CAST({_NODE} AS INTEGER) AS node FROM {MERGED}), z AS (SELECT {PID} AS pid, count(*) AS n FROM {MERGED} GROUP BY 1),
+@query("move_cost", f"""WITH p AS (SELECT DISTINCT {PID} AS pid, CAST({_NODE} AS INTEGER) AS node FROM {_SKM}), z AS (SELECT {PID} AS pid, count(*) AS n FROM {_SKM} GROUP BY 1),
     s AS (SELECT rep_epoch, node, row_number() OVER (PARTITION BY rep_epoch ORDER BY f DESC, node) AS k FROM {_CLASS} WHERE class = 'supplier'),
     c AS (SELECT rep_epoch, node, row_number() OVER (PARTITION BY rep_epoch ORDER BY f, node) AS k FROM {_CLASS} WHERE class = 'consumer'),
     m AS (SELECT s.rep_epoch, s.node AS supplier, c.node AS consumer, p.pid, row_number() OVER (PARTITION BY s.rep_epoch, s.node ORDER BY {H.mix32_sql('(42 * 7919 + s.rep_epoch * 104729 + p.pid)')}, p.pid) AS k
           FROM s JOIN c ON s.rep_epoch = c.rep_epoch AND s.k = c.k JOIN p ON p.node = s.node)
     SELECT m.rep_epoch AS rep_epoch, m.supplier AS supplier, m.consumer AS consumer, m.pid AS pid, CAST(z.n AS BIGINT) AS tuples, CAST(z.n * 64 AS BIGINT) AS bytes FROM m JOIN z ON z.pid = m.pid WHERE m.k = 1""")
 def move_cost(s: SparkSession, d: str) -> DataFrame:
-    sizes = _placed(S.merge_tagged(pair(s, d))).groupBy("pid").agg(F.count(F.lit(1)).alias("tuples"))
+    sizes = _placed(S.merge_tagged(_skewed(s, d))).groupBy("pid").agg(F.count(F.lit(1)).alias("tuples"))
     assignment = sizes.select("pid", E.initial_node(F.col("pid"), NODES).alias("node"))
     moves = BAL.plan_moves(BAL.pair_nodes(_classes(s, d)), assignment, 42)
     return moves.join(sizes, "pid").select("rep_epoch", "supplier", "consumer", "pid", "tuples", (F.col("tuples") * 64).alias("bytes"))
 
 
-query("idle_time", f"SELECT node, CAST(sum(greatest(0, {CAPACITY // 10} - work)) AS BIGINT) AS idle FROM {_WORK} GROUP BY node")(lambda s, d: _work(s, d).groupBy("node").agg(F.sum(F.greatest(F.lit(0), F.lit(CAPACITY // 10) - F.col("work"))).cast("long").alias("idle")))
+#: Time units of the idle-time query: a tuple's work, its receipt, a message (sent in every epoch), an epoch per tuple of capacity.
+_UNITS = (10, 1, 5, 12)
+query("idle_time", f"SELECT node, CAST(sum(greatest(0, {_UNITS[3]} * cap - {_UNITS[0] + _UNITS[1]} * work - {_UNITS[2]})) + (any_value(epochs) - count(*)) * greatest(0, {_UNITS[3]} * any_value(cap) - {_UNITS[2]}) AS BIGINT) AS idle FROM {_WORK} GROUP BY node")(lambda s, d: _idle(s, d))
+
+
+def _idle(s: SparkSession, d: str) -> DataFrame:
+    """What work and communication leave of all epochs, those without arrivals included."""
+    work, receive, message, each = _UNITS
+    free = F.greatest(F.lit(0), F.col("cap") * each - F.col("work") * (work + receive) - message)
+    empty = (F.max("epochs") - F.count(F.lit(1))) * F.greatest(F.lit(0), F.max("cap") * each - message)
+    return _work(s, d).groupBy("node").agg((F.sum(free) + empty).cast("long").alias("idle"))
+
+
 query("imbalance", f"SELECT CAST(max(w) AS BIGINT) AS max_work, round(avg(w), 6) AS mean_work, round(max(w) / avg(w), 6) AS ratio FROM (SELECT node, sum(work) AS w FROM {_WORK} GROUP BY node)")(
     lambda s, d: C.imbalance(_work(s, d).groupBy("node").agg(F.sum("work").alias("work"))).select("max_work", F.round("mean_work", 6).alias("mean_work"), F.round("ratio", 6).alias("ratio")))
-query("capacity_grid", f"""SELECT CAST(g AS BIGINT) AS grp, CAST(max(capacity) AS BIGINT) AS capacity FROM (SELECT n.nodes AS g, c.cap AS capacity FROM (VALUES (2), (4)) n(nodes), (VALUES (1), (2), (4), (8)) c(cap),
-    (SELECT max(w) AS w FROM (SELECT {E.floor_div_sql(f't - {T0}', TR)} AS e, count(*) AS w FROM {MERGED} GROUP BY 1)) x WHERE c.cap * x.w <= n.nodes * {CAPACITY}) GROUP BY g""")(lambda s, d: _capacity_grid(s, d))
+#: A backlog that rises by less than a fiftieth of an epoch per epoch is stable.
+_STABLE = TD * 1000 // 50
+_RATES, _SIZES = (0.5, 1.0, 2.0, 4.0), (2, 4)
+query("capacity_grid", f"SELECT variant AS nodes, max(param_value) AS capacity FROM (SELECT split_part(scenario, '/', 2) AS variant, param_value FROM ({O.measures_sql('w1', X.delay_vs_rate(_RATES, _SIZES))}) WHERE measure = 'backlog_rise_ns' AND value <= {_STABLE}) GROUP BY 1")(lambda s, d: _capacity_grid(s, d))
 
 
 def _capacity_grid(s: SparkSession, d: str) -> DataFrame:
-    """Greatest multiple of the given rate that a number of nodes of fixed capacity takes in the busiest epoch."""
-    top = E.assign_epochs(S.merge_tagged(pair(s, d)), TR, T0).groupBy("epoch").agg(F.count(F.lit(1)).alias("w")).agg(F.max("w").alias("w"))
-    grid = s.createDataFrame([(n, m) for n in (2, 4) for m in (1, 2, 4, 8)], "group long, rate long")
-    runs = grid.join(F.broadcast(top)).select("group", "rate", (F.col("rate") * F.col("w") - F.col("group") * CAPACITY).alias("slope"))
-    return C.capacity(runs, 0).select(F.col("group").alias("grp"), "capacity")
+    """The greatest rate multiple that a number of nodes takes without a rising backlog."""
+    rise = X.run("w1_delay_vs_rate", X.on_events(s, d), rates=_RATES, nodes=_SIZES).where("measure = 'backlog_rise_ns'")
+    return C.capacity(rise.select(F.split_part("scenario", F.lit("/"), F.lit(2)).alias("group"), F.col("param_value").alias("rate"), F.col("value").alias("slope")), _STABLE).withColumnRenamed("group", "nodes")
 
 
 query("production_delay", f"""SELECT node, CAST(count(*) AS BIGINT) AS n, CAST(sum(emit - newer_t) AS BIGINT) AS sum_us, CAST(max(emit - newer_t) AS BIGINT) AS max_us FROM (
@@ -389,7 +430,10 @@ def _shedding(s: SparkSession, d: str) -> DataFrame:
     return _union([WJ.window_join(thin(l, k), thin(r, k), DAY, DAY).agg(F.count(F.lit(1)).alias("found")).join(F.broadcast(truth)).select(F.lit(float(k)).alias("keep"), "found", "truth") for k in (0.25, 0.5, 0.75)])
 
 
-query("operator_placement")(lambda s, d: s.createDataFrame(list(BAL.place_operators({n: WJ.window_join(*pair(s, d), w, w).count() for n, w in (("10m", 10 * MINUTE), ("1h", HOUR), ("6h", 6 * HOUR), ("1d", DAY))}, 2).items()), "query string, node int"))
+_JOINS = (("10m", 10 * MINUTE), ("1h", HOUR), ("6h", 6 * HOUR), ("1d", DAY))
+query("operator_placement", "WITH RECURSIVE w AS (SELECT name, n, row_number() OVER (ORDER BY n DESC, name) AS k FROM (" + " UNION ALL ".join(f"SELECT '{n}' AS name, count(*) AS n FROM ({ev_join(w, w)})" for n, w in _JOINS) + """)),
+    st AS (SELECT CAST(0 AS BIGINT) AS k, CAST(0 AS BIGINT) AS a, CAST(0 AS BIGINT) AS b, '' AS query, 0 AS node UNION ALL SELECT w.k, CASE WHEN a <= b THEN a + n ELSE a END, CASE WHEN a <= b THEN b ELSE b + n END, w.name, CASE WHEN a <= b THEN 0 ELSE 1 END FROM st JOIN w ON w.k = st.k + 1)
+    SELECT query, CAST(node AS INTEGER) AS node FROM st WHERE k > 0""")(lambda s, d: s.createDataFrame(list(BAL.place_operators({n: WJ.window_join(*pair(s, d), w, w).count() for n, w in _JOINS}, 2).items()), "query string, node int"))
 
 # -- generator -----------------------------------------------------------------------------------------
 
@@ -397,12 +441,6 @@ query("bmodel_keys", f"SELECT event_id AS id, {H.bmodel_key_sql('event_id')} AS
 query("poisson_gaps", f"SELECT event_id AS id, CAST(round(-ln(({H.mix32_sql('event_id + 42 * 1000003 + 7')} + 0.5) / 4294967296.0) / 1500.0 * 1e6) AS BIGINT) AS gap_us FROM events")(lambda s, d: S.table(s, d, "events").select(F.col("event_id").alias("id"), gap_us(F.col("event_id"), 1500, 42).alias("gap_us")))
 
 
-def _skewed(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
-    rows = S.table(s, d, "events").withColumn("bkey", H.bmodel_key(F.col("event_id"), 0.7, 6, 50))
-    return tuple(S.as_stream(rows.where(F.col("event_type") == k), "bkey", "ts", "event_id") for k in ("click", "view"))
-
-
-_SK = "(SELECT event_id AS id, " + H.bmodel_key_sql("event_id", 0.7, 6, 50) + " AS key, epoch_us(ts) AS t FROM events WHERE event_type = '{}')"
 query("window_join_skew", f"SELECT key, CAST(count(*) AS BIGINT) AS n FROM ({join_sql(_SK.format('click'), _SK.format('view'), 6 * HOUR, 6 * HOUR)}) GROUP BY key")(lambda s, d: WJ.window_join(*_skewed(s, d), 6 * HOUR, 6 * HOUR).groupBy("key").agg(F.count(F.lit(1)).alias("n")))
 
 # -- relational surround -------------------------------------------------------------------------------
@@ -438,24 +476,29 @@ query("roundtrip_json", "SELECT event_id, user_id, event_type FROM events")(
 query("payload_passthrough", "SELECT event_id AS id, json_extract_string(props, '$.k') AS k, event_type FROM events WHERE user_id IS NOT NULL")(
     lambda s, d: S.as_stream(S.table(s, d, "events"), "user_id", "ts", "event_id", ["event_type", "props"]).select("id", F.get_json_object("payload.props", "$.k").alias("k"), "payload.event_type"))
 
-# -- whole runs of the modelled cluster; invariants and shapes are tested -------------------------------
+# -- whole runs of the modelled cluster -----------------------------------------------------------------
 
+#: Skewed keys at a rate that overloads the nodes of the hot ones, so that groups move.
+_MOVING = X.Case("rate", 2.7, 2.7)
+_GROWING = X.Case("rate", 4, 4.0, nodes=6, over=(("adaptive", True), ("initial_nodes", 1)))
 
-@query("rebalance_trace")
-def rebalance_trace(s: SparkSession, d: str) -> DataFrame:
-    setting = X.on_events(s, d)
-    l = X.loads(*setting.streams(4), setting.join, setting.cluster.td_us, setting.t0).withColumn("scenario", F.lit("rebalance"))
-    return BAL.simulate_all(l, {"rebalance": (setting.cluster, setting.cost)})
 
+def _run(s: SparkSession, d: str, name: str, case: X.Case) -> DataFrame:
+    setting = X.on_events(s, d, skew=SKEW)
+    cluster = case.cluster_of(setting)
+    l = X.loads(*setting.streams(case.rate), case.join_of(setting), cluster.td_us, setting.t0).withColumn("scenario", F.lit(name))
+    return BAL.simulate_all(l, {name: (cluster, setting.cost)})
 
-@query("degree_trace")
-def degree_trace(s: SparkSession, d: str) -> DataFrame:
-    setting = X.on_events(s, d)
-    l = X.loads(*setting.streams(4), setting.join, setting.cluster.td_us, setting.t0).withColumn("scenario", F.lit("degree"))
-    trace = BAL.simulate_all(l, {"degree": (X.replace(setting.cluster, n_nodes=6, adaptive=True), setting.cost)})
-    return trace.groupBy("epoch").agg(F.max("active").alias("active"))
 
+query("rebalance_trace", O.trace_sql("rebalance", _MOVING, SKEW))(lambda s, d: _run(s, d, "rebalance", _MOVING))
+query("degree_trace", f"SELECT epoch, max(active) AS active, CAST(sum(moved_groups) AS BIGINT) AS moved FROM ({O.trace_sql('degree', _GROWING, SKEW)}) GROUP BY epoch")(
+    lambda s, d: _run(s, d, "degree", _GROWING).groupBy("epoch").agg(F.max("active").alias("active"), F.sum("moved_groups").alias("moved")))
 
-query("exp_grid")(lambda s, d: X.grid(X.on_events(s, d)))
-for _name, _workload in X.WORKLOADS.items():
-    query(f"exp_{_name}")(lambda s, d, f=_workload: f(X.on_events(s, d)))
+#: Options of the sweeps over the table events; ablations on skewed keys.
+_OPTIONS: dict[str, dict] = {"w12_ablations": {"n_part": N_PART}}
+_SKEWED = {"w12_ablations"}
+for _name, _cases in {**X.WORKLOADS, "grid": X.grid}.items():
+    _skew, _more = SKEW if _name in _SKEWED else None, _OPTIONS.get(_name, {})
+    query(f"exp_{_name}", O.measures_sql(_name.split("_")[0], _cases(**_more), _skew))(lambda s, d, n=_name, k=_skew, o=_more: X.run(n, X.on_events(s, d, skew=k), **o))
+#: An epoch of 3.3 days holds hundreds of tuples.
+query("exp_w11_buffer_vs_groups", O.buffer_sql((1, 2, 4), 4.0, 100.0))(lambda s, d: X.buffer_vs_groups(X.on_events(s, d), (1, 2, 4), 4.0, 100.0))
