@@ -131,7 +131,8 @@ def with_next(docs: DataFrame, bytes_each: int = 8 << 20, least: int = 64) -> Da
     whole = Window.orderBy("_g")
     tops = tops.select("_g", F.coalesce(F.lead("_row").over(whole), F.first("_row").over(whole.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing))).alias("_top"))
     ghosts = heads.withColumn("_follows", F.lead("_row").over(inside)).join(tops, F.col("_group") == F.col("_g")).withColumn("_row", F.coalesce("_follows", "_top"))
-    return ranged.unionByName(ghosts.select("_row.doc_id", "_row.text", "_row._tie", "_range", F.lit(1).alias("_ghost")))
+    # as many tasks as ranges: what one of them reads does not grow with the table
+    return ranged.unionByName(ghosts.select("_row.doc_id", "_row.text", "_row._tie", "_range", F.lit(1).alias("_ghost"))).repartition(parts, "_range")
 
 
 def _in_range() -> Window:
