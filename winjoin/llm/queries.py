@@ -48,8 +48,12 @@ def op6_piece_encoding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return piece_encode(table(spark, sf_dir, "documents"), public_tokenizers.path(PIECE_MODEL))
 
 
+#: Words of the longest n-grams of the language model.
+KATZ_ORDER = 3
+
+
 def op7_katz(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return katz_scores(table(spark, sf_dir, "documents"), least=1)
+    return katz_scores(table(spark, sf_dir, "documents"), order=KATZ_ORDER)
 
 
 def op5_language(spark: SparkSession, sf_dir: str) -> DataFrame:
