@@ -65,3 +65,17 @@ def test_empty_tables(spark):
     b = spark.createDataFrame(bench, "item_id long, text string")
     assert contamination(d.limit(0), b).collect() == []
     assert contamination(d, b.limit(0)).where("contaminated").collect() == []
+
+
+def test_query_equals_sql(spark):
+    import duckdb
+
+    from winjoin.llm.queries import ORACLE_SQL, op4_decontamination
+
+    con = duckdb.connect()
+    for name in ("documents", "benchmark"):
+        con.sql(f"CREATE VIEW {name} AS SELECT * FROM '/root/testdata/sf0.01/{name}.parquet'")
+    want = con.sql(ORACLE_SQL["op4_decontamination"])
+    got = op4_decontamination(spark, "/root/testdata/sf0.01")
+    assert got.columns == want.columns
+    assert sorted(map(tuple, got.collect())) == sorted(want.fetchall()) and any(r[2] for r in want.fetchall())

@@ -1,9 +1,13 @@
 import re
 
 import corpus_pipeline as C
+import public_tokenizers
+import pytest
+from pyspark.sql import functions as F
+
 from winjoin.llm.decontam import contamination
 from winjoin.llm.pii_bootstrap import find_spans
-from winjoin.llm.queries import QUERIES, table
+from winjoin.llm.queries import PIECE_MODEL, QUERIES, table
 
 SF = "/root/testdata/sf0.001"
 
@@ -74,7 +78,56 @@ def test_odd_rows_and_empty_tables(spark, tmp_path):
         if docs:
             ids = [r.doc_id for r in got]
             assert ids.count(1) == 1 and 4 not in ids and all(r.n_pieces == len(r.piece_ids) for r in got)
+    for d in ("some", "none"):
+        spark.createDataFrame([(1, "http://a.b.de/x", f"<html lang='de'><p>{good}</p></html>"), (1, None, None), (None, "", "")] if d == "some" else [], "page_id long, url string, html string").write.parquet(f"{tmp_path}/{d}/pages.parquet")
+        assert len(QUERIES["op5_language"](spark, f"{tmp_path}/{d}").collect()) == (3 if d == "some" else 0)
     for name in ("op1_license_scan", "op2_token_counts", "op3_jaccard_join", "op4_decontamination", "op6_piece_encoding", "op7_katz", "op8_quality", "op9_winnowing", "op10_pii"):
         n = len(QUERIES[name](spark, f"{tmp_path}/some").collect())
         assert n == len(rows) + len(many) or name == "op1_license_scan", name
         assert QUERIES[name](spark, f"{tmp_path}/none").collect() == [], name
+
+
+CLASHES = "n_words n_hit items _n_hit _items _sid _keep_id _keep_sid _spans _text_hash _key quality_score piece_ids n_pieces path_score text_ _range _ghost _tie _row m kind start end base sid sketch root node rid fingerprint held word Part".split()
+
+
+@pytest.fixture(scope="module")
+def clashing(spark):
+    """The smallest documents with string ids beside columns of every name that the operators use within."""
+    docs = table(spark, SF, "documents").limit(60)
+    return docs.select("*", *(F.lit(k).cast("string").alias(c) for k, c in enumerate(CLASHES))).persist()
+
+
+@pytest.mark.parametrize("k", range(5))
+def test_stages_with_clashing_names(spark, clashing, k):
+    name, stage = C.STAGES[k]
+    want = {r.doc_id for r in stage(spark, table(spark, SF, "documents").limit(60), SF).collect()}
+    got = stage(spark, clashing, SF)
+    rows = got.collect()
+    assert {r.doc_id for r in rows} == want and want
+    if k < 4:
+        assert got.columns == clashing.columns
+        # a classifier's score has a name of its own; what else a row has stays
+        assert all(r["n_hit"] == "1" and r["_sid"] == str(CLASHES.index("_sid")) and r["_spans"] == str(CLASHES.index("_spans")) for r in rows)
+
+
+@pytest.mark.parametrize("name", [n for n in QUERIES if n != "op5_language"])
+def test_operators_with_clashing_names_and_string_ids(spark, clashing, tmp_path, name):
+    d = str(tmp_path)
+    clashing.withColumn("doc_id", F.concat(F.lit("d"), F.col("doc_id"))).write.parquet(f"{d}/documents.parquet")
+    table(spark, SF, "benchmark").withColumn("items", F.lit(1)).write.parquet(f"{d}/benchmark.parquet")
+    table(spark, SF, "labels").withColumn("doc_id", F.concat(F.lit("d"), F.col("doc_id"))).withColumn("text", F.lit("x")).write.parquet(f"{d}/labels.parquet")
+    got = QUERIES[name](spark, d)
+    rows = got.collect()
+    assert got.schema["doc_id"].dataType.simpleString() == "string"
+    assert len(rows) == 60 or name == "op1_license_scan"
+
+
+def test_outputs_take_the_place_of_columns_of_their_name(spark, clashing):
+    from winjoin.llm.line_crf import quality_scores, train
+    from winjoin.llm.piece_viterbi import piece_decode, piece_encode
+
+    scored = quality_scores(clashing, train(clashing, table(spark, SF, "labels")))
+    assert scored.columns.count("quality_score") == 1 and scored.select("quality_score").dtypes == [("quality_score", "double")]
+    coded = piece_encode(clashing, public_tokenizers.path(PIECE_MODEL)).withColumn("text", F.lit("old"))
+    back = {r.doc_id: r.text for r in piece_decode(coded, public_tokenizers.path(PIECE_MODEL)).collect()}
+    assert back == {r.doc_id: r.text or "" for r in clashing.collect()}

@@ -99,4 +99,17 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op10_pii": op10_pii,
 }
 
-ORACLE_SQL: dict[str, str] = {}
+_WORDS = r"regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
+
+#: What SQL can say whole; the other operators are compared with brute force, round trips or held-out labels in tests/llm.
+ORACLE_SQL: dict[str, str] = {
+    "op4_decontamination": f"""WITH d AS MATERIALIZED (SELECT row_number() OVER () AS rid, doc_id, {_WORDS} AS w FROM documents),
+    b AS (SELECT CAST(item_id AS VARCHAR) AS item, {_WORDS} AS w FROM benchmark WHERE item_id IS NOT NULL),
+    item AS MATERIALIZED (SELECT DISTINCT item, least(10, len(w)) AS size, array_to_string(w[i : i + least(10, len(w)) - 1], ' ') AS span FROM (SELECT *, unnest(range(1, len(w) - least(10, len(w)) + 2)) AS i FROM b WHERE len(w) > 0)),
+    win AS (SELECT rid, i, size, array_to_string(w[i : i + size - 1], ' ') AS span FROM (SELECT d.*, s.size, unnest(range(1, len(w) - s.size + 2)) AS i FROM d, (SELECT DISTINCT size FROM item) s WHERE len(w) >= s.size)),
+    met AS MATERIALIZED (SELECT win.rid, win.i, win.size, item.item FROM win JOIN item ON item.size = win.size AND item.span = win.span),
+    hit AS (SELECT rid, count(*) AS n FROM (SELECT DISTINCT rid, unnest(range(i, i + size)) AS p FROM met) GROUP BY rid),
+    known AS (SELECT rid, list_sort(list_distinct(list(item))) AS items FROM met GROUP BY rid)
+    SELECT d.doc_id, CAST(len(d.w) AS BIGINT) AS n_words, CAST(coalesce(hit.n, 0) AS BIGINT) AS n_hit, CAST(coalesce(len(known.items), 0) AS BIGINT) AS n_items, sha256(coalesce(array_to_string(known.items, ','), '')) AS items_sha256, coalesce(hit.n, 0) > 0 AS contaminated
+    FROM d LEFT JOIN hit ON hit.rid = d.rid LEFT JOIN known ON known.rid = d.rid""",
+}
