@@ -105,3 +105,41 @@ def test_components(spark):
     touched = {x for a, b in edges if a != b for x in (a, b)}
     got = connected(spark.createDataFrame(edges, "a long, b long")).collect()
     assert sorted(map(tuple, got)) == sorted((x, find(x)) for x in touched)
+
+
+def test_no_link_of_the_given_documents_is_lost(spark):
+    """All links of sf0.1 against an exact count from an inverted index of the sets."""
+    from collections import Counter, defaultdict
+
+    from winjoin.llm.chosen_path import _key, gram_sets
+
+    docs = spark.read.parquet("/root/testdata/sf0.1/documents.parquet").select("doc_id", "text")
+    table = docs.toArrow()
+    sets = {}
+    copies = Counter()
+    of = {}
+    for b in table.to_batches():
+        for i, s in zip(b.column(0).to_pylist(), gram_sets(b.column(1), 5)):
+            of[i] = _key(s) if len(s) else None
+            if len(s):
+                sets[of[i]] = s.tolist()
+                copies[of[i]] += 1
+    # prefix filter: sets of similarity 0.8 share one of the rarest (1 - 0.8) of the grams
+    n = Counter(g for s in sets.values() for g in s)
+    index = defaultdict(list)
+    pairs = set()
+    for k, s in sorted(sets.items(), key=lambda x: len(x[1])):
+        rare = sorted(s, key=lambda g: (n[g], g))[: len(s) - -(-len(s) * 4 // 5) + 1]
+        pairs.update((o, k) for g in rare for o in index[g])
+        for g in rare:
+            index[g].append(k)
+    links = Counter({k: c - 1 for k, c in copies.items()})
+    for a, b in pairs:
+        x, y = set(sets[a]), set(sets[b])
+        both = len(x & y)
+        if both >= 0.8 * (len(x) + len(y) - both) - 1e-9:
+            links[a] += copies[b]
+            links[b] += copies[a]
+    got = {r.doc_id: r.n_links for r in similarity_classes(docs).collect()}
+    want = {i: links[k] if k else 0 for i, k in of.items()}
+    assert sum(want.values()) > 1000 and got == want

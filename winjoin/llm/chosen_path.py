@@ -17,8 +17,8 @@
    meets with the target recall, which ``runs_for`` derives from the
    branching process.
 4. *Exact check.* Ties form candidate components. Members of a component are
-   dealt into blocks, block pairs are spread over tasks, and each pair's exact
-   similarity is computed on its full sets. A task emits links per set and a
+   dealt into blocks of at most about ``block`` sets and ``block_bytes`` bytes, block pairs are spread over tasks, and each pair's exact
+   similarity is computed on its full sets, which travel once for each block of their component. A task emits links per set and a
    spanning forest of its links, never the pairs.
 
 Results are one row per document: its class (least document id of its
@@ -243,7 +243,7 @@ def _verify(key: tuple, rows: pa.Table, threshold: float) -> pa.Table:
     })
 
 
-def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = 5, threshold: float = 0.8, recall: float = 0.999, depth: int = 3, bucket: int = 48, max_depth: int = 6, block: int = 32) -> DataFrame:
+def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = 5, threshold: float = 0.8, recall: float = 0.999, depth: int = 3, bucket: int = 48, max_depth: int = 6, block: int = 512, block_bytes: int = 4 << 20) -> DataFrame:
     """Rows (doc_id, class_id, n_links, sid, class_sid), one for each row of ``docs``.
 
     sid and class_sid are the keys of the document's set and of its class.
@@ -271,21 +271,22 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
         entries = materialize(_extend(large.join(sketches, "rid").select("rid", "sketch", "node"), depth, None), "jaccard-paths")
         at += depth
     hub = large.groupBy("node").agg(F.min("rid").alias("b"))
-    ties.append(large.join(hub, "node").where("rid <> b").select(F.col("rid").alias("a"), "b").distinct())
+    ties.append(materialize(large.join(hub, "node").where("rid <> b").select(F.col("rid").alias("a"), "b").distinct(), "jaccard-ties"))
     edges = ties[0]
     for more in ties[1:]:
         edges = edges.unionByName(more)
     comps = materialize(connected(thin(edges)), "jaccard-components")
+    release(*ties)
 
     # exact check: full sets of members only, in pairs of blocks
     members = comps.join(reps.select("rid", "sid", "copies"), comps.node == F.col("rid")).select("sid", "root", "copies")
-    sized = members.groupBy("root").agg(F.count(F.lit(1)).alias("n"))
-    dealt = members.join(sized, "root").withColumn("blocks", F.ceil(F.col("n") / block).cast("int")).withColumn("mine", F.pmod(F.xxhash64("sid"), F.col("blocks")).cast("int"))
     chosen = described.groupBy("sid").agg(F.min(F.struct("doc_id")).alias("one"))
     texts = docs.join(chosen.join(members.select("sid"), "sid").select(F.col("one.doc_id").alias("doc_id")).where("doc_id IS NOT NULL").distinct(), "doc_id", "left_semi")
     nulls = docs.where("doc_id IS NULL")
     grams = materialize(_grams(texts.unionByName(nulls), n).dropDuplicates(["sid"]), "jaccard-grams")
-    whole = dealt.join(grams, "sid")
+    whole = members.join(grams, "sid")
+    sized = whole.groupBy("root").agg(F.greatest(F.ceil(F.count(F.lit(1)) / block), F.ceil(F.sum(F.octet_length("grams")) / block_bytes)).cast("int").alias("blocks"))
+    whole = whole.join(sized, "root").withColumn("mine", F.pmod(F.xxhash64("sid"), F.col("blocks")).cast("int"))
     pairs = whole.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select(
         "root", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"),
         F.when(F.col("mine") == F.col("other"), 0).when(F.col("mine") < F.col("other"), 1).otherwise(2).alias("side"), "sid", "copies", "grams",
@@ -299,7 +300,7 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     least_id = described.groupBy("sid").agg(F.min("doc_id").alias("low")).join(known, "sid").groupBy("class_sid").agg(F.min("low").alias("class_id"))
     by_set = materialize(known.join(least_id, "class_sid").select("sid", "n_links", "class_sid", "class_id"), "jaccard-classes")
     out = described.select("doc_id", "sid", F.col("sketch").isNull().alias("blank")).join(by_set, "sid", "left")
-    release(*kept)
+    release(*kept, comps, grams, checked)
     return out.select(
         "doc_id", F.when(F.col("blank"), F.col("doc_id")).otherwise(F.col("class_id")).alias("class_id"), F.when(F.col("blank"), 0).otherwise(F.col("n_links")).cast("long").alias("n_links"),
         "sid", F.when(F.col("blank"), F.encode(F.concat(F.lit("blank:"), F.coalesce(F.col("doc_id").cast("string"), F.lit("null"))), "utf-8")).otherwise(F.col("class_sid")).alias("class_sid"),
