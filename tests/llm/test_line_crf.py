@@ -71,3 +71,15 @@ def test_score_ignores_batching():
     texts = [t for _, t, _ in corpus(20)]
     together = model.score(pa.array(texts))
     assert np.allclose(together, [model.score(pa.array([t]))[0] for t in texts])
+
+
+def test_lines_of_long_documents_are_bounded_in_training_only(spark):
+    from winjoin.llm.line_crf import _spaced, line_features
+
+    import pyarrow as pa
+
+    texts = pa.array(["\n".join(f"line {i} of a text" for i in range(n)) for n in (10, 1000, 300, 256)])
+    feats, size, first = line_features(texts)
+    f, s, at = _spaced(feats, size, first, 256, 64)
+    assert np.diff(at).tolist()[0] == 10 and np.diff(at)[3] == 256 and all(64 <= k <= 256 for k in np.diff(at)[1:3])
+    assert (f[at[1]] == feats[first[1]]).all() and (f[at[2] - 1] == feats[first[2] - 1]).all() and s[:10].tolist() == size[:10].tolist()

@@ -9,8 +9,9 @@ which a logistic curve fitted on the training documents turns into a score.
 Learning uses document labels only: at first every line carries its document's
 label, then lines of bad documents that the model finds good are relabelled
 (never all lines of one document) and the model is fitted again. The fit takes
-a bounded sample, ``train_docs`` labelled documents of least hash and chains of
-``chain`` lines; scoring is distributed and reads whole texts.
+a bounded sample, ``train_docs`` labelled documents of least hash, chains of
+``chain`` lines, and of a document with more than ``train_lines`` lines as many chains as make up that number, evenly
+spaced over all of it; scoring is distributed and reads whole texts.
 
 Edge cases: null and empty texts, and texts of newlines only, have no lines
 and quality 0, scored like any other quality; a label table without both
@@ -212,8 +213,13 @@ def _curve(q: np.ndarray, labels: np.ndarray) -> tuple[float, float]:
     return max(float(beta[0]), 1e-6), float(beta[1])
 
 
-def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", folds: int = 4, held_fold: int = 2, train_docs: int = 4000) -> LineModel:
-    """Fit on the ``train_docs`` labelled documents of least id hash, all outside the held-out fold."""
+def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", folds: int = 4, held_fold: int = 2, train_docs: int = 4000, train_lines: int = 256, chain: int = 64) -> LineModel:
+    """Fit on the ``train_docs`` labelled documents of least id hash, all outside the held-out fold.
+
+    At most ``train_docs * train_lines`` lines of 132 bytes come to the driver.
+    """
+    if train_lines < chain:
+        raise ValueError("train_lines holds at least one chain")
     spark = docs.sparkSession
     picked = (
         labels.select(F.col(f"`{id_col}`").alias("doc_id"), F.col(f"`{label_col}`").cast("int").alias("label"))
@@ -228,6 +234,7 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
         for batch in batches:
             for p in B.pieces(batch, "text"):
                 feats, size, first = line_features(p.column(0))
+                feats, size, first = _spaced(feats, size, first, train_lines, chain)
                 yield pa.RecordBatch.from_arrays(
                     [p.column(1), p.column(2), pa.array([feats[a:b].tobytes() for a, b in zip(first[:-1], first[1:])], pa.binary()), pa.array([size[a:b].tobytes() for a, b in zip(first[:-1], first[1:])], pa.binary())],
                     ["order", "label", "feats", "size"],
@@ -236,7 +243,23 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
 
     rows = chosen.select("text", F.xxhash64("doc_id", "text").alias("order"), "label").mapInArrow(run, "order long, label int, feats binary, size binary").dropDuplicates().collect()
     rows.sort(key=lambda r: (r.order, r.label))
-    return fit([(np.frombuffer(r.feats, np.float32).reshape(-1, 3 * OWN), np.frombuffer(r["size"], np.float64), int(r.label > 0)) for r in rows])
+    return fit([(np.frombuffer(r.feats, np.float32).reshape(-1, 3 * OWN), np.frombuffer(r["size"], np.float64), int(r.label > 0)) for r in rows], chain)
+
+
+def _spaced(feats: np.ndarray, size: np.ndarray, first: np.ndarray, most: int, chain: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Of rows with more than ``most`` lines evenly spaced chains, the first and the last among them."""
+    n = np.diff(first)
+    if not (n > most).any():
+        return feats, size, first
+    kept = []
+    for a, k in zip(first[:-1], n):
+        if k <= most:
+            kept.append(np.arange(a, a + k))
+            continue
+        begin = np.linspace(0, k - chain, most // chain).astype(np.int64)
+        kept.append(np.unique(a + (begin[:, None] + np.arange(chain)).ravel()))
+    at = np.concatenate(kept)
+    return feats[at], size[at], np.concatenate([[0], np.cumsum([len(x) for x in kept])])
 
 
 def quality_scores(docs: DataFrame, model: LineModel, text_col: str = "text", keep: list[str] | None = None, out: str = "quality_score") -> DataFrame:
