@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from winjoin.operators.block_kernel import run_tuples
 from winjoin.operators.frames import arrival_counts
 from winjoin.operators.window_join import STRATEGIES, asof_latest, choose, window_join, window_join_multi, window_self_join
-from winjoin.plans.model import HOUR
+from winjoin.plans.model import HOUR, MINUTE
 from winjoin.sources.streams import as_stream, decode_punctuated, events, merge_tagged, punctuated, rejected, save_bucketed, table, write_layout
 
 SCHEMA = "id long, key long, t long"
@@ -145,3 +145,26 @@ def test_choice_of_strategy(spark):
     cold = frame(spark, [(i, i, i * 10) for i in range(400)])
     assert choose(hot, hot, 5, 5) == "cells" and choose(cold, cold, 5, 5) == "naive" and choose(hot, hot, None, 5) == "naive"
     assert table(spark, "/root/testdata/sf0.001", "nation").count() == 25
+
+
+def test_every_kind_of_join_by_cells_equals_the_naive_one(spark):
+    l, r = events(spark, "/root/testdata/sf0.01", "click"), events(spark, "/root/testdata/sf0.01", "view")
+    few = [x.withColumn("key", F.col("key") % 7) for x in (l, r)]
+    w1, w2 = 20 * MINUTE, 50 * MINUTE
+    for how in ("inner", "left_semi", "left_anti", "left", "right", "full"):
+        for direction in ("both", "left_newer", "right_newer"):
+            a, b = (window_join(*few, w1, w2, s, direction, how) for s in ("cells", "naive"))
+            assert a.columns == b.columns and sorted(map(str, a.collect())) == sorted(map(str, b.collect())), (how, direction)
+    a, b = (sorted(map(tuple, window_self_join(few[0], HOUR, strategy=s).collect())) for s in ("cells", "naive"))
+    assert a == b and a
+    third = events(spark, "/root/testdata/sf0.01", "purchase").withColumn("key", F.col("key") % 7)
+    a, b = (sorted(map(tuple, window_join_multi([*few, third], [HOUR, 3 * HOUR, 2 * HOUR], s).collect())) for s in ("cells", "naive"))
+    assert a == b and a
+
+
+def test_cells_are_exact_for_nanosecond_clocks(spark):
+    base = (1 << 60) + 1
+    l = spark.createDataFrame([(1, 5, base), (2, 5, base + 10)], "id long, key long, t long")
+    r = spark.createDataFrame([(k, 5, base + k) for k in range(-6, 20)], "id long, key long, t long")
+    got = sorted((x.l_id, x.r_id) for x in window_join(l, r, 3, 2, "cells").collect())
+    assert got == sorted((i, k) for i, at in ((1, 0), (2, 10)) for k in range(-6, 20) if at - 2 <= k <= at + 3)

@@ -67,12 +67,17 @@ def window_join(left: DataFrame, right: DataFrame, w1: int | None, w2: int | Non
     if strategy not in STRATEGIES:
         raise ValueError(f"strategy is one of {STRATEGIES}")
     if strategy == "auto":
-        strategy = choose(left, right, w1, w2) if how == "inner" else "naive"
+        strategy = choose(left, right, w1, w2)
     l, r = _side(left, "l"), _side(right, "r")
     match = (F.col("l_key") == F.col("r_key")) & in_window(w1, w2, direction)
     if how in ("left_semi", "left_anti"):
+        if strategy == "cells":  # a left tuple has one cell, and all its partners are copied there
+            l, r, same = _in_cells(l, r, w1, w2)
+            match = match & same
         return l.join(r, match, how).select(F.col("l_id").alias("id"), F.col("l_key").alias("key"), F.col("l_t").alias("t"))
     if how in ("left", "right", "full"):
+        if strategy == "cells":
+            return _outer_in_cells(l, r, w1, w2, direction, how)
         out = l.join(r, match, how)
         return out.select("l_id", "r_id", F.coalesce("l_key", "r_key").alias("key"), "l_t", "r_t", F.greatest("l_t", "r_t").alias("newer_t"))
     if how != "inner":
@@ -100,13 +105,37 @@ def bounded_broadcast(df: DataFrame, most: int = 5_000_000) -> DataFrame:
 
 
 def _cells(l: DataFrame, r: DataFrame, w1: int | None, w2: int | None, direction: str) -> DataFrame:
+    l, r, same = _in_cells(l, r, w1, w2)
+    return l.join(r, (F.col("l_key") == F.col("r_key")) & same & in_window(w1, w2, direction))
+
+
+def _in_cells(l: DataFrame, r: DataFrame, w1: int | None, w2: int | None) -> tuple[DataFrame, DataFrame, Column]:
+    """Both sides with their cells, and the condition that these are equal."""
     if w1 is None or w2 is None:
         raise ValueError("cells need windows with an end")
     # a left tuple has one cell, so a pair is met once; a right tuple is put into the two or so cells it can meet
     width = max(1, w1 + w2)
     l = l.withColumn("l_cell", floor_div(F.col("l_t"), width))
     r = r.withColumn("r_cell", F.explode(F.sequence(floor_div(F.col("r_t") - F.lit(w1), width), floor_div(F.col("r_t") + F.lit(w2), width))))
-    return l.join(r, (F.col("l_key") == F.col("r_key")) & (F.col("l_cell") == F.col("r_cell")) & in_window(w1, w2, direction))
+    return l, r, F.col("l_cell") == F.col("r_cell")
+
+
+def _outer_in_cells(l: DataFrame, r: DataFrame, w1: int | None, w2: int | None, direction: str, how: str) -> DataFrame:
+    """Left tuples keep themselves in their one cell. Right tuples without a partner come from an anti join with the sides' roles changed."""
+    match = (F.col("l_key") == F.col("r_key")) & in_window(w1, w2, direction)
+    lc, rc, same = _in_cells(l, r, w1, w2)
+    out = lc.join(rc, match & same, "inner" if how == "right" else "left")
+    out = out.select("l_id", "r_id", F.coalesce("l_key", "r_key").alias("key"), "l_t", "r_t", F.greatest("l_t", "r_t").alias("newer_t"))
+    if how == "left":
+        return out
+    # one cell for each right tuple, copies of the left ones
+    width = max(1, w1 + w2)
+    one = r.withColumn("r_cell", floor_div(F.col("r_t"), width))
+    copies = l.withColumn("l_cell", F.explode(F.sequence(floor_div(F.col("l_t") - F.lit(w2), width), floor_div(F.col("l_t") + F.lit(w1), width))))
+    lone = one.join(copies, match & same, "left_anti")
+    kinds = dict(l.dtypes)
+    none = lone.select(F.lit(None).cast(kinds["l_id"]).alias("l_id"), "r_id", F.col("r_key").alias("key"), F.lit(None).cast(kinds["l_t"]).alias("l_t"), "r_t", F.col("r_t").alias("newer_t"))
+    return out.unionByName(none)
 
 
 def _salted(l: DataFrame, r: DataFrame, match: Column, salts: int, heavy: int) -> DataFrame:
@@ -133,27 +162,36 @@ def _slabs(l: DataFrame, r: DataFrame, w1: int | None, w2: int | None, direction
     return l.join(r, (F.col("l_key") == F.col("r_key")) & (F.col("l_slab") == F.col("r_slab")) & in_window(w1, w2, direction) & own)
 
 
-def window_self_join(stream: DataFrame, w: int, dedupe: bool = True) -> DataFrame:
+def window_self_join(stream: DataFrame, w: int, dedupe: bool = True, strategy: str = "auto") -> DataFrame:
     """Pairs of one stream within w of each other; with ``dedupe`` each unordered pair once (l_id < r_id)."""
-    joined = _side(stream, "l").join(_side(stream, "r"), (F.col("l_key") == F.col("r_key")) & in_window(w, w) & (F.col("l_id") < F.col("r_id") if dedupe else F.lit(True)))
-    return _pairs(joined)
+    pairs = window_join(stream, stream, w, w, strategy)
+    return pairs.where("l_id < r_id") if dedupe else pairs
 
 
-def window_join_multi(streams: Sequence[DataFrame], windows: Sequence[int]) -> DataFrame:
+def window_join_multi(streams: Sequence[DataFrame], windows: Sequence[int], strategy: str = "auto") -> DataFrame:
     """n-way join: with all keys equal, each pair must satisfy the two-stream condition of its own two windows.
 
     This says that every tuple is inside its window when the latest one
     arrives. Pairs are pruned as soon as both members are there. Rows (id_1.., key, newer_t).
+    With cells (chosen by the first two streams) the first stream's tuple, which all others must be near to, gives the cell.
     """
     if len(streams) != len(windows) or len(streams) < 2:
         raise ValueError("one window for each of two or more streams")
+    if strategy == "auto":
+        strategy = choose(streams[0], streams[1], windows[0], windows[1])
+    width = max(1, windows[0] + max(windows[1:]))
     out = streams[0].select(F.col("id").alias("id_1"), "key", F.col("t").alias("t_1"))
+    if strategy == "cells":
+        out = out.withColumn("_cell", floor_div(F.col("t_1"), width))
     for k in range(2, len(streams) + 1):
         nxt = streams[k - 1].select(F.col("id").alias(f"id_{k}"), F.col("key").alias("_key"), F.col("t").alias(f"t_{k}"))
         cond = F.col("key") == F.col("_key")
+        if strategy == "cells":
+            near = F.sequence(floor_div(F.col(f"t_{k}") - F.lit(windows[0]), width), floor_div(F.col(f"t_{k}") + F.lit(windows[k - 1]), width))
+            nxt, cond = nxt.withColumn("_at", F.explode(near)), cond & (F.col("_cell") == F.col("_at"))
         for j in range(1, k):
             cond = cond & F.col(f"t_{k}").between(F.col(f"t_{j}") - F.lit(windows[k - 1]), F.col(f"t_{j}") + F.lit(windows[j - 1]))
-        out = out.join(nxt, cond).drop("_key")
+        out = out.join(nxt, cond).drop("_key", "_at")
     ids, times = [f"id_{k}" for k in range(1, len(streams) + 1)], [f"t_{k}" for k in range(1, len(streams) + 1)]
     return out.select(*ids, "key", F.greatest(*times).alias("newer_t"))
 
@@ -195,7 +233,7 @@ def recent_k(left: DataFrame, right: DataFrame, w: int, k: int) -> DataFrame:
     """For each left tuple its k latest right partners within w before it: (l_id, r_id, key, rank)."""
     from pyspark.sql import Window
 
-    pairs = window_join(left, right, 0, w, "naive", "left_newer")
+    pairs = window_join(left, right, 0, w, "auto", "left_newer")
     rank = F.row_number().over(Window.partitionBy("l_id").orderBy(F.col("r_t").desc(), F.col("r_id").desc()))
     return pairs.withColumn("rank", rank).where(F.col("rank") <= k).select("l_id", "r_id", "key", "rank")
 

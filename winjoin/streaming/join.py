@@ -12,11 +12,14 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle, StreamingQueryListener
 
 from winjoin.functions.hashing import partition_id
+from winjoin.plans.balance import PPM, reorganise, start
+from winjoin.plans.model import ClusterSpec
 
 PAIR = "l_id long, r_id long, key long, l_t long, r_t long, newer_t long"
 
@@ -41,8 +44,8 @@ class WindowProcessor(StatefulProcessor):
     may only bring tuples that are not older than those of earlier batches.
     """
 
-    def __init__(self, w1: int, w2: int, block: int = 64):
-        self.windows, self.block = (w1, w2), block
+    def __init__(self, w1: int, w2: int, block: int = 64, most: int = 1_000_000):
+        self.windows, self.block, self.most = (w1, w2), block, most
 
     def init(self, handle: StatefulProcessorHandle) -> None:
         self.held = handle.getListState("blocks", "stream int, newest long, tuples binary")
@@ -72,7 +75,20 @@ class WindowProcessor(StatefulProcessor):
         yield pd.DataFrame(found, columns=["l_id", "r_id", "key", "l_t", "r_t", "newer_t"])
 
     def _pairs(self, s: int, mine: np.ndarray, block: np.ndarray) -> np.ndarray:
-        a, b = np.nonzero(mine[:, None, 0] == block[None, :, 0])
+        """Pairs of equal keys within the windows: both sides sorted by key, so space follows the pairs and not the product of both sizes."""
+        block = block[np.argsort(block[:, 0], kind="stable")]
+        lo, hi = (np.searchsorted(block[:, 0], mine[:, 0], side) for side in ("left", "right"))
+        out = []
+        # a hot key meets in pieces of at most this many pairs
+        cut = np.searchsorted(np.cumsum(hi - lo), np.arange(self.most, int((hi - lo).sum()) + self.most, self.most), side="left") + 1
+        for p, q in zip([0, *cut[:-1]], cut):
+            out.append(self._within(s, mine[p:q], block, lo[p:q], hi[p:q]))
+        return np.concatenate(out) if out else np.zeros((0, 6), np.int64)
+
+    def _within(self, s: int, mine: np.ndarray, block: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
+        n = hi - lo
+        a = np.repeat(np.arange(len(mine)), n)
+        b = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n) + np.repeat(lo, n)
         l, r = (mine[a], block[b]) if s == 0 else (block[b], mine[a])
         ok = (r[:, 1] >= l[:, 1] - self.windows[1]) & (r[:, 1] <= l[:, 1] + self.windows[0])
         return np.stack([l[ok, 2], r[ok, 2], l[ok, 0], l[ok, 1], r[ok, 1], np.maximum(l[ok, 1], r[ok, 1])], axis=1)
@@ -101,6 +117,41 @@ def collect(query: DataFrame, name: str, path: str, checkpoint: str, available_n
     return (out.trigger(availableNow=True) if available_now else out.trigger(processingTime=td)).start()
 
 
+def reassign(cluster: ClusterSpec, pids: list[int], held: Callable[[], dict[int, int]] = dict) -> Callable[[list, int], dict]:
+    """A decision for ``controller``: the master's reorganisation, with its pairing, random groups and changing degree, on mean occupancies."""
+    state = start(cluster, pids)
+
+    def decide(loads: list[tuple[int, float]], rep: int) -> dict[int, int]:
+        state.samples = {int(v): [int(f * PPM)] for v, f in loads if int(v) in state.active}
+        reorganise(state, rep, held())
+        return dict(state.assignment)
+
+    return decide
+
+
+def latest_assignment(spark: SparkSession, path: str, n_part: int, n_nodes: int) -> dict[int, int]:
+    """What the controller wrote last, one row a partition; before that partitions go round the nodes."""
+    out = {p: p % n_nodes for p in range(n_part)}
+    try:
+        rows = spark.read.parquet(f"{path}/assignment")
+    except AnalysisException:  # nothing is written yet
+        return out
+    last = rows.agg(F.max("rep_epoch").alias("r")).first().r
+    return out | {r.pid: r.node for r in rows.where(F.col("rep_epoch") == last).select("pid", "node").collect()}
+
+
+def load_by_node(path: str, n_part: int, n_nodes: int, capacity: int) -> Callable[[DataFrame], DataFrame]:
+    """For ``controller``: (node, f) of a batch of merged tuples under the assignment that holds now; f is what a node gets over its buffer of ``capacity`` tuples."""
+
+    def load_of(batch: DataFrame) -> DataFrame:
+        spark = batch.sparkSession
+        now = spark.createDataFrame(list(latest_assignment(spark, path, n_part, n_nodes).items()), "pid int, node int")
+        came = batch.withColumn("pid", partition_id(F.col("key"), n_part)).groupBy("pid").agg(F.count(F.lit(1)).alias("n"))
+        return now.join(came, "pid", "left").groupBy("node").agg(F.least(F.lit(1.0), F.coalesce(F.sum("n"), F.lit(0)) / F.lit(float(capacity))).alias("f"))
+
+    return load_of
+
+
 def controller(load_of: Callable[[DataFrame], DataFrame], decide: Callable[[list, int], dict], path: str, every: int) -> Callable[[DataFrame, int], None]:
     """For foreachBatch: writes the batch's load rows and, every ``every`` batches, what ``decide`` makes of those of the
     last reorganisation epoch: the next assignment. Loads are a row a node, so a round trip is a few hundred rows."""
