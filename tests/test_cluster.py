@@ -158,7 +158,7 @@ def test_more_nodes_move_the_knee(setting):
 
 
 def test_communication_against_nodes(setting):
-    df = X.run("w6_comm_vs_nodes", setting, nodes=(2, 4, 6)).cache()
+    df = X.run("w6_comm_vs_nodes", setting, nodes=(2, 4, 6), rate=0.7).cache()
     each, all_, degree = values(df, "comm_avg_ns"), values(df, "comm_all_ns"), values(df, "degree_avg")
     assert each["fixed"] == sorted(each["fixed"], reverse=True)
     steps = [b - a for a, b in zip(all_["fixed"], all_["fixed"][1:])]
