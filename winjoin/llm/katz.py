@@ -175,7 +175,7 @@ def _pairs(values: tuple[np.ndarray, np.ndarray], order: int) -> tuple[np.ndarra
             ctx = _longer(ctx, before[j])
         return ctx
 
-    return joined(order - 1), joined(order - 2) if order > 2 else np.zeros_like(word), word
+    return joined(order - 1), joined(order - 2) if order > 2 else None, word
 
 
 def _opening(order: int) -> np.uint64:
@@ -198,16 +198,18 @@ def _pair_blocks(docs: DataFrame, order: int, spread: Spread, parts: int, flush:
         size = 0
 
         def out() -> Iterator[pa.RecordBatch]:
-            columns = [np.concatenate([h[k] for h in held]) for k in (0, 1, 2)]
-            part = _part_of_pair(columns[0], columns[2], shipped.value, parts)
-            for a, b, ctx, low, word in _by_part(part, parts, *columns):
+            # bigrams have no shorter context: nothing is held for it
+            ctx, word, *low = (np.concatenate([h[k] for h in held]) for k in ((0, 2, 1) if order > 2 else (0, 2)))
+            held.clear()
+            part = _part_of_pair(ctx, word, shipped.value, parts)
+            for a, b, ctx, word, *low in _by_part(part, parts, ctx, word, *low):
                 at = np.lexsort((word, ctx))
                 ctx, word = ctx[at], word[at]
                 new = np.ones(len(ctx), bool)
                 new[1:] = (ctx[1:] != ctx[:-1]) | (word[1:] != word[:-1])
                 starts = np.flatnonzero(new)
                 n = np.diff(np.append(starts, len(ctx)))
-                ctx, word, low = ctx[starts], word[starts], low[at[starts]]
+                ctx, word, low = ctx[starts], word[starts], low[0][at[starts]] if order > 2 else None
                 head = _heads(ctx)
                 yield pa.RecordBatch.from_pylist([{"part": a, "ctx": ctx[head].tobytes(), "low": low[head].tobytes() if order > 2 else b"", "fan": _small(np.diff(np.append(head, len(ctx)))), "word": word.tobytes(), "n": _small(n)}], _BLOCKS)
 
@@ -556,7 +558,7 @@ class KatzModel:
         release(*(x.blocks for x in self.levels))
 
 
-def partitions_for(docs: DataFrame, bytes_each: int = 32 << 20) -> int:
+def partitions_for(docs: DataFrame, bytes_each: int = 16 << 20) -> int:
     """A number of partitions that grows with the bytes of text."""
     size = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
     return max(16, -(-int(size) // bytes_each))
@@ -649,6 +651,7 @@ def _requests(docs: DataFrame, order: int, spread: Spread, parts: int, flush: in
 
         def out() -> Iterator[pa.RecordBatch]:
             ctx, word, row = (np.concatenate([h[k] for h in held]) for k in (0, 1, 2))
+            held.clear()
             for k, _, c, w, r in _by_part(_part_of_pair(ctx, word, shipped.value, parts), parts, ctx, word, row):
                 at = np.lexsort((r, w, c))
                 c, w, r = c[at], w[at], r[at]
