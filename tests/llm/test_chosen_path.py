@@ -143,3 +143,27 @@ def test_no_link_of_the_given_documents_is_lost(spark):
     got = {r.doc_id: r.n_links for r in similarity_classes(docs).collect()}
     want = {i: links[k] if k else 0 for i, k in of.items()}
     assert sum(want.values()) > 1000 and got == want
+
+
+@pytest.mark.parametrize("agreement", [0.7, 0.8])
+def test_pairs_in_split_nodes_meet_deeper(agreement):
+    """Pairs of sketches of a given agreement, all of whose shallow nodes are split: nearly all meet at the last depth."""
+    import numpy as np
+
+    from winjoin.llm import bytetext as B
+    from winjoin.llm.chosen_path import WIDTH, paths
+
+    rnd = np.random.default_rng(5)
+    pairs = 1500
+    one = rnd.integers(0, 2**32, (pairs, WIDTH), dtype=np.uint32)
+    same = np.argsort(rnd.random((pairs, WIDTH)), axis=1) < round(agreement * WIDTH)
+    two = np.where(same, one, rnd.integers(0, 2**32, (pairs, WIDTH), dtype=np.uint32))
+    runs = runs_for(0.8, 6, 0.9995)
+
+    def nodes(sketch):
+        start = B.mix(np.repeat(np.arange(1, runs + 1, dtype=np.uint64), pairs))
+        rows, node = paths(np.tile(sketch, (runs, 1)), start, 6)
+        return set(zip((rows % pairs).tolist(), node.tolist()))
+
+    met = {pair for pair, _ in nodes(one) & nodes(two)}
+    assert len(met) >= 0.99 * pairs

@@ -15,7 +15,8 @@
    ``max_depth``; a node that is still large holds nearly equal sets, which
    are all tied to one of them. Runs repeat until a pair at the threshold
    meets with the target recall, which ``runs_for`` derives from the
-   branching process.
+   branching process. A pair in split nodes only has to meet again deeper, which takes more
+   runs: sets of split nodes take part in as many as that depth needs. Each depth may lose its share of what the recall allows.
 4. *Exact check.* Ties form candidate components. Members of a component are
    dealt into blocks of at most about ``block`` sets and ``block_bytes`` bytes, block pairs are spread over tasks, and each pair's exact
    similarity is computed on its full sets, which travel once for each block of their component. A task emits links per set and a
@@ -147,8 +148,8 @@ def _describe(docs: DataFrame, n: int) -> DataFrame:
     return docs.mapInArrow(run, f"doc_id {kind}, sid binary, sketch binary")
 
 
-def _extend(frame: DataFrame, steps: int, runs: int | None) -> DataFrame:
-    """(rid, sketch[, node]) to (rid, node), ``steps`` deeper; all runs from their roots if ``runs`` is given."""
+def _extend(frame: DataFrame, steps: int, runs: range | None) -> DataFrame:
+    """(rid, sketch[, node]) to (rid, node), ``steps`` deeper; these runs from their roots if ``runs`` is given."""
 
     def grow(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -156,8 +157,8 @@ def _extend(frame: DataFrame, steps: int, runs: int | None) -> DataFrame:
                 p = batch.slice(a, 500)
                 sk = np.frombuffer(b"".join(p.column(1).to_pylist()), np.uint32).reshape(-1, WIDTH)
                 if runs is not None:
-                    own = np.tile(np.arange(len(sk)), runs)
-                    start = B.mix(np.repeat(np.arange(1, runs + 1, dtype=np.uint64), len(sk)))
+                    own = np.tile(np.arange(len(sk)), len(runs))
+                    start = B.mix(np.repeat(np.array(runs, np.uint64), len(sk)))
                 else:
                     own = np.arange(len(sk))
                     start = p.column(2).to_numpy(zero_copy_only=False).view(np.uint64)
@@ -205,6 +206,32 @@ def _compare(least: float):
     return run
 
 
+def _shared(entries: DataFrame, heavy: int = 1000) -> DataFrame:
+    """The entries (rid, node) of nodes of two sets or more, with their number n.
+
+    Sizes are summed before they are shuffled. Nodes with a ``heavy``-th of all entries, at most ``heavy``
+    of them, are broadcast, so that none of these meets in one task.
+    """
+    size = materialize(entries.groupBy("node").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "jaccard-sizes")
+    most = max(2, -(-entries.count() // heavy))
+    wide = F.broadcast(size.where(F.col("n") >= most))
+    rest = entries.join(wide.select("node"), "node", "left_anti").join(size.where(F.col("n") < most), "node")
+    alive = materialize(entries.join(wide, "node").unionByName(rest), "jaccard-nodes")
+    release(size)
+    return alive
+
+
+def _tied(large: DataFrame, each: int) -> DataFrame:
+    """Ties (a, b) that connect all sets of each node: members are dealt into groups of about ``each`` and
+    tied to the least of their group, these to the least of the node."""
+    dealt = large.withColumn("group", F.pmod(F.xxhash64("rid"), F.ceil(F.col("n") / each)))
+    low = dealt.groupBy("node", "group").agg(F.min("rid").alias("b"))
+    near = dealt.join(low, ["node", "group"]).where("rid <> b").select(F.col("rid").alias("a"), "b")
+    hub = low.groupBy("node").agg(F.min("b").alias("h"))
+    far = low.join(hub, "node").where("b <> h").select(F.col("b").alias("a"), F.col("h").alias("b"))
+    return materialize(near.unionByName(far).distinct(), "jaccard-ties")
+
+
 def _verify(key: tuple, rows: pa.Table, threshold: float) -> pa.Table:
     """A pair of blocks of one component: exact links per set, and a spanning forest of the links."""
     side = np.array(rows.column("side").to_pylist())
@@ -254,24 +281,25 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     reps = described.where("sketch IS NOT NULL").groupBy("sid").agg(F.count(F.lit(1)).alias("copies"), F.first("sketch").alias("sketch"))
     reps = materialize(reps.withColumn("rid", F.monotonically_increasing_id()), "jaccard-reps")
     sketches = reps.select("rid", "sketch")
-    entries = materialize(_extend(sketches, depth, runs_for(threshold, depth, recall)), "jaccard-paths")
-    ties, kept, at = [], [], depth
+    depths = list(range(depth, max(depth, max_depth) + 1, depth))
+    runs = [runs_for(threshold, d, 1 - (1 - recall) / len(depths)) for d in depths]
+    entries = materialize(_extend(sketches, depth, range(1, runs[0] + 1)), "jaccard-paths")
+    ties, kept = [], []
     least = threshold - 4 * math.sqrt(threshold * (1 - threshold) / WIDTH)
-    while True:
-        # nodes of one set die here, by a count that is summed before it is shuffled
-        size = entries.groupBy("node").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-        alive = materialize(entries.join(size, "node"), "jaccard-nodes")
+    for k in range(len(depths)):
+        alive = _shared(entries)
         release(entries)
         small = alive.where(F.col("n") <= bucket).join(sketches, "rid").select("node", "rid", "sketch")
         ties.append(materialize(small.repartition("node").sortWithinPartitions("node").mapInArrow(_compare(least), "a long, b long"), "jaccard-ties"))
         large = alive.where(F.col("n") > bucket)
         kept.append(alive)
-        if at >= max_depth or large.isEmpty():
+        if k + 1 == len(depths) or large.isEmpty():
             break
-        entries = materialize(_extend(large.join(sketches, "rid").select("rid", "sketch", "node"), depth, None), "jaccard-paths")
-        at += depth
-    hub = large.groupBy("node").agg(F.min("rid").alias("b"))
-    ties.append(materialize(large.join(hub, "node").where("rid <> b").select(F.col("rid").alias("a"), "b").distinct(), "jaccard-ties"))
+        deeper = _extend(large.join(sketches, "rid").select("rid", "sketch", "node"), depth, None)
+        again = sketches.join(large.select("rid").distinct(), "rid", "left_semi")
+        more = _extend(again.select("rid", "sketch"), depths[k + 1], range(runs[k] + 1, runs[k + 1] + 1))
+        entries = materialize(deeper.unionByName(more), "jaccard-paths")
+    ties.append(_tied(large, block))
     edges = ties[0]
     for more in ties[1:]:
         edges = edges.unionByName(more)
