@@ -167,3 +167,41 @@ def test_pairs_in_split_nodes_meet_deeper(agreement):
 
     met = {pair for pair, _ in nodes(one) & nodes(two)}
     assert len(met) >= 0.99 * pairs
+
+
+def test_near_copies_are_tied_without_going_deeper():
+    """Many near copies in one node: the search ties them as all pairs would, and opens none for further steps."""
+    import numpy as np
+
+    from winjoin.llm.chosen_path import WIDTH, search
+
+    rnd = np.random.default_rng(2)
+    base = rnd.integers(0, 2**32, (1, WIDTH), dtype=np.uint32)
+    copies = np.where(rnd.random((600, WIDTH)) < 0.85, base, rnd.integers(0, 2**32, (600, WIDTH), dtype=np.uint32))
+    others = rnd.integers(0, 2**32, (30, WIDTH), dtype=np.uint32)
+    sketch = np.concatenate([others[:15], copies, others[15:]])
+    ties, left = search(sketch, 0.6, 48, 512)
+    assert len(left) == 0 and len(ties) == 599
+    assert {x for t in ties for x in t} == set(range(15, 615))
+    for x, y in ties:
+        assert (sketch[x] == sketch[y]).sum() >= 0.6 * WIDTH
+
+
+def test_a_search_without_end_leaves_what_is_open():
+    import numpy as np
+
+    from winjoin.llm.chosen_path import WIDTH, search
+
+    sketch = np.random.default_rng(3).integers(0, 2**32, (400, WIDTH), dtype=np.uint32)
+    sketch[399] = sketch[0]
+    ties, left = search(sketch, 0.6, 4, 16)
+    assert ties == [(0, 399)] and 300 < len(left) < 400 and 0 not in left
+    assert len(search(sketch, 0.6, 4, 512)[1]) == 0
+
+
+@pytest.mark.parametrize("options", [{"bucket": 2, "patience": 2, "block": 7}, {"bucket": 2, "patience": 3, "widest": 20}])
+def test_open_nodes_against_all_pairs(spark, options):
+    rows = corpus()
+    docs = spark.createDataFrame([(i, t, 1) for i, t in rows], "doc_id long, text string, sid int")
+    got = similarity_classes(docs, **options).select("doc_id", "class_id", "n_links").collect()
+    assert Counter(map(tuple, got)) == Counter(brute(rows))

@@ -10,10 +10,12 @@
    those tokens of a set that a hash of path (run first) and coordinate chooses, ``FANOUT`` of
    them on average. Whether a set is in a node depends on the set and the path
    alone, so all paths of ``depth`` steps are computed without meeting other
-   sets. Nodes of one set die, nodes of at most ``bucket`` sets are compared by
-   brute force on the sketches, larger ones are split further by as many steps, up to
-   ``max_depth``; a node that is still large holds nearly equal sets, which
-   are all tied to one of them. Runs repeat until a pair at the threshold
+   sets. Nodes of one set die; in others a search compares the sketches of each set that
+   a tie has reached with those of all sets that none has reached, so near copies, however
+   many, cost a comparison or so each. What the search gives up (more than ``bucket``
+   comparisons a set, with no end before ``patience``) and nodes of more than ``widest``
+   sets are split further by as many steps, up to ``max_depth``; what is still open
+   there holds nearly equal sets, which are all tied to one of them. Runs repeat until a pair at the threshold
    meets with the target recall, which ``runs_for`` derives from the
    branching process. A pair in split nodes only has to meet again deeper, which takes more
    runs: sets of split nodes take part in as many as that depth needs. Each depth may lose its share of what the recall allows.
@@ -169,26 +171,56 @@ def _extend(frame: DataFrame, steps: int, runs: range | None) -> DataFrame:
     return frame.mapInArrow(grow, "rid long, node long")
 
 
-def _compare(least: float):
-    """For rows (node, rid, sketch) in the order of small nodes: a spanning forest of each node's
-    pairs whose sketches agree in ``least`` of the coordinates. The last node of a batch waits for the next."""
+def search(sketch: np.ndarray, least: float, bucket: int, patience: int) -> tuple[list[tuple[int, int]], np.ndarray]:
+    """Ties within one node, found by search: a member that a tie has reached is compared with all members that none has reached yet.
 
-    def ties(node: np.ndarray, rid: np.ndarray, sk: np.ndarray) -> list[tuple[int, int]]:
-        out = []
+    Components are those of all pairs that agree in ``least`` of the coordinates, and near copies of each other are
+    reached at once. A node of more than ``bucket`` sets whose search is not over after ``bucket`` comparisons a set, and would
+    take more than ``patience``, is given up. Returns the ties and the members that are not compared with all others or tied to them.
+    """
+    n = len(sketch)
+    rest, left, reached, spent, ties = np.arange(1, n), sketch[1:], [0], 0, []
+    while len(rest):
+        if not reached:
+            reached = [int(rest[0])]
+            rest, left = rest[1:], left[1:]
+            continue
+        if n > bucket and spent > bucket * n and spent + len(rest) ** 2 / 2 > patience * n:
+            return ties, np.concatenate([np.array(reached, np.int64), rest])
+        x = reached.pop()
+        spent += len(rest)
+        near = (left == sketch[x]).sum(axis=1) >= least * WIDTH
+        if near.any():
+            hit = rest[near].tolist()
+            ties += [(x, y) for y in hit]
+            reached += hit
+            rest, left = rest[~near], left[~near]
+    return ties, rest
+
+
+def _compare(least: float, bucket: int, patience: int):
+    """For rows (node, rid, sketch) in the order of nodes: (a, b) of a spanning forest of each node's pairs whose sketches agree in
+    ``least`` of the coordinates, and (a, node, n) of the n members of a node that have to be split further. The last node of a batch waits for the next."""
+
+    def ties(node: np.ndarray, rid: np.ndarray, sk: np.ndarray) -> tuple[list[tuple[int, int]], list[tuple[int, int, int]]]:
+        out, more = [], []
         cuts = np.concatenate([[0], np.flatnonzero(node[1:] != node[:-1]) + 1, [len(node)]])
         for a, b in zip(cuts[:-1], cuts[1:]):
-            own, ids = sk[a:b], rid[a:b]
-            found = ((x, x + 1 + int(y)) for x in range(b - a - 1) for y in np.flatnonzero((own[x + 1 :] == own[x]).sum(axis=1) >= least * WIDTH))
-            out += [(int(ids[x]), int(ids[y])) for x, y in Forest().fresh(found)]
-        return out
+            ids = rid[a:b].tolist()
+            found, open_ = search(sk[a:b], least, bucket, patience)
+            out += [(ids[x], ids[y]) for x, y in found]
+            more += [(ids[x], int(node[a]), len(open_)) for x in open_]
+        return out, more
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros((0, WIDTH), np.uint32))
         forest = Forest()
 
-        def emit(new: list[tuple[int, int]]) -> pa.RecordBatch:
+        def emit(new: list[tuple[int, int]], more: list[tuple[int, int, int]]) -> pa.RecordBatch:
             fresh = forest.fresh(new)
-            return pa.RecordBatch.from_arrays([pa.array([x for x, _ in fresh], pa.int64()), pa.array([y for _, y in fresh], pa.int64())], ["a", "b"])
+            tie, none = [None] * len(fresh), [None] * len(more)
+            columns = [x for x, _ in fresh] + [x for x, _, _ in more], [y for _, y in fresh] + none, tie + [v for _, v, _ in more], tie + [n for _, _, n in more]
+            return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], ["a", "b", "node", "n"])
 
         for batch in batches:
             if not batch.num_rows:
@@ -197,10 +229,11 @@ def _compare(least: float):
             rid = np.concatenate([held[1], batch.column(1).to_numpy(zero_copy_only=False)])
             sk = np.concatenate([held[2], np.frombuffer(b"".join(batch.column(2).to_pylist()), np.uint32).reshape(-1, WIDTH)])
             cut = len(node) - int((node == node[-1]).sum())
-            yield emit(ties(node[:cut], rid[:cut], sk[:cut]) if cut else [])
+            if cut:
+                yield emit(*ties(node[:cut], rid[:cut], sk[:cut]))
             held = (node[cut:], rid[cut:], sk[cut:])
         if len(held[0]):
-            yield emit(ties(*held))
+            yield emit(*ties(*held))
         B.trim()
 
     return run
@@ -270,7 +303,7 @@ def _verify(key: tuple, rows: pa.Table, threshold: float) -> pa.Table:
     })
 
 
-def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = 5, threshold: float = 0.8, recall: float = 0.999, depth: int = 3, bucket: int = 48, max_depth: int = 6, block: int = 512, block_bytes: int = 4 << 20) -> DataFrame:
+def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = 5, threshold: float = 0.8, recall: float = 0.999, depth: int = 3, bucket: int = 48, max_depth: int = 6, patience: int = 512, widest: int = 16384, block: int = 512, block_bytes: int = 4 << 20) -> DataFrame:
     """Rows (doc_id, class_id, n_links, sid, class_sid), one for each row of ``docs``.
 
     sid and class_sid are the keys of the document's set and of its class.
@@ -289,22 +322,24 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     for k in range(len(depths)):
         alive = _shared(entries)
         release(entries)
-        small = alive.where(F.col("n") <= bucket).join(sketches, "rid").select("node", "rid", "sketch")
-        ties.append(materialize(small.repartition("node").sortWithinPartitions("node").mapInArrow(_compare(least), "a long, b long"), "jaccard-ties"))
-        large = alive.where(F.col("n") > bucket)
-        kept.append(alive)
+        whole = alive.where(F.col("n") <= widest).join(sketches, "rid").select("node", "rid", "sketch")
+        found = materialize(whole.repartition("node").sortWithinPartitions("node").mapInArrow(_compare(least, bucket, patience), "a long, b long, node long, n long"), "jaccard-ties")
+        ties.append(found.where("node IS NULL").select("a", "b"))
+        large = alive.where(F.col("n") > widest).select("node", "rid", "n").unionByName(found.where("node IS NOT NULL").select("node", F.col("a").alias("rid"), "n"))
+        kept += [alive, found]
         if k + 1 == len(depths) or large.isEmpty():
             break
         deeper = _extend(large.join(sketches, "rid").select("rid", "sketch", "node"), depth, None)
         again = sketches.join(large.select("rid").distinct(), "rid", "left_semi")
         more = _extend(again.select("rid", "sketch"), depths[k + 1], range(runs[k] + 1, runs[k + 1] + 1))
         entries = materialize(deeper.unionByName(more), "jaccard-paths")
-    ties.append(_tied(large, block))
+    kept.append(_tied(large, block))
+    ties.append(kept[-1])
     edges = ties[0]
     for more in ties[1:]:
         edges = edges.unionByName(more)
     comps = materialize(connected(thin(edges)), "jaccard-components")
-    release(*ties)
+    release(*kept)
 
     # exact check: full sets of members only, in pairs of blocks
     members = comps.join(reps.select("rid", "sid", "copies"), comps.node == F.col("rid")).select("sid", "root", "copies")
@@ -328,7 +363,7 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     least_id = described.groupBy("sid").agg(F.min("doc_id").alias("low")).join(known, "sid").groupBy("class_sid").agg(F.min("low").alias("class_id"))
     by_set = materialize(known.join(least_id, "class_sid").select("sid", "n_links", "class_sid", "class_id"), "jaccard-classes")
     out = described.select("doc_id", "sid", F.col("sketch").isNull().alias("blank")).join(by_set, "sid", "left")
-    release(*kept, comps, grams, checked)
+    release(comps, grams, checked)
     return out.select(
         "doc_id", F.when(F.col("blank"), F.col("doc_id")).otherwise(F.col("class_id")).alias("class_id"), F.when(F.col("blank"), 0).otherwise(F.col("n_links")).cast("long").alias("n_links"),
         "sid", F.when(F.col("blank"), F.encode(F.concat(F.lit("blank:"), F.coalesce(F.col("doc_id").cast("string"), F.lit("null"))), "utf-8")).otherwise(F.col("class_sid")).alias("class_sid"),
