@@ -208,3 +208,16 @@ def test_measured_time_grows(spark):
     spark.range(3_000_000).selectExpr("sum(sqrt(id))").collect()
     now = measured_cpu(spark)
     assert now["cpu_ms"] > was["cpu_ms"] and now["run_ms"] >= was["run_ms"]
+
+
+def test_delays_beyond_64_bits(spark):
+    """Matches times backlog of an overloaded node: the sum of delays is exact where it leaves 64 bits."""
+    n = 4 * 10**9
+    rows = [(e, 0, n, n, n, n, 0, 0, "s") for e in range(3)]
+    loads = spark.createDataFrame(rows, "epoch long, pid int, tuples long, comparisons long, held long, matches long, wait_us long, buckets long, scenario string")
+    cluster = ClusterSpec(1, 1000, None, buffer_bytes=40_000, adaptive=False)
+    trace = B.simulate_all(loads, {"s": (cluster, CostSpec(ns_per_tuple=9000))})
+    want = [r[B.COLUMNS.index("delay_us")] for r in B.simulate([r.asDict() for r in loads.collect()], "s", cluster, CostSpec(ns_per_tuple=9000))]
+    assert max(want) > 1 << 63 and [int(r.delay_us) for r in trace.orderBy("epoch").collect()] == want
+    found = {r.measure: r.value for r in C.summary(trace, 0).collect()}
+    assert found["delay_avg_us"] == sum(want) // (3 * n)

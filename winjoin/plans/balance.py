@@ -9,6 +9,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from decimal import Decimal
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
@@ -116,7 +117,7 @@ def reorganise(state: State, rep_epoch: int, held: dict[int, int]) -> list[tuple
 
 TRACE = (
     "scenario string, epoch long, node int, active int, tuples long, comparisons long, work_ns long, comm_ns long, idle_ns long, backlog_ns long, occupancy_ppm long, "
-    "held long, matches long, delay_us long, moved_groups int, moved_tuples long"
+    "held long, matches long, delay_us decimal(38,0), moved_groups int, moved_tuples long"
 )
 
 
@@ -193,12 +194,16 @@ def simulate(loads: list[dict], scenario: str, cluster: ClusterSpec, cost: CostS
 
 
 def simulate_all(loads: DataFrame, scenarios: dict[str, tuple[ClusterSpec, CostSpec]]) -> DataFrame:
-    """Traces of several runs; ``loads`` has a column scenario. A scenario is one group: epochs x partitions rows, never tuples."""
+    """Traces of several runs; ``loads`` has a column scenario. A scenario is one group: epochs x partitions rows, never tuples.
+
+    delay_us is a product of matches and backlogs, which leaves 64 bits on large streams.
+    """
 
     def run(rows: pd.DataFrame) -> pd.DataFrame:
         name = str(rows.scenario.iloc[0])
         cluster, cost = scenarios[name]
-        return pd.DataFrame(list(simulate(rows.to_dict("records"), name, cluster, cost)), columns=COLUMNS)
+        out = pd.DataFrame(list(simulate(rows.to_dict("records"), name, cluster, cost)), columns=COLUMNS)
+        return out.assign(delay_us=[Decimal(int(x)) for x in out.delay_us])
 
     return loads.groupBy("scenario").applyInPandas(run, TRACE)
 

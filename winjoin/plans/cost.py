@@ -60,7 +60,7 @@ def summary(trace: DataFrame, warm_epoch: int) -> DataFrame:
     ends = ends.groupBy("scenario").agg(F.min_by("b", "epoch").alias("a"), F.max_by("b", "epoch").alias("b"), F.count(F.lit(1)).alias("k"))
     ends = ends.select("scenario", F.floor((F.col("b") - F.col("a")).cast("double") / F.greatest(F.col("k") - 1, F.lit(1))).cast("double").alias("backlog_rise_ns"))
     overall = own.groupBy("scenario").agg(
-        whole(total("delay_us"), total("matches")).alias("delay_avg_us"), total("matches").cast("double").alias("results"), total("comparisons").cast("double").alias("comparisons"),
+        whole(F.sum(F.col("delay_us").cast("decimal(38,0)")), total("matches")).alias("delay_avg_us"), total("matches").cast("double").alias("results"), total("comparisons").cast("double").alias("comparisons"),
         ratio(F.sum("active"), n).alias("degree_avg"), F.max("held").cast("double").alias("window_max"), whole(total("held"), n).alias("window_avg"), F.round(F.max("occupancy_ppm") / 1e6, 6).alias("occupancy_max"),
         F.sum("moved_groups").cast("double").alias("moved_groups"), F.sum("moved_tuples").cast("double").alias("moved_tuples"))
     return per_node.join(overall, "scenario").join(ends, "scenario").unpivot("scenario", list(MEASURES), "measure", "value")

@@ -490,7 +490,7 @@ def _run(s: SparkSession, d: str, name: str, case: X.Case) -> DataFrame:
     return BAL.simulate_all(l, {name: (cluster, setting.cost)})
 
 
-query("rebalance_trace", O.trace_sql("rebalance", _MOVING, SKEW))(lambda s, d: _run(s, d, "rebalance", _MOVING))
+query("rebalance_trace", O.trace_sql("rebalance", _MOVING, SKEW))(lambda s, d: _run(s, d, "rebalance", _MOVING).withColumn("delay_us", F.col("delay_us").cast("long")))
 query("degree_trace", f"SELECT epoch, max(active) AS active, CAST(sum(moved_groups) AS BIGINT) AS moved FROM ({O.trace_sql('degree', _GROWING, SKEW)}) GROUP BY epoch")(
     lambda s, d: _run(s, d, "degree", _GROWING).groupBy("epoch").agg(F.max("active").alias("active"), F.sum("moved_groups").alias("moved")))
 
