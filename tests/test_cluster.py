@@ -221,3 +221,11 @@ def test_delays_beyond_64_bits(spark):
     assert max(want) > 1 << 63 and [int(r.delay_us) for r in trace.orderBy("epoch").collect()] == want
     found = {r.measure: r.value for r in C.summary(trace, 0).collect()}
     assert found["delay_avg_us"] == sum(want) // (3 * n)
+
+
+def test_a_sweep_leaves_no_plans_of_its_streams_behind(spark):
+    """The driver holds one aggregation's plan at a time: what is left of a sweep reads rows, not streams."""
+    one = spark.range(400).selectExpr("id", "id % 7 AS key", "id * 50000 AS t")
+    setting = X.Setting(lambda m, b: (one, one), JoinSpec(5_000_000, 5_000_000, 4, 2, 8, True, 4), ClusterSpec(2, 500_000, 5_000_000, adaptive=False), CostSpec())
+    plan = X.run("w12_ablations", setting, n_part=4)._jdf.queryExecution().optimizedPlan().toString()
+    assert "InMemoryRelation" not in plan and "Range" not in plan and len(plan) < 100_000

@@ -110,22 +110,31 @@ class Case:
 
 
 def run_cases(workload: str, setting: Setting, cases: list[Case]) -> DataFrame:
-    """Every case's measures; cases with the same streams, tuning and epoch share one aggregation, and streams (id, key, t) are made once for all of these."""
+    """Every case's measures; cases with the same streams, tuning and epoch share one aggregation, and streams (id, key, t) are made once for all of these.
+
+    Aggregations run one after the other and leave (epoch, partition) rows without their plans: the driver never holds
+    the plans of all cases at once. The trace of all cases is kept in the same way, as its measures read it several times.
+    """
+    keys: dict[tuple, list[Case]] = {}
+    for c in cases:
+        keys.setdefault((c.rate, c.skew), []).append(c)
     shared: dict[tuple, DataFrame] = {}
-    made: dict[tuple, tuple[DataFrame, DataFrame]] = {}
+    for (rate, skew), own in keys.items():
+        made = tuple(x.select("id", "key", "t").persist() for x in setting.streams(rate, skew))
+        for c in own:
+            key = (rate, skew, c.join_of(setting), c.cluster_of(setting).td_us)
+            if key not in shared:
+                shared[key] = loads(*made, key[2], key[3], setting.t0).localCheckpoint()
+        for x in made:
+            x.unpersist()
     frames, specs, notes = [], {}, []
     for c in cases:
         join, cluster = c.join_of(setting), c.cluster_of(setting)
-        key = (c.rate, c.skew, join, cluster.td_us)
-        if key not in shared:
-            if (c.rate, c.skew) not in made:
-                made[c.rate, c.skew] = tuple(x.select("id", "key", "t").persist() for x in setting.streams(c.rate, c.skew))
-            shared[key] = loads(*made[c.rate, c.skew], join, cluster.td_us, setting.t0).cache()
         name = c.name(workload)
         specs[name] = (cluster, setting.cost)
         notes.append((name, c.param, float(c.value), join.w1_us // cluster.td_us))
-        frames.append(shared[key].withColumn("scenario", F.lit(name)))
-    trace = simulate_all(reduce(DataFrame.unionByName, frames), specs)
+        frames.append(shared[c.rate, c.skew, join, cluster.td_us].withColumn("scenario", F.lit(name)))
+    trace = simulate_all(reduce(DataFrame.unionByName, frames), specs).localCheckpoint()
     spark = frames[0].sparkSession
     known = spark.createDataFrame(notes, "scenario string, param string, param_value double, warm long")
     marked = trace.join(F.broadcast(known), "scenario").where(F.col("epoch") >= F.col("warm"))
