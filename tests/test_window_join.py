@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from winjoin.operators.block_kernel import run_tuples
 from winjoin.operators.frames import arrival_counts
-from winjoin.operators.window_join import STRATEGIES, asof_latest, choose, window_join, window_join_multi, window_self_join
+from winjoin.operators.window_join import STRATEGIES, asof_latest, choose, nested_loop_window_join, window_join, window_join_multi, window_self_join
 from winjoin.plans.model import HOUR, MINUTE
 from winjoin.sources.streams import as_stream, decode_punctuated, events, merge_tagged, punctuated, rejected, save_bucketed, table, write_layout
 
@@ -168,3 +168,14 @@ def test_cells_are_exact_for_nanosecond_clocks(spark):
     r = spark.createDataFrame([(k, 5, base + k) for k in range(-6, 20)], "id long, key long, t long")
     got = sorted((x.l_id, x.r_id) for x in window_join(l, r, 3, 2, "cells").collect())
     assert got == sorted((i, k) for i, at in ((1, 0), (2, 10)) for k in range(-6, 20) if at - 2 <= k <= at + 3)
+
+
+def test_nested_loop_takes_any_size_in_blocks(spark):
+    """More tuples on the right than one block holds: an equal result, and no join of everything with everything."""
+    rnd = random.Random(11)
+    left, right = ([(i, rnd.choice([None, *range(6)]), rnd.randrange(-50, 200)) for i in range(120)] for _ in (0, 1))
+    for w1, w2 in ((0, 0), (10, 3), (3, 40), (1000, 1000)):
+        got = nested_loop_window_join(frame(spark, left), frame(spark, right), w1, w2, block=5, most=50)
+        assert ids(got) == brute(left, right, w1, w2)
+        assert "NestedLoop" not in got._jdf.queryExecution().executedPlan().toString()
+        assert ids(nested_loop_window_join(frame(spark, left), frame(spark, right), w1, w2)) == brute(left, right, w1, w2)

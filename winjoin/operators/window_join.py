@@ -238,12 +238,25 @@ def recent_k(left: DataFrame, right: DataFrame, w: int, k: int) -> DataFrame:
     return pairs.withColumn("rank", rank).where(F.col("rank") <= k).select("l_id", "r_id", "key", "rank")
 
 
-def nested_loop_window_join(left: DataFrame, right: DataFrame, w1: int, w2: int, most: int = 5_000_000) -> DataFrame:
-    """The baseline of one server and one partition: every pair is looked at. For small inputs: a right side of more than ``most`` rows is an error."""
-    if right.limit(most + 1).count() > most:
-        raise ValueError(f"the nested loop takes at most {most} tuples on the right")
+def nested_loop_window_join(left: DataFrame, right: DataFrame, w1: int | None, w2: int | None, block: int = 256, most: int = 2_000) -> DataFrame:
+    """The baseline of one server: a tuple is held against every tuple of the blocks that it can meet, whatever the key.
+
+    A right side of at most ``most`` tuples is one block. A larger one is dealt into blocks by cells of time and by hash of the
+    key, about ``block`` tuples in each, and pairs of blocks that can have no result are not looked at.
+    """
+    l, r = _side(left, "l"), _side(right, "r")
     cond = (F.col("l_key") <= F.col("r_key")) & (F.col("l_key") >= F.col("r_key")) & in_window(w1, w2)
-    return _pairs(_side(left, "l").join(F.broadcast(_side(right, "r")), cond))
+    size = right.agg(F.count(F.lit(1)).alias("n"), F.min("t").alias("a"), F.max("t").alias("b")).first()
+    if size.n <= most:
+        return _pairs(l.join(F.broadcast(r), cond))
+    cells = 1
+    if w1 is not None and w2 is not None:
+        cells = max(1, (size.b - size.a) // max(1, w1 + w2)) if size.a is not None else 1
+        l, r, same = _in_cells(l, r, w1, w2)
+        cond = cond & same
+    n = min(1 << 16, -(-size.n // (cells * block)))
+    l, r = (x.withColumn(f"{tag}_part", partition_id(F.col(f"{tag}_key"), n, dict(x.dtypes)[f"{tag}_key"])) for x, tag in ((l, "l"), (r, "r")))
+    return _pairs(l.join(r, cond & (F.col("l_part") == F.col("r_part"))))
 
 
 def tuned_window_join(left: DataFrame, right: DataFrame, w1: int, w2: int, leaves: DataFrame, n_part: int, max_depth: int) -> DataFrame:
